@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
+from .decontaminate import op1_cgk_decontamination
 from .near_dup import op7_minhash_near_dedup
 from .packing import op9_length_bucket_packing
 from .sharding import op2_hilbert_sharding
 from .toxicity import op4_ordinal_toxicity
 
-QUERIES = {f.__name__: f for f in (op2_hilbert_sharding, op4_ordinal_toxicity, op7_minhash_near_dedup, op9_length_bucket_packing)}
+QUERIES = {f.__name__: f for f in (op1_cgk_decontamination, op2_hilbert_sharding, op4_ordinal_toxicity, op7_minhash_near_dedup, op9_length_bucket_packing)}
 ORACLES: dict[str, str] = {}
