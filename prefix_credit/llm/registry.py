@@ -3,10 +3,12 @@
 from __future__ import annotations
 
 from .decontaminate import op1_cgk_decontamination
+from .html_text import op10_html_main_text
+from .licenses import op8_license_scan
 from .near_dup import op7_minhash_near_dedup
 from .packing import op9_length_bucket_packing
 from .sharding import op2_hilbert_sharding
 from .toxicity import op4_ordinal_toxicity
 
-QUERIES = {f.__name__: f for f in (op1_cgk_decontamination, op2_hilbert_sharding, op4_ordinal_toxicity, op7_minhash_near_dedup, op9_length_bucket_packing)}
+QUERIES = {f.__name__: f for f in (op1_cgk_decontamination, op2_hilbert_sharding, op4_ordinal_toxicity, op7_minhash_near_dedup, op8_license_scan, op9_length_bucket_packing, op10_html_main_text)}
 ORACLES: dict[str, str] = {}
