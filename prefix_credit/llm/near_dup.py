@@ -180,7 +180,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
     wanted = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    sets = staged(shingle_sets(texts.join(wanted, "doc_id", "left_semi").join(reps.select("doc_id"), "doc_id", "left_semi"), n).dropDuplicates(["doc_id"]))
+    wanted = wanted.join(reps.select("doc_id"), "doc_id", "left_semi")
+    sets = staged(shingle_sets(texts.join(wanted.hint("merge"), "doc_id", "left_semi"), n).dropDuplicates(["doc_id"]))
 
     first = pairs.groupBy("b").agg(F.min("a").alias("a"))
     links = staged(verified(first.select("a", "b"), sets, num, den))
