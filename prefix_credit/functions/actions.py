@@ -37,6 +37,12 @@ def to_plan_record(df: DataFrame, reply: str, actions: str) -> DataFrame:
     return df.withColumn("plan", F.concat(F.lit("<reply>"), F.coalesce(reply, F.lit("")), F.lit("</reply><plan>"), F.array_join(F.transform(actions, tag), ""), F.lit("</plan>")))
 
 
+def _expanded(compound: str, parts: list[str]):
+    """A step to the array of primitive steps that stand for it."""
+    renamed = lambda s, verb: s.withField("action", s["action"].withField("action_type", F.lit(verb)))
+    return lambda s: F.when(s["action"]["action_type"] == compound, F.array(*(renamed(s, p) for p in parts))).otherwise(F.array(s))
+
+
 def restrict_vocabulary(plans: DataFrame, allowed: set[str] | None = None, banned: set[str] = frozenset(), on_violation: str = "drop", expansion: dict[str, list[str]] | None = None) -> DataFrame:
     """Packed plans with primitive verbs only: other steps are dropped, flagged (column `violations`), or expanded into
     primitive ones by `expansion`."""
@@ -47,7 +53,7 @@ def restrict_vocabulary(plans: DataFrame, allowed: set[str] | None = None, banne
     if on_violation == "expand":
         steps = F.col("steps")
         for compound, parts in (expansion or {}).items():
-            steps = F.flatten(F.transform(steps, lambda s, c=compound, ps=parts: F.when(verb(s) == c, F.array(*(s.withField("action", s["action"].withField("action_type", F.lit(p))) for p in ps))).otherwise(F.array(s))))
+            steps = F.flatten(F.transform(steps, _expanded(compound, parts)))
         return plans.withColumn("steps", steps)
     return plans.withColumn("steps", F.filter("steps", lambda s: ~bad(s)))
 

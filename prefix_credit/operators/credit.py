@@ -54,7 +54,7 @@ def _salted_form(steps: DataFrame, gamma: float, eps: float, delta: float, salts
     part = salted.groupBy(*keys, "_salt").agg(F.sum("ret").alias("total"), F.count(F.lit(1)).alias("n"))
     nodes = part.groupBy(*keys).agg((F.sum("total") / F.sum("n")).alias("q"), F.sum("n").alias("n")).withColumnRenamed("t", "depth")
     nodes = drop_flat(sibling_advantage(nodes, eps), delta).select("task", F.col("depth").alias("t"), "node_key", "q", "n", "k", "mu", "sigma", "advantage")
-    spread = nodes.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).cast("long"))
+    spread = nodes.withColumn("_salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))))
     return salted.drop("ret").join(spread, ["task", "t", "node_key", "_salt"]).drop("_salt")
 
 

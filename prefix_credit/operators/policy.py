@@ -72,5 +72,5 @@ def sample_rollouts(policy: DataFrame, tasks: DataFrame, k: int, max_steps: int,
     for t in range(1, max_steps + 1):
         drawn = _drawn(uniform(seed, "task", "traj", F.lit(t)))
         now = now.join(table, "history", "left").withColumn("_a", F.when(F.col("live") & F.col("cdf").isNotNull(), drawn)).drop("cdf")
-        now = now.select("task", "traj", F.coalesce("_a", "history").alias("history"), F.when(F.col("_a").isNotNull(), F.array_append("actions", "_a")).otherwise(F.col("actions")).alias("actions"), (F.col("live") & F.coalesce(F.col("_a") != stop, F.lit(False))).alias("live"))
+        now = now.select("task", "traj", F.coalesce("_a", "history").alias("history"), F.when(F.col("_a").isNotNull(), F.array_append("actions", F.col("_a"))).otherwise(F.col("actions")).alias("actions"), (F.col("live") & F.coalesce(F.col("_a") != stop, F.lit(False))).alias("live"))
     return now.select("task", "traj", "actions")
