@@ -60,15 +60,13 @@ class Model:
         return at, codes
 
 
-def fit(sample: np.ndarray, lists: int, width: int = 4, codes: int = 256, seed: int = 3) -> Model:
+def fit(sample: np.ndarray, lists: int, codes: int = 256, seed: int = 3) -> Model:
     rng = np.random.default_rng(seed)
     dim = sample.shape[1]
     unit = sample / np.linalg.norm(sample, axis=1, keepdims=True)
     c = _kmeans(unit, lists, 12, rng)
     rest = sample - c[(sample @ c.T).argmax(1)]
-    pad = -dim % width
-    if pad:
-        raise ValueError(f"the dimension {dim} must be a multiple of {width}")
+    width = next(w for w in (4, 3, 2, 1) if dim % w == 0)
     books = np.stack([_kmeans(rest[:, m : m + width], codes, 8, rng) for m in range(0, dim, width)])
     return Model(c, books)
 

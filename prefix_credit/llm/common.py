@@ -101,5 +101,12 @@ def map_arrow(df: DataFrame, f: Callable[[pa.RecordBatch], Iterator[dict] | dict
     return df.mapInArrow(run, kind)
 
 
-def null_safe(name: str, kind: str) -> F.Column:
-    return F.coalesce(F.col(name), F.lit("" if kind == "string" else 0).cast(kind))
+def keep_where(df: DataFrame, text_col: str, f: Callable[[Iterator[bytes]], list[bool]]) -> DataFrame:
+    """Rows, all columns as they are, whose text `f` (over a batch's texts) keeps: no join, so ids don't matter."""
+    place = df.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield b.filter(pa.array(f(text_bytes(b.column(place))), pa.bool_()))
+
+    return df.mapInArrow(run, df.schema)

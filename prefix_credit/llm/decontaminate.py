@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import alnum_words, map_arrow, mixed, table, text_bytes
+from .common import alnum_words, keep_where, map_arrow, mixed, table, text_bytes
 
 _HITS = "doc_id long, item_id long, start_word long, n_words int, edits int, similarity double"
 
@@ -185,6 +185,18 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, similarity: float = 0.8,
     return out if out is not None else docs.sparkSession.createDataFrame([], _HITS)
 
 
+def without_contaminated(docs: DataFrame, benchmark: DataFrame, similarity: float = 0.8, recall: float = 0.99, sampled: int = 4, least_words: int = 5, block_words: int = 400_000) -> DataFrame:
+    """Rows of `docs`, all columns, that hold no benchmark item."""
+    for items in item_blocks(benchmark, "item_id", "text", least_words, block_words):
+        index = ItemIndex(items, similarity, sampled, tables_for(recall, sampled))
+
+        def clean(texts, index: ItemIndex = index) -> list[bool]:
+            return [next(index.matches(alnum_words(raw)), None) is None for raw in texts]
+
+        docs = keep_where(docs, "text", clean)
+    return docs
+
+
 def op1_cgk_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every (document, benchmark item) where the document holds the item within a fifth of its words in edits."""
     return contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))

@@ -163,3 +163,36 @@ def scan(docs: DataFrame, threshold: float = 0.8, templates: list[tuple[str, str
 def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Contract query: every document with its phrases and license labels."""
     return scan(table(spark, sf_dir, "documents")).drop("blocks")
+
+
+def _sql_list(words: list[bytes]) -> str:
+    return "[" + ", ".join(f"'{w.decode()}'" for w in words) + "]"
+
+
+def oracle(threshold: float = 0.8) -> str:
+    """The contract query in DuckDB's SQL: every block against every template, without the index."""
+    rows = []
+    for label, text, name in TEMPLATES:
+        tokens = sorted(set(alnum_words(text.encode())))
+        phrase = b" ".join(alnum_words(name.encode())).decode()
+        rows.append(f"('{label}', {_sql_list(tokens)}, ' {phrase} ', {ceil(threshold * len(tokens) - 1e-9)})")
+    phrases = ", ".join(f"('{label}', {_sql_list(p.encode().split())})" for p, label in PHRASES.items())
+    words = r"regexp_extract_all(translate({0}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
+    return f"""
+WITH t(label, toks, name, need) AS (VALUES {", ".join(rows)}), ph(label, ws) AS (VALUES {phrases}),
+d AS (SELECT doc_id, {words.format("coalesce(text, '')")} AS w, string_split(coalesce(text, ''), chr(10)) AS ls FROM documents),
+l0 AS (SELECT doc_id, unnest(ls) AS l, unnest(range(len(ls))) AS k FROM d),
+l AS (SELECT doc_id, w, row_number() OVER (PARTITION BY doc_id ORDER BY k) AS k FROM (SELECT doc_id, k, {words.format("l")} AS w FROM l0) z WHERE len(w) > 0),
+b AS (SELECT doc_id, w FROM l UNION ALL SELECT a.doc_id, list_concat(a.w, c.w) FROM l a JOIN l c ON c.doc_id = a.doc_id AND c.k = a.k + 1),
+bn AS (SELECT doc_id, row_number() OVER () AS block, w, ' ' || array_to_string(w, ' ') || ' ' AS j FROM b),
+m AS (SELECT doc_id, block, label, len(list_intersect(w, toks)) / CAST(len(toks) AS DOUBLE) AS c FROM bn JOIN t ON contains(j, name) WHERE len(list_intersect(w, toks)) >= need),
+mt AS (SELECT doc_id, label, c FROM (SELECT *, max(c) OVER (PARTITION BY doc_id, block) AS top FROM m) z WHERE c = top),
+f AS (SELECT doc_id, label, place - 1 AS place FROM (SELECT doc_id, w, ph.label, ws, unnest(range(1, len(w) + 1)) AS place FROM d JOIN ph ON contains(' ' || array_to_string(w, ' ') || ' ', ' ' || array_to_string(ws, ' ') || ' ')) z
+      WHERE w[place:place + len(ws) - 1] = ws),
+fb AS (SELECT doc_id, count(*) AS n_base, min(place) AS first_word, max(place) AS last_word, string_agg(DISTINCT label, ',' ORDER BY label) AS base_labels FROM f GROUP BY 1),
+al AS (SELECT doc_id, string_agg(DISTINCT label, ',' ORDER BY label) AS labels FROM (SELECT doc_id, label FROM f UNION ALL SELECT doc_id, label FROM mt) z GROUP BY 1),
+sc AS (SELECT doc_id, max(c) AS c FROM mt GROUP BY 1)
+SELECT d.doc_id, len(w) AS n_words, coalesce(n_base, 0) AS n_base, first_word, last_word, coalesce(base_labels, '') AS base_labels, coalesce(labels, '') AS labels,
+  CASE WHEN n_base > 0 THEN 1.0 ELSE coalesce(c, 0.0) END::DOUBLE AS score
+FROM d LEFT JOIN fb ON fb.doc_id = d.doc_id LEFT JOIN al ON al.doc_id = d.doc_id LEFT JOIN sc ON sc.doc_id = d.doc_id
+"""

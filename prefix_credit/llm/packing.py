@@ -7,7 +7,8 @@ least total padding. Rows of a bucket are dealt into parts of about `part_rows`
 spreads over tasks.
 
 Null or empty texts have length 0 and go to the shortest bucket; a text longer than the budget is alone in its batch
-and keeps all its tokens; repeated rows each get a place; an empty table gives an empty result.
+and keeps all its tokens; repeated rows each get a place; an empty table gives an empty result; columns of the input named
+like a result are replaced.
 """
 
 from __future__ import annotations
@@ -66,15 +67,15 @@ def pack(df: DataFrame, id_col: str, length: str, buckets: int = 16, token_budge
     pick = lambda values: F.element_at(F.array(*map(F.lit, values)), F.col("bucket") + 1)
     parts = [max(1, -(-counts[b] // part_rows)) for b in range(len(edges))]
     out = df.withColumn("bucket", bucket).withColumn("bucket_len", pick([int(e) for e in edges]).cast("long"))
-    out = out.withColumn("part", F.pmod(F.xxhash64(id_col), pick([int(p) for p in parts]).cast("long")))
-    at = F.row_number().over(Window.partitionBy("bucket", "part").orderBy(F.col(id_col).asc_nulls_first())) - 1
+    out = out.withColumn("__part", F.pmod(F.xxhash64(id_col), pick([int(p) for p in parts]).cast("long")))
+    at = F.row_number().over(Window.partitionBy("bucket", "__part").orderBy(F.col(id_col).asc_nulls_first())) - 1
     room = pick([max(1, token_budget // max(1, int(e))) for e in edges])
     return (
-        out.withColumn("at", at)
-        .withColumn("batch", F.concat_ws("-", "bucket", "part", F.floor(F.col("at") / room)))
-        .withColumn("position", (F.col("at") % room).cast("int"))
+        out.withColumn("__at", at)
+        .withColumn("batch", F.concat_ws("-", "bucket", "__part", F.floor(F.col("__at") / room)))
+        .withColumn("position", (F.col("__at") % room).cast("int"))
         .withColumn("padding", F.col("bucket_len") - F.col(length))
-        .drop("at", "part")
+        .drop("__at", "__part")
     )
 
 

@@ -7,7 +7,8 @@ salt, id) from counts per (index, salt) instead of a global sort, so no task see
 a third of all rows in one cell spreads over `salts` windows.
 
 Null metadata sorts lowest; null or empty texts have size 1 and CRC 0 of the empty string; repeated rows and ids each
-keep a slot of their own; an empty table gives an empty result; more columns of the input are ignored.
+keep a slot of their own; an empty table gives an empty result; more columns of
+the input are carried along, but for those named like the results (curve, rank, total, shard, slot), which are replaced.
 """
 
 from __future__ import annotations
@@ -73,16 +74,16 @@ def hilbert_order(df: DataFrame, dims: list[str], bits: int = 4) -> DataFrame:
 def gapless_rank(df: DataFrame, order: str, tie: str, salts: int) -> DataFrame:
     """Adds `rank` (long, from 0) along (order, salt, tie) and `total`, from counts of (order, salt) groups.
 
-    `order` must have a bounded number of values."""
-    df = df.withColumn("salt", F.pmod(F.xxhash64(tie), F.lit(salts)))
-    groups = df.groupBy(order, "salt").agg(F.count(F.lit(1)).alias("n"))
-    cells = groups.groupBy(order).agg(F.sum("n").alias("cell_n"))
+    `order` must have a bounded number of values. Columns named rank or total are replaced."""
+    df = df.drop("rank", "total").withColumn("__salt", F.pmod(F.xxhash64(tie), F.lit(salts)))
+    groups = df.groupBy(order, "__salt").agg(F.count(F.lit(1)).alias("__n"))
+    cells = groups.groupBy(order).agg(F.sum("__n").alias("__cell"))
     one = Window.partitionBy(F.lit(0))
-    cells = cells.select(order, (F.sum("cell_n").over(one.orderBy(order)) - F.col("cell_n")).alias("before"), F.sum("cell_n").over(one).alias("total"))
-    inside = Window.partitionBy(order).orderBy("salt")
-    groups = groups.join(F.broadcast(cells), order).select(order, "salt", (F.col("before") + F.sum("n").over(inside) - F.col("n")).alias("before"), "total")
-    ranked = df.withColumn("at", F.row_number().over(Window.partitionBy(order, "salt").orderBy(F.col(tie).asc_nulls_first())))
-    return ranked.join(groups, [order, "salt"]).withColumn("rank", F.col("before") + F.col("at") - 1).drop("before", "at", "salt")
+    cells = cells.select(order, (F.sum("__cell").over(one.orderBy(order)) - F.col("__cell")).alias("__before"), F.sum("__cell").over(one).alias("total"))
+    inside = Window.partitionBy(order).orderBy("__salt")
+    groups = groups.join(F.broadcast(cells), order).select(order, "__salt", (F.col("__before") + F.sum("__n").over(inside) - F.col("__n")).alias("__before"), "total")
+    ranked = df.withColumn("__at", F.row_number().over(Window.partitionBy(order, "__salt").orderBy(F.col(tie).asc_nulls_first())))
+    return ranked.join(groups, [order, "__salt"]).withColumn("rank", F.col("__before") + F.col("__at") - 1).drop("__before", "__at", "__salt")
 
 
 def cut_runs(df: DataFrame, shards: int) -> DataFrame:

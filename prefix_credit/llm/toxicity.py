@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import alnum_words, map_arrow, table, text_bytes
+from .common import alnum_words, keep_where, map_arrow, table, text_bytes
 
 PLACES = 1 << 22
 
@@ -148,6 +148,17 @@ def severity(docs: DataFrame, model: OrdinalModel, cut: float = 0.5) -> DataFram
     return map_arrow(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), batch, "doc_id long, expected_severity double, p_toxic double, grade int, toxic boolean")
 
 
+def without_toxic(docs: DataFrame, model: OrdinalModel, cut: float = 0.5) -> DataFrame:
+    """Rows of `docs`, all columns, that the model does not call toxic."""
+
+    def clean(texts) -> list[bool]:
+        cache = Places(model.places)
+        eta = np.array([model.score(cache.of(raw)) for raw in texts])
+        return (model.at_least(eta)[:, 0] < cut).tolist()
+
+    return keep_where(docs, "text", clean)
+
+
 def op4_ordinal_toxicity(spark, sf_dir: str) -> DataFrame:
     """Every document with its expected severity and whether it is rejected."""
     docs = table(spark, sf_dir, "documents")
