@@ -18,19 +18,20 @@ def _without(docs: DataFrame, ids: DataFrame) -> DataFrame:
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the ordinal model, fitted on the labels, does not call toxic."""
-    model = toxicity.fit(docs, table(spark, sf_dir, "labels"))
-    return _without(docs, toxicity.severity(docs, model).filter("toxic"))
+    """Documents that the ordinal model, fitted on the labels, does not call toxic; null or empty texts stay."""
+    return toxicity.without_toxic(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, the one with the smallest id, of each group of near-duplicates: five words a shingle, 0.8 or more alike."""
+    """One document, the one with the smallest id, of each group of near-duplicates: five words a shingle, 0.8 or more alike.
+
+    Rows repeated with their id are one document and stay as often as they came; texts without words stay."""
     return _without(docs, near_dup.near_duplicates(docs, n=5, num=80, den=100).filter("not kept"))
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold no benchmark item."""
-    return _without(docs, decontaminate.contaminated(docs, table(spark, sf_dir, "benchmark")))
+    return decontaminate.without_contaminated(docs, table(spark, sf_dir, "benchmark"))
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
