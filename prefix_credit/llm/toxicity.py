@@ -2,7 +2,8 @@
 
 Grades: 0 clean; 1 toxic in text of good quality; 2 toxic in text of poor quality. One weight vector is shared by all
 thresholds: P(grade <= k) = sigmoid(cut_k - w.x); the output has the expected severity (sum over k of P(grade >= k)).
-x marks which words and word stems (leading 4 to 8 bytes) the whole text holds, hashed to 2**22 places. The fit takes at most `max_rows` labelled rows, the
+x marks which words and word stems (leading 4 to 8 bytes) the whole text holds, and stems that several distinct words
+of it share, hashed to 2**22 places. The fit takes at most `max_rows` labelled rows, the
 first in the order of a hash of the id (a documented bound); scoring covers every row.
 
 A null or empty text has no features and gets the base severity of a text without signs; labels that are null are not
@@ -12,6 +13,7 @@ empty result.
 
 from __future__ import annotations
 
+from collections import Counter
 from dataclasses import dataclass
 
 import numpy as np
@@ -25,8 +27,17 @@ from .common import alnum_words, keep_where, map_arrow, table, text_bytes
 PLACES = 1 << 22
 
 
+_MARKS = (2, 4)
+
+
+def _marked(place: int, least: int) -> int:
+    """Place of the feature that `least` words or more of a text share the stem at `place`."""
+    return (place * 2_654_435_761 + least * 40_503) % PLACES
+
+
 class Places(dict):
-    """Hashed places of a word: the word itself and its leading 4 to 8 bytes (stems), all or only those in `wanted`."""
+    """Hashed places of a word: the word itself and its leading 4 to 8 bytes (stems), all or only those that some feature
+    in `wanted` needs."""
 
     bound = 300_000
 
@@ -34,21 +45,28 @@ class Places(dict):
         super().__init__()
         self.wanted = None if wanted is None else frozenset(wanted.tolist())
 
+    def needed(self, place: int) -> bool:
+        return place in self.wanted or any(_marked(place, k) in self.wanted for k in _MARKS)
+
     def __missing__(self, word: bytes) -> tuple[int, ...]:
         if len(self) >= self.bound:
             self.clear()
         got = [xxhash.xxh3_64_intdigest(word) >> 42]
         got += [xxhash.xxh3_64_intdigest(word[:k], k) >> 42 for k in range(4, min(9, len(word)))]
-        out = self[word] = tuple(got) if self.wanted is None else tuple(g for g in got if g in self.wanted)
+        out = self[word] = tuple(got) if self.wanted is None else tuple(g for g in got if self.needed(g))
         return out
 
     def of(self, raw: bytes) -> np.ndarray:
-        """Distinct places of the whole text, sorted."""
-        found: set[int] = set()
+        """Distinct places of the whole text, sorted: each word and stem, and stems that 2 or 4 distinct words share."""
+        found: Counter[int] = Counter()
         for places in map(self.__getitem__, set(alnum_words(raw))):
             if places:
                 found.update(places)
-        return np.array(sorted(found), np.int32)
+        every = set(found)
+        for place, n in found.items():
+            if n > 1:
+                every.update(_marked(place, k) for k in _MARKS if n >= k)
+        return np.array(sorted(every), np.int32)
 
 
 @dataclass
@@ -67,9 +85,10 @@ class OrdinalModel:
         return 1 / (1 + np.exp(np.clip(self.cuts[None, :] - np.asarray(eta)[:, None], -60, 60)))
 
 
-def fit_ordinal(rows: np.ndarray, cols: np.ndarray, grades: np.ndarray, n_cols: int, l1: float = 2e-5, steps: int = 800) -> tuple[np.ndarray, np.ndarray]:
+def fit_ordinal(rows: np.ndarray, cols: np.ndarray, grades: np.ndarray, n_cols: int, l1: float | None = None, steps: int = 800) -> tuple[np.ndarray, np.ndarray]:
     """(weights, cuts) by accelerated proximal gradient on the cumulative-link likelihood with an L1 penalty."""
     n, top = len(grades), int(grades.max())
+    l1 = 0.3 / n if l1 is None else l1
     rate = np.array([(grades >= k).mean() for k in range(1, top + 1)])
     cuts = np.log((1 - rate) / rate)
     w, v = np.zeros(n_cols), np.zeros(n_cols)
