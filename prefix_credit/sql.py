@@ -90,3 +90,30 @@ def install(spark: SparkSession, sf_dir: str) -> None:
     spark.udtf.register("trie_of", TrieOf)
     spark.udtf.register("parse_plan", ParsePlan)
     spark.udf.register("overlap_judge", overlap_judge)
+
+
+def parse_in_batches(df, text_col: str, parser) -> object:
+    """Batches of exotic plan text through a Python parser: `parser(text)` gives (verb, target, receptacle) triples."""
+
+    def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in parts:
+            pdf = pdf.assign(actions=[[dict(zip(("action_type", "target_obj", "receptacle_obj"), a, strict=True)) for a in parser(t or "")] for t in pdf[text_col]])
+            yield pdf
+
+    return df.mapInPandas(run, ", ".join(f"`{c}` {t}" for c, t in df.dtypes) + ", actions array<struct<action_type:string,target_obj:string,receptacle_obj:string>>")
+
+
+def policy_meets_judge(steps, verdicts):
+    """Cogrouped exchange between the policy's side (task, traj, n_steps) and the judges' (task, traj, vote): mean vote and
+    mean length of each task."""
+
+    def one(key: tuple, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame({"task": [key[0]], "plans": [left["traj"].nunique()], "mean_steps": [float(left["n_steps"].mean()) if len(left) else None], "mean_vote": [float(right["vote"].mean()) if len(right) else None]})
+
+    return steps.groupBy("task").cogroup(verdicts.groupBy("task")).applyInPandas(one, "task long, plans long, mean_steps double, mean_vote double")
+
+
+@F.pandas_udf(DoubleType())
+def mean_reward(v: pd.Series) -> float:
+    """A custom reward summary as a grouped aggregate: the mean without the best and the worst."""
+    return float(v.sort_values().iloc[1:-1].mean() if len(v) > 2 else v.mean())
