@@ -93,3 +93,30 @@ def op9_length_bucket_packing(spark, sf_dir: str) -> DataFrame:
     from .common import table
 
     return packed_documents(table(spark, sf_dir, "documents"))
+
+
+def oracle(buckets: int = 16, token_budget: int = 65_536, fine: int = 1024) -> str:
+    """The query in DuckDB's SQL, one CTE a layer of the dynamic program; for tables whose buckets need one part."""
+    sql = f"""
+WITH d AS (SELECT doc_id, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+')) AS BIGINT) AS n_tokens FROM documents),
+h AS (SELECT max(n_tokens) AS l, count(*) AS n, sum(n_tokens) AS s FROM d GROUP BY CASE WHEN n_tokens <= {fine} THEN n_tokens ELSE -floor(log2(n_tokens) * 64) END),
+b AS (SELECT row_number() OVER (ORDER BY l) AS j, CAST(l AS DOUBLE) AS l, CAST(sum(n) OVER (ORDER BY l) AS DOUBLE) AS n, CAST(sum(s) OVER (ORDER BY l) AS DOUBLE) AS s FROM h),
+c AS MATERIALIZED (SELECT y.j, x.j + 1 AS i, y.l * (y.n - x.n) - (y.s - x.s) AS cost FROM b y JOIN (SELECT j, n, s FROM b UNION ALL SELECT 0, 0, 0) x ON x.j < y.j),
+k1 AS MATERIALIZED (SELECT j, cost AS v, CAST(1 AS BIGINT) AS i FROM c WHERE i = 1)"""
+    for k in range(2, buckets + 1):
+        sql += f""",
+k{k} AS MATERIALIZED (SELECT c.j, min(coalesce(p.v, 0) + cost) AS v, arg_min(c.i, (coalesce(p.v, 0) + cost, c.i)) AS i FROM c LEFT JOIN k{k - 1} p ON p.j = c.i - 1 GROUP BY c.j)"""
+    sql += f""",
+e{buckets} AS (SELECT max(j) AS j FROM b)"""
+    for k in range(buckets - 1, 0, -1):
+        sql += f""",
+e{k} AS (SELECT i - 1 AS j FROM k{k + 1} JOIN e{k + 1} ON e{k + 1}.j = k{k + 1}.j WHERE i > 1)"""
+    every = " UNION ALL ".join(f"SELECT j FROM e{k}" for k in range(1, buckets + 1))
+    return (
+        sql
+        + f""",
+edges AS (SELECT row_number() OVER (ORDER BY l) - 1 AS bucket, CAST(l AS BIGINT) AS l, CAST(coalesce(lag(l) OVER (ORDER BY l), -1) AS BIGINT) AS below FROM b WHERE j IN ({every})),
+p AS (SELECT d.*, CAST(bucket AS INTEGER) AS bucket, l AS bucket_len, greatest(1, {token_budget} // greatest(1, l)) AS room, row_number() OVER (PARTITION BY bucket ORDER BY doc_id) - 1 AS place FROM d JOIN edges ON n_tokens > below AND n_tokens <= l)
+SELECT doc_id, n_tokens, bucket, bucket_len, bucket || '-0-' || (place // room) AS batch, CAST(place % room AS INTEGER) AS position, bucket_len - n_tokens AS padding FROM p
+"""
+    )

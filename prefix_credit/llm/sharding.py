@@ -62,7 +62,7 @@ def hilbert_order(df: DataFrame, dims: list[str], bits: int = 4) -> DataFrame:
     """Adds `curve`, the Hilbert index of the row's cell in `dims`, each cut into 2**bits quantile bins."""
     side = 1 << bits
     numbers = {d: as_number(df, d) for d in dims}
-    cuts = df.agg(*(F.percentile_approx(numbers[d], [k / side for k in range(1, side)], 1000).alias(d) for d in dims)).first()
+    cuts = df.agg(*(F.percentile_approx(numbers[d], [k / side for k in range(1, side)], 50_000).alias(d) for d in dims)).first()
     cell = F.lit(0)
     for d in dims:
         bounds = sorted({c for c in cuts[d] or [] if c is not None})
@@ -75,7 +75,9 @@ def gapless_rank(df: DataFrame, order: str, tie: str, salts: int) -> DataFrame:
     """Adds `rank` (long, from 0) along (order, salt, tie) and `total`, from counts of (order, salt) groups.
 
     `order` must have a bounded number of values. Columns named rank or total are replaced."""
-    df = df.drop("rank", "total").withColumn("__salt", F.pmod(F.xxhash64(tie), F.lit(salts)))
+    whole = dict(df.dtypes)[tie] in ("bigint", "int", "smallint", "tinyint")
+    spread = F.pmod(F.pmod(F.coalesce(F.col(tie), F.lit(0)), F.lit(1_000_003)) * 7919 + 104_729, F.lit(1_000_003)) if whole else F.xxhash64(tie)
+    df = df.drop("rank", "total").withColumn("__salt", F.pmod(spread, F.lit(salts)))
     groups = df.groupBy(order, "__salt").agg(F.count(F.lit(1)).alias("__n"))
     cells = groups.groupBy(order).agg(F.sum("__n").alias("__cell"))
     one = Window.partitionBy(F.lit(0))
@@ -112,3 +114,28 @@ def op2_hilbert_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
         )
     )
     return shard_by_curve(meta, ["source", "lang", "n_chars"], "doc_id", 16).select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "curve")
+
+
+def oracle(shards: int = 16, bits: int = 4, salts: int = 4096) -> str:
+    """The contract query in DuckDB's SQL, for tables small enough that the quantiles are exact."""
+    side = 1 << bits
+    digit = lambda x: f"(strpos('0123456789ABCDEF', {x}) - 1)"
+    text = lambda c: f"list_reduce(list_transform(range(1, 13), lambda k: CAST({digit(f"rpad(left(hex(encode(coalesce({c}, ''))), 12), 12, '0')[k]")} AS DOUBLE)), lambda x, y: x * 16 + y)"
+    dims = {"a": text("source"), "b": text("lang"), "c": "coalesce(CAST(n_chars AS DOUBLE), -1e308)"}
+    cuts = ", ".join(f"list_distinct(quantile_disc({d}, [{', '.join(str(k / side) for k in range(1, side))}])) AS q{d}" for d in dims)
+    cell = " + ".join(f"{side ** (len(dims) - 1 - k)} * len(list_filter(q{d}, lambda q: {d} > q))" for k, d in enumerate(dims))
+    return f"""
+WITH t AS (
+  SELECT list_transform(range(256), lambda i: list_reduce(list_concat([CAST(i AS BIGINT)], CAST(range(8) AS BIGINT[])), lambda c, k: CASE WHEN c % 2 = 1 THEN xor(3988292384, c // 2) ELSE c // 2 END)) AS t
+), crc AS (
+  SELECT doc_id, xor(4294967295, list_reduce(list_concat([4294967295], list_transform(range(octet_length(encode(coalesce(text, '')))),
+    lambda k: CAST({digit("h[2 * k + 1]")} * 16 + {digit("h[2 * k + 2]")} AS BIGINT))), lambda a, b: xor(t[xor(a % 256, b) + 1], a // 256))) AS text_crc32
+  FROM (SELECT doc_id, text, string_split(hex(encode(coalesce(text, ''))), '') AS h FROM documents) x, t
+), m AS (
+  SELECT doc_id, CAST(coalesce(octet_length(encode(text)), 0) + 1 AS BIGINT) AS size, text, {", ".join(f"{e} AS {d}" for d, e in dims.items())} FROM documents
+), q AS (SELECT {cuts} FROM m),
+h AS (SELECT doc_id, size, text, {curve_table(len(dims), bits)}[{cell} + 1] AS curve FROM m CROSS JOIN q),
+r AS (SELECT *, row_number() OVER (ORDER BY curve, (((doc_id % 1000003) * 7919 + 104729) % 1000003) % {salts}, doc_id) - 1 AS place, count(*) OVER () AS total FROM h),
+s AS (SELECT *, CAST(place * {shards} // total AS INTEGER) AS shard FROM r)
+SELECT s.doc_id, size, CAST(text_crc32 AS BIGINT) AS text_crc32, 'rows' AS law, shard, place - (shard * total + {shards - 1}) // {shards} AS slot, CAST(NULL AS INTEGER) AS grown_shard, curve FROM s JOIN crc ON crc.doc_id = s.doc_id
+"""
