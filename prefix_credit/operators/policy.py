@@ -15,12 +15,15 @@ def with_history(steps: DataFrame, order: int) -> DataFrame:
     return steps.withColumn("history", F.concat_ws("|", *parts) if parts else F.lit(""))
 
 
-def fit_policy(steps: DataFrame, alpha: float = 1.0, order: int = 1, vocabulary: DataFrame | None = None) -> DataFrame:
-    """(history, action, p) over the vocabulary of actions, add-`alpha` smoothed. The vocabulary is a column `action` of
-    distinct action texts; histories are those seen."""
-    rows = with_history(steps, order).select("history", trie.action_text(F.col("action")).alias("action"))
-    seen = rows.groupBy("history", "action").agg(F.count(F.lit(1)).alias("c"))
-    words = rows.select("action").distinct() if vocabulary is None else vocabulary.select("action").distinct()
+def action_counts(steps: DataFrame, order: int = 1, by: list[str] | None = None) -> DataFrame:
+    """(by, history, action, c): sufficient statistics of tabular policies, summed before the shuffle."""
+    rows = with_history(steps, order).select(*(by or []), "history", trie.action_text(F.col("action")).alias("action"))
+    return rows.groupBy(*(by or []), "history", "action").agg(F.count(F.lit(1)).alias("c"))
+
+
+def fit_counts(seen: DataFrame, alpha: float = 1.0, vocabulary: DataFrame | None = None) -> DataFrame:
+    """(history, action, p) from (history, action, c), add-`alpha` smoothed over the vocabulary of actions."""
+    words = (seen if vocabulary is None else vocabulary).select("action").distinct()
     if words.limit(100_001).count() > 100_000:
         raise ValueError("a tabular policy is meant for a vocabulary of at most 100,000 actions")
     grid = seen.select("history").distinct().crossJoin(F.broadcast(words))
@@ -28,6 +31,11 @@ def fit_policy(steps: DataFrame, alpha: float = 1.0, order: int = 1, vocabulary:
     return full.withColumn("p", F.col("c") / F.sum("c").over(Window.partitionBy("history"))).select("history", "action", "p")
 
 
+def fit_policy(steps: DataFrame, alpha: float = 1.0, order: int = 1, vocabulary: DataFrame | None = None) -> DataFrame:
+    """Policy of keyed steps; histories are those seen."""
+    return fit_counts(action_counts(steps, order), alpha, vocabulary)
+
+
 def update_policy(policy: DataFrame, advantages: DataFrame, step_size: float) -> DataFrame:
     """Exponentiated-weights step: p * exp(step * mean advantage of (history, action)), renormalised."""
     mean = advantages.groupBy("history", "action").agg(F.avg("advantage").alias("a"))

@@ -322,13 +322,18 @@ def group_size_by_verb(spark, sf):
 
 
 def order_policies(spark, sf) -> dict[str, DataFrame]:
-    """Order-1 tabular policies fitted on plans before 1998 (old), from 1998 (new), and all (reference)."""
+    """Order-1 tabular policies fitted on plans before 1998 (old), from 1998 (new), and all (reference): one pass for the
+    counts of all three, kept as a small table."""
+    from .session import work_dir
+
     plans = W.order_plans(spark, sf)
-    steps = trie.with_prefix_keys(plans)
-    words = steps.select(trie.action_text(F.col("action")).alias("action")).distinct()
     early = F.to_date("o_orderdate") < F.lit("1998-01-01").cast("date")
-    cut = {"old": plans.filter(early), "new": plans.filter(~early), "ref": plans}
-    return {k: policy.fit_policy(trie.with_prefix_keys(p), 1.0, 1, words) for k, p in cut.items()}
+    steps = trie.with_prefix_keys(plans.select(F.struct("task", early.alias("early")).alias("task"), "traj", "r", "steps"))
+    at = f"{work_dir(spark)}/counts"
+    policy.action_counts(steps.withColumn("early", F.col("task.early")), 1, ["early"]).coalesce(1).write.parquet(at)
+    seen = spark.read.parquet(at)
+    both = seen.groupBy("history", "action").agg(F.sum("c").alias("c"))
+    return {"old": policy.fit_counts(seen.filter("early"), vocabulary=seen), "new": policy.fit_counts(seen.filter("not early"), vocabulary=seen), "ref": policy.fit_counts(both)}
 
 
 def order_ratios(spark, sf) -> DataFrame:
@@ -358,7 +363,7 @@ def sibling_loss(spark, sf):
     steps = policy.with_history(trie.with_prefix_keys(W.order_plans(spark, sf)), 1)
     nodes = steps.withColumn("ret", trie.discounted_return(C.gamma)).groupBy("task", F.col("t").alias("depth"), "parent_key", "node_key", "history", trie.action_text(F.col("action")).alias("action")).agg(F.avg("ret").alias("q"), F.count(F.lit(1)).alias("n"))
     ratios = order_ratios(spark, sf)
-    kl = ratios.groupBy("history").agg(F.sum(F.col("p_new") * F.ln(F.col("p_new") / F.col("p_ref"))).alias("kl"))
+    kl = ratios.groupBy("history").agg(F.sum(F.col("p_new") * F.ln(F.col("p_new") / F.col("p_ref"))).alias("kl"))  # a few rows of a policy table
     rows = credit.sibling_advantage(nodes, C.eps).filter("k > 1").join(F.broadcast(ratios), ["history", "action"]).join(F.broadcast(kl), "history")
     one = lambda norm, name: objective.sibling_loss(rows, C.clip, C.kl_weight, norm).groupBy("depth").agg(F.sum("loss").alias(name), F.count(F.lit(1)).alias("parents"))
     out = one("children", "loss").join(one("visits", "loss_by_visits").drop("parents"), "depth")
