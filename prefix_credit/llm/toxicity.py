@@ -136,21 +136,24 @@ def fit(docs: DataFrame, labels: DataFrame, max_rows: int = 8_000, least_texts:
     if len(grades) == 0 or grades.max() == 0 or grades.min() > 0:
         return OrdinalModel(np.empty(0, np.int32), np.empty(0), np.array([60.0]))
     lists = got.column("places").combine_chunks()
-    lists = lists.take(pa.array(order))
-    cols = lists.flatten().to_numpy()
-    rows = np.repeat(np.arange(len(grades)), np.diff(lists.offsets.to_numpy()))
+    del got
+    cols, sizes = lists.flatten().to_numpy(), np.diff(lists.offsets.to_numpy())
+    rows = np.empty(len(order), np.int32)
+    rows[order] = np.arange(len(order), dtype=np.int32)  # texts in the order of their ids, whatever order they came in
+    rows, base = np.repeat(rows, sizes), (grades > 0).mean()
     df = np.bincount(cols, minlength=PLACES)
-    hits, base = np.bincount(cols[(grades > 0)[rows]], minlength=PLACES), (grades > 0).mean()
+    hits = np.bincount(cols[(grades > 0)[rows]], minlength=PLACES)
     z = np.where(df >= least_texts, np.abs(hits - df * base) / np.sqrt(np.maximum(df, 1) * base * (1 - base)), 0)
     stay = np.argsort(-z, kind="stable")[: min(most_places, int((z > 3.5).sum()))]
     stay.sort()
-    new = np.full(PLACES, -1)
+    new = np.full(PLACES, -1, np.int32)
     new[stay] = np.arange(len(stay))
-    keep = new[cols] >= 0
+    keep = np.flatnonzero(new[cols] >= 0)
+    rows, cols = rows[keep], new[cols[keep]]
     missing = np.setdiff1d(np.arange(1, grades.max() + 1), grades)
     if len(missing):  # a grade without rows has no threshold of its own
         grades = np.minimum(grades, 1)
-    weights, cuts = fit_ordinal(rows[keep], new[cols[keep]], grades, len(stay))
+    weights, cuts = fit_ordinal(rows, cols, grades, len(stay))
     return OrdinalModel(stay.astype(np.int32), weights, cuts)
 
 
