@@ -40,6 +40,15 @@ def longs(df: DataFrame, *cols: str) -> DataFrame:
     return df.withColumns({c: F.col(c).cast("long") for c in cols})
 
 
+def kept(spark: SparkSession, df: DataFrame) -> DataFrame:
+    """A result that several branches read, written once to the shared folder."""
+    from .session import work_dir
+
+    at = f"{work_dir(spark)}/kept"
+    df.write.parquet(at)
+    return spark.read.schema(df.schema).parquet(at)
+
+
 # ---- corpus ---------------------------------------------------------------------------------------------------------
 
 
@@ -179,7 +188,7 @@ def training_intensity(spark, sf):
 @query
 def discard_vs_quota(spark, sf):
     """Draws and effective samples by task: zero-advantage discard against the quotas' first round."""
-    drawn = baselines.discard_sampling(part_pool(spark, sf).join(part_outcomes(spark, sf, 1), ["sample_id", "task"]), strata.modular_order(F.col("sample_id")), oracles.SUBSET)
+    drawn = baselines.discard_sampling(kept(spark, part_pool(spark, sf).join(part_outcomes(spark, sf, 1), ["sample_id", "task"])), strata.modular_order(F.col("sample_id")), oracles.SUBSET)
     history, _ = quota_history(spark, sf, 1)
     side = lambda df, m: measures.sampling_cost(df, ["task"]).withColumn("method", F.lit(m))
     return rounded(longs(side(drawn, "discard").unionByName(side(history, "quota")), "sampled", "effective"), "cost")
@@ -188,7 +197,7 @@ def discard_vs_quota(spark, sf):
 @query
 def task_balance(spark, sf):
     """How evenly effective samples spread over tasks, both methods."""
-    rows = discard_vs_quota(spark, sf)
+    rows = kept(spark, discard_vs_quota(spark, sf))
     one = lambda m: measures.task_balance(rows.filter(F.col("method") == m)).withColumn("method", F.lit(m))
     return rounded(longs(one("discard").unionByName(one("quota")), "most", "least"), "ratio", "variation", "mean_gap")
 
@@ -387,7 +396,7 @@ def round_ledger(spark, sf):
 
 def part_scores(spark, sf) -> DataFrame:
     """Score sheet: share of right answers by brand (benchmark) and brand family (category) for three selections (systems)."""
-    rows = strata.stratify(part_candidates(spark, sf)).join(load(spark, sf, "part", ["p_partkey", "p_brand"]), F.col("sample_id") == F.col("p_partkey"))
+    rows = kept(spark, strata.stratify(part_candidates(spark, sf)).join(load(spark, sf, "part", ["p_partkey", "p_brand"]), F.col("sample_id") == F.col("p_partkey")))
     order = strata.modular_order(F.col("sample_id"))
     pick = {
         "filtered": strata.select_for_tuning(rows.drop("p_partkey", "p_brand"), C.easy_share, order).select("sample_id"),
@@ -657,7 +666,7 @@ def pivot_strata(spark, sf):
 @query
 def set_overlap(spark, sf):
     """Samples that filtered and random selection share, and those of one alone."""
-    rows = strata.stratify(part_candidates(spark, sf))
+    rows = kept(spark, strata.stratify(part_candidates(spark, sf)))
     order = strata.modular_order(F.col("sample_id"))
     a = strata.select_for_tuning(rows, C.easy_share, order).select("sample_id")
     b = strata.random_selection(rows.select("sample_id"), 500, order, "sample_id")
