@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..plans.forms import bounded_broadcast
 from . import trie
 
 
@@ -75,7 +76,7 @@ def sample_answers(policy: DataFrame, samples: DataFrame, k: int, temperature: f
 def sample_rollouts(policy: DataFrame, tasks: DataFrame, k: int, max_steps: int, seed: int, stop: str, temperature: float = 1.0) -> DataFrame:
     """k plans a task (column task), drawn step by step from an order-1 policy until `stop` or `max_steps`; one
     small-table join a step. (task, traj, actions array<string>)."""
-    table = F.broadcast(with_bounds(tempered(policy, temperature)))
+    table = bounded_broadcast(with_bounds(tempered(policy, temperature)))
     now = tasks.select("task", F.explode(F.sequence(F.lit(1).cast("long"), F.lit(k).cast("long"))).alias("traj")).withColumns({"history": F.lit(""), "actions": F.array().cast("array<string>"), "live": F.lit(True)})
     for t in range(1, max_steps + 1):
         drawn = _drawn(uniform(seed, "task", "traj", F.lit(t)))

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..plans.forms import bounded_broadcast
+
 EASY, UNCERTAIN, HARD = "easy", "uncertain", "hard"
 
 
@@ -49,7 +51,7 @@ def select_for_tuning(strata: DataFrame, easy_share: float, order: Column, easy_
     if EASY not in keep:
         return whole
     base = strata.groupBy("task").agg(F.count_if(F.col("stratum") == (EASY if easy_base == "easy" else UNCERTAIN)).alias("_base"))
-    easy = strata.filter(F.col("stratum") == EASY).join(F.broadcast(base), "task")
+    easy = strata.filter(F.col("stratum") == EASY).join(bounded_broadcast(base), "task")
     at = F.row_number().over(Window.partitionBy("task").orderBy(order, "sample_id"))
     easy = easy.withColumn("_at", at).filter(F.col("_at") <= F.ceil(F.round(F.col("_base") * easy_share, 9))).select(*strata.columns)
     return whole.unionByName(easy)

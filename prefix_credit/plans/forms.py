@@ -1,8 +1,11 @@
-"""Choice of physical form, and what a plan costs before it runs."""
+"""Physical choices made from cheap checks of size."""
 
 from __future__ import annotations
 
-from ..functions.measures import explain_cost
-from ..operators.credit import choose_form
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-__all__ = ["choose_form", "explain_cost"]
+
+def bounded_broadcast(df: DataFrame, rows: int = 200_000) -> DataFrame:
+    """The table with a broadcast hint if it has at most `rows` rows, else as it is, for a shuffled join."""
+    return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df

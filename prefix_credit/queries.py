@@ -11,6 +11,7 @@ from . import oracles
 from .config import DEFAULTS as C
 from .functions import actions, measures, rewards
 from .operators import baselines, credit, joins, objective, policy, quota, replan, rounds, strata, trie
+from .plans.forms import bounded_broadcast
 from .sources import workloads as W
 from .sources.tables import load, with_props
 
@@ -373,7 +374,7 @@ def sibling_loss(spark, sf):
     nodes = steps.withColumn("ret", trie.discounted_return(C.gamma)).groupBy("task", F.col("t").alias("depth"), "parent_key", "node_key", "history", trie.action_text(F.col("action")).alias("action")).agg(F.avg("ret").alias("q"), F.count(F.lit(1)).alias("n"))
     ratios = order_ratios(spark, sf)
     kl = ratios.groupBy("history").agg(F.sum(F.col("p_new") * F.ln(F.col("p_new") / F.col("p_ref"))).alias("kl"))  # a few rows of a policy table
-    rows = credit.sibling_advantage(nodes, C.eps).filter("k > 1").join(F.broadcast(ratios), ["history", "action"]).join(F.broadcast(kl), "history")
+    rows = credit.sibling_advantage(nodes, C.eps).filter("k > 1").join(bounded_broadcast(ratios), ["history", "action"]).join(bounded_broadcast(kl), "history")
     one = lambda norm, name: objective.sibling_loss(rows, C.clip, C.kl_weight, norm).groupBy("depth").agg(F.sum("loss").alias(name), F.count(F.lit(1)).alias("parents"))
     out = one("children", "loss").join(one("visits", "loss_by_visits").drop("parents"), "depth")
     return rounded(longs(out, "depth", "parents"), "loss", "loss_by_visits")
@@ -563,7 +564,7 @@ def geometry(spark, sf) -> DataFrame:
     v = load(spark, sf, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"), "label")
     flat = v.select("label", F.posexplode("v").alias("i", "x")).filter("i < 18").groupBy("label", "i").agg(F.avg("x").alias("x"))
     truth = flat.groupBy("label").agg(F.transform(F.sort_array(F.collect_list(F.struct("i", "x"))), lambda s: s["x"]).alias("g"))
-    return v.select("vec_id", "label", F.slice("v", 1, 18).alias("v")).join(F.broadcast(truth), "label")
+    return v.select("vec_id", "label", F.slice("v", 1, 18).alias("v")).join(bounded_broadcast(truth), "label")
 
 
 def box(v: str, at: int, dims: int) -> Column:

@@ -11,6 +11,7 @@ from pyspark.sql.streaming import StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..operators import trie
+from ..plans.forms import bounded_broadcast
 
 
 def clean_stream(events: DataFrame, delay: str = "1 day") -> DataFrame:
@@ -79,7 +80,7 @@ def stream_queue(outcomes: DataFrame, r_max: int = 3) -> DataFrame:
 
 def stream_with_thresholds(events: DataFrame, thresholds: DataFrame, on: str) -> DataFrame:
     """Stream rows with the static threshold of their key."""
-    return events.join(F.broadcast(thresholds), on, "left")
+    return events.join(bounded_broadcast(thresholds), on, "left")
 
 
 def stream_votes(plans: DataFrame, votes: DataFrame, within: str = "1 hour") -> DataFrame:
