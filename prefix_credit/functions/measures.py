@@ -91,6 +91,15 @@ def length_stats(plans: DataFrame) -> DataFrame:
     return plans.agg(F.count(F.lit(1)).alias("plans"), F.avg(n).alias("mean_steps"), F.max(n).cast("long").alias("max_steps"), F.percentile(n, 0.5).alias("median_steps"))
 
 
+def prefix_counts(nodes: DataFrame, by: list[str], how: str = "exact") -> DataFrame:
+    """Distinct prefixes of each group: exact, approximate, or from a mergeable sketch (column `sketch` for later merges)."""
+    key = F.xxhash64("task", "depth", "node_key")
+    if how == "sketch":
+        out = nodes.groupBy(*by).agg(F.hll_sketch_agg(key, F.lit(14)).alias("sketch"))
+        return out.withColumn("prefixes", F.hll_sketch_estimate("sketch"))
+    return nodes.groupBy(*by).agg((F.countDistinct(key) if how == "exact" else F.approx_count_distinct(key, 0.01)).alias("prefixes"))
+
+
 def relative_overhead(method: float, baseline: float) -> float:
     return (method - baseline) / baseline
 

@@ -58,6 +58,16 @@ def next_quota(eta_ema: Column, subset_size: Column | float, n_tasks: Column | i
     return (F.ceil(raw) if rounding == "ceil" else F.floor(raw)).cast("long")
 
 
+def largest_remainder(rates: DataFrame, total: int, floor: float) -> DataFrame:
+    """(task, quota) that add up to `total` exactly: shares in proportion to 1 / rate, rounded down, the rest to the largest
+    remainders. One row a task."""
+    need = rates.select("task", (1 / F.greatest("eta_ema", F.lit(floor))).alias("w"))
+    all_ = Window.partitionBy()
+    raw = need.withColumn("raw", F.round(F.col("w") * total / F.sum("w").over(all_), 9)).withColumn("base", F.floor("raw"))
+    place = F.row_number().over(Window.orderBy(F.desc(F.col("raw") - F.col("base")), "task"))
+    return raw.withColumn("_at", place).withColumn("_left", F.lit(total) - F.sum("base").over(all_)).select("task", (F.col("base") + (F.col("_at") <= F.col("_left")).cast("long")).alias("quota"))
+
+
 def quota_of(rate: float, subset_size: int, n_tasks: int, floor: float) -> int:
     return math.ceil(round(subset_size / (n_tasks * max(rate, floor)), 9))
 

@@ -130,3 +130,19 @@ def test_entropy(spark):
     rows = spark.createDataFrame([(1, "a"), (1, "a"), (2, "a"), (2, "b")], "sample_id long, answer string")
     got = {r["sample_id"]: r["entropy"] for r in strata.answer_entropy(rows).collect()}
     assert got[1] == pytest.approx(0) and got[2] == pytest.approx(0.693147, abs=1e-6)
+
+
+def test_largest_remainder_adds_up(spark):
+    rates = spark.createDataFrame([("a", 0.9), ("b", 0.3), ("c", 0.0), ("d", 0.5)], "task string, eta_ema double")
+    got = {r["task"]: r["quota"] for r in quota.largest_remainder(rates, 800, 1 / 64).collect()}
+    assert sum(got.values()) == 800 and got["c"] > got["b"] > got["d"] > got["a"]
+
+
+def test_prefix_counts(spark):
+    from prefix_credit.functions import measures
+
+    nodes = spark.range(5000).select((F.col("id") % 5).alias("task"), F.lit(1).alias("depth"), (F.col("id") % 2000).alias("node_key"))
+    exact = {r["task"]: r["prefixes"] for r in measures.prefix_counts(nodes, ["task"]).collect()}
+    assert set(exact.values()) == {400}
+    for how in ("approximate", "sketch"):
+        assert all(abs(r["prefixes"] - 400) < 20 for r in measures.prefix_counts(nodes, ["task"], how).collect())
