@@ -78,14 +78,14 @@ def merge_trie(state: DataFrame, delta: DataFrame) -> DataFrame:
 
 
 def trie_shape(nodes: DataFrame, per_task: bool = True) -> DataFrame:
-    """Branching parents, leaves and mean sibling group size of each task's tree (or of all pooled)."""
-    by = ["task"] if per_task else []
+    """Branching parents, leaves and mean sibling group size of each task's tree (or of all pooled).
+
+    Every parent of k children adds k - 1 leaves to the one of a bare path, so leaves need no second pass."""
     groups = nodes.groupBy("task", "depth", "parent_key").agg(F.count(F.lit(1)).alias("k"))
-    branching = groups.filter("k > 1").groupBy(*by).agg(F.count(F.lit(1)).alias("branching"), F.sum("k").alias("children"))
-    inner = groups.select("task", (F.col("depth") - 1).alias("depth"), F.col("parent_key").alias("node_key"))
-    leaves = nodes.join(inner, ["task", "depth", "node_key"], "left_anti").groupBy(*by).agg(F.count(F.lit(1)).alias("leaves"))
-    out = leaves.join(branching, by, "left") if by else leaves.crossJoin(branching)
-    out = out.withColumns({c: F.coalesce(c, F.lit(0)) for c in ("branching", "children")})
+    many = F.col("k") > 1
+    out = groups.groupBy("task").agg(F.count_if(many).alias("branching"), F.sum(F.when(many, F.col("k")).otherwise(0)).alias("children"), (F.sum(F.col("k") - 1) + 1).alias("leaves"))
+    if not per_task:
+        out = out.agg(*(F.sum(c).alias(c) for c in ("branching", "children", "leaves")))
     return out.withColumn("group_size", F.try_divide(F.col("children").cast("double"), F.col("branching")))
 
 

@@ -372,7 +372,7 @@ def sibling_loss(spark, sf):
     """Loss by depth: clipped gain of each child less the weighted divergence, by children and by visits."""
     steps = policy.with_history(trie.with_prefix_keys(W.order_plans(spark, sf)), 1)
     nodes = steps.withColumn("ret", trie.discounted_return(C.gamma)).groupBy("task", F.col("t").alias("depth"), "parent_key", "node_key", "history", trie.action_text(F.col("action")).alias("action")).agg(F.avg("ret").alias("q"), F.count(F.lit(1)).alias("n"))
-    ratios = order_ratios(spark, sf)
+    ratios = kept(spark, order_ratios(spark, sf))
     kl = ratios.groupBy("history").agg(F.sum(F.col("p_new") * F.ln(F.col("p_new") / F.col("p_ref"))).alias("kl"))  # a few rows of a policy table
     rows = credit.sibling_advantage(nodes, C.eps).filter("k > 1").join(bounded_broadcast(ratios), ["history", "action"]).join(bounded_broadcast(kl), "history")
     one = lambda norm, name: objective.sibling_loss(rows, C.clip, C.kl_weight, norm).groupBy("depth").agg(F.sum("loss").alias(name), F.count(F.lit(1)).alias("parents"))
