@@ -208,19 +208,21 @@ def host_of(url: Column) -> Column:
 
 
 def host_templates(pages: DataFrame, least_pages: int, least_share: float) -> DataFrame:
-    """(host, template): hashes of subtrees that recur across the host's pages; pages (host, html), whole copies once."""
-    once = pages.groupBy("host", F.xxhash64("html").alias("same"), F.octet_length("html").alias("size")).agg(F.first("html").alias("html")).select("host", "html")
+    """(host, template): hashes of subtrees that recur across the host's pages; pages (host, html), whole copies once.
+
+    Only hashes are shuffled, never pages."""
 
     def batch(b: pa.RecordBatch) -> dict:
-        hosts, hashes = [], []
+        hosts, whole, hashes = [], [], []
         for host, page in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-            got = {x.hash for x in walk_hashes(parse(page or "")) if x.texty and x.tag and x.tag not in OUTER}
+            got = {x.hash for x in walk_hashes(parse(page)) if x.texty and x.tag and x.tag not in OUTER}
             hosts.append(host)
+            whole.append(xxhash.xxh3_64_intdigest(page.encode("utf-8", "surrogatepass")) - 2**63)
             hashes.append(np.fromiter(got, np.uint64, len(got)).view(np.int64))
-        return {"host": hosts, "hashes": hashes}
+        return {"host": hosts, "page": whole, "hashes": hashes}
 
-    found = map_arrow(once, batch, "host string, hashes array<long>")
-    counted = found.select("host", F.explode("hashes").alias("h")).groupBy("host", "h").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= least_pages)
+    once = map_arrow(pages, batch, "host string, page long, hashes array<long>").groupBy("host", "page").agg(F.first("hashes").alias("hashes"))
+    counted = once.select("host", F.explode("hashes").alias("h")).groupBy("host", "h").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= least_pages)
     size = pages.groupBy("host").agg(F.count(F.lit(1)).alias("pages"))
     return counted.join(size, "host").filter(F.col("n") >= F.col("pages") * least_share).groupBy("host").agg(F.array_sort(F.collect_set("h")).alias("template"))
 
