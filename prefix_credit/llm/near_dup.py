@@ -6,11 +6,14 @@ Steps, each a DataFrame:
    (folded to one key per band) and a 128-bit sketch of further minima;
 2. texts with the same word sequence form a class; only the smallest id of a class goes on, so thousands of
    copies cost one row;
-3. members of a band bucket meet the bucket's centre and a few neighbours in size order, never all each other;
-   buckets beyond `chunk` rows are salted into chunks whose centres meet in turn;
+3. members of a band bucket meet the bucket's centre and a few neighbours in size order; buckets beyond `chunk`
+   rows are salted into chunks whose centres meet in turn. This only joins most copies early, at a row each;
 4. pairs whose sizes or sketches rule the threshold out go; the rest is checked on full shingle sets, first one
    pair per text, then only pairs that the first round left in different components;
-5. components by alternating large-star and small-star rounds.
+5. in buckets whose members are still in different components, each meets the member nearest the bucket's majority
+   sketch (the base of a star of copies), and then every two members that are still apart meet, block against block,
+   so no pair that shares a bucket and may reach the threshold goes unchecked unless it is linked already;
+6. components by alternating large-star and small-star rounds.
 
 Null or blank texts have an empty set and are linked with nothing. Rows with a null id are dropped from no result:
 they get their own null component. A repeated id is taken as one document per distinct text; repeated rows stay
@@ -22,7 +25,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import WordHashes, map_arrow, mixed, space_words, staged, text_bytes, unstaged
@@ -94,11 +97,23 @@ def shingle_sets(docs: DataFrame, n: int) -> DataFrame:
     return map_arrow(docs, batch, "doc_id long, shingles array<long>")
 
 
-def bucket_pairs(members: DataFrame, num: int, den: int, near: int, chunk: int, agree: int) -> DataFrame:
-    """Pairs (a < b) from (doc_id, n_shingles, bucket, sketch_hi, sketch_lo): each member with its chunk's centre and
-    with `near` neighbours in size order; centres of the chunks of one bucket likewise."""
+def bucket_members(members: DataFrame) -> DataFrame:
+    """(doc_id, n_shingles, sketch_hi, sketch_lo, bucket) with bucket_n, where a bucket has two members or more."""
     sized = members.groupBy("bucket").agg(F.count(F.lit(1)).alias("bucket_n")).filter("bucket_n > 1")
-    members = members.join(sized, "bucket").withColumn("part", F.pmod(F.xxhash64("doc_id"), F.ceil(F.col("bucket_n") / F.lit(chunk))))
+    return members.join(sized, "bucket")
+
+
+def may_link(me: str, other: str, num: int, den: int, agree: int) -> Column:
+    """Sizes and sketches of the two rows (prefixes of their columns) don't rule the threshold out."""
+    n, o_n = F.col(f"{me}n_shingles"), F.col(f"{other}n_shingles")
+    same = F.lit(_SKETCH) - F.bit_count(F.col(f"{me}sketch_hi").bitwiseXOR(F.col(f"{other}sketch_hi"))) - F.bit_count(F.col(f"{me}sketch_lo").bitwiseXOR(F.col(f"{other}sketch_lo")))
+    return (F.lit(den) * F.least(n, o_n) >= F.lit(num) * F.greatest(n, o_n)) & (same >= agree)
+
+
+def bucket_pairs(members: DataFrame, num: int, den: int, near: int, chunk: int, agree: int) -> DataFrame:
+    """First pairs (a < b) of bucket_members: each member with its chunk's centre and with `near` neighbours in size
+    order; centres of the chunks of one bucket likewise."""
+    members = members.withColumn("part", F.pmod(F.xxhash64("doc_id"), F.ceil(F.col("bucket_n") / F.lit(chunk))))
 
     def met(df: DataFrame, keys: list[str]) -> DataFrame:
         me = F.struct("doc_id", "n_shingles", "sketch_hi", "sketch_lo")
@@ -108,12 +123,10 @@ def bucket_pairs(members: DataFrame, num: int, den: int, near: int, chunk: int,
         return df.select("doc_id", "n_shingles", "sketch_hi", "sketch_lo", F.array(centre, *others).alias("met"))
 
     def kept(df: DataFrame) -> DataFrame:
-        same = F.lit(_SKETCH) - F.bit_count(F.col("sketch_hi").bitwiseXOR(F.col("o.sketch_hi"))) - F.bit_count(F.col("sketch_lo").bitwiseXOR(F.col("o.sketch_lo")))
         return (
             df.select("doc_id", "n_shingles", "sketch_hi", "sketch_lo", F.explode("met").alias("o"))
             .filter(F.col("o").isNotNull() & (F.col("o.doc_id") != F.col("doc_id")))
-            .filter(F.lit(den) * F.least("n_shingles", "o.n_shingles") >= F.lit(num) * F.greatest("n_shingles", "o.n_shingles"))
-            .filter(same >= agree)
+            .filter(may_link("", "o.", num, den, agree))
             .select(F.least("doc_id", "o.doc_id").alias("a"), F.greatest("doc_id", "o.doc_id").alias("b"))
         )
 
@@ -123,6 +136,43 @@ def bucket_pairs(members: DataFrame, num: int, den: int, near: int, chunk: int,
     return inside.unionByName(across).distinct()
 
 
+def apart_members(members: DataFrame, groups: DataFrame) -> DataFrame:
+    """Bucket members with their component, of the buckets that hold two components or more."""
+    named = members.join(groups, "doc_id", "left").withColumn("component", F.coalesce("component_id", "doc_id")).drop("component_id")
+    split = named.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi").select("bucket")
+    return named.join(split, "bucket", "left_semi")
+
+
+def hub_pairs(apart: DataFrame, num: int, den: int, agree: int) -> DataFrame:
+    """Pairs (a < b) of each member with the one of its bucket whose sketch is nearest the bucket's majority bits."""
+    halves = ("sketch_hi", "sketch_lo")
+    ones = {f"{h}_{k}": F.sum(F.getbit(h, F.lit(k)).cast("int")) for h in halves for k in range(64)}
+    counts = apart.groupBy("bucket").agg(F.count(F.lit(1)).alias("m"), *(c.alias(name) for name, c in ones.items()))
+
+    def majority(h: str) -> Column:
+        bits = [F.when(2 * F.col(f"{h}_{k}") > F.col("m"), F.shiftleft(F.lit(1).cast("long"), k)).otherwise(F.lit(0).cast("long")) for k in range(64)]
+        return F.aggregate(F.array(*bits), F.lit(0).cast("long"), lambda x, y: x.bitwiseOR(y))
+
+    middle = counts.select("bucket", majority("sketch_hi").alias("mid_hi"), majority("sketch_lo").alias("mid_lo"))
+    far = F.bit_count(F.col("sketch_hi").bitwiseXOR(F.col("mid_hi"))) + F.bit_count(F.col("sketch_lo").bitwiseXOR(F.col("mid_lo")))
+    hub = apart.join(middle, "bucket").groupBy("bucket").agg(F.min_by(F.struct("doc_id", "n_shingles", *halves, "component"), F.struct(far, "doc_id")).alias("o"))
+    met = apart.join(hub, "bucket").filter(F.col("component") != F.col("o.component")).filter(may_link("", "o.", num, den, agree))
+    return met.select(F.least("doc_id", "o.doc_id").alias("a"), F.greatest("doc_id", "o.doc_id").alias("b")).distinct()
+
+
+def block_pairs(apart: DataFrame, num: int, den: int, agree: int, block: int) -> DataFrame:
+    """All pairs (a < b) of members of one bucket and different components that sizes and sketches don't rule out:
+    a bucket is salted into blocks of about `block` rows, and every block meets every other and itself."""
+    sized = apart.groupBy("bucket").agg(F.ceil(F.count(F.lit(1)) / F.lit(block)).alias("blocks"))
+    cut = apart.join(sized, "bucket").withColumn("part", F.pmod(F.xxhash64("doc_id"), "blocks"))
+    row = F.struct("doc_id", "n_shingles", "sketch_hi", "sketch_lo", "component")
+    left = cut.select("bucket", F.col("part").alias("x"), F.explode(F.sequence("part", F.col("blocks") - 1)).alias("y"), row.alias("l"))
+    right = cut.select("bucket", F.explode(F.sequence(F.lit(0).cast("long"), "part")).alias("x"), F.col("part").alias("y"), row.alias("r"))
+    met = left.join(right.hint("merge"), ["bucket", "x", "y"]).filter(F.col("l.component") != F.col("r.component"))
+    met = met.filter((F.col("x") < F.col("y")) | (F.col("l.doc_id") < F.col("r.doc_id"))).filter(may_link("l.", "r.", num, den, agree))
+    return met.select(F.least("l.doc_id", "r.doc_id").alias("a"), F.greatest("l.doc_id", "r.doc_id").alias("b")).distinct()
+
+
 def verified(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
     """Pairs (a, b) whose full sets reach the threshold."""
     left = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("sa"))
@@ -157,7 +207,7 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     return now.select(F.col("b").alias("doc_id"), F.col("a").alias("component_id")).unionByName(now.select(F.col("a").alias("doc_id"), F.col("a").alias("component_id")).distinct())
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, num: int = 80, den: int = 100, rows: int = 5, bands: int = 25, near: int = 3, chunk: int = 20_000) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, num: int = 80, den: int = 100, rows: int = 5, bands: int = 25, near: int = 3, chunk: int = 20_000, block: int = 2_000) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id, kept.
 
     Two texts are linked when their sets of n-word shingles have `den * |A & B| >= num * |A | B|`. With `rows` minima
@@ -176,13 +226,17 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     )
     expected = _SKETCH * (1 + num / den) / 2
     slack = 4.5 * (_SKETCH * (1 + num / den) / 2 * (1 - num / den) / 2) ** 0.5
-    pairs = staged(bucket_pairs(members, num, den, near, chunk, int(expected - slack)))
-
-    wanted = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
+    agree = int(expected - slack)
+    members = staged(bucket_members(members))
+    pairs = staged(bucket_pairs(members, num, den, near, chunk, agree))
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    wanted = wanted.join(reps.select("doc_id"), "doc_id", "left_semi")
-    sets = staged(shingle_sets(texts.join(wanted.hint("merge"), "doc_id", "left_semi"), n).dropDuplicates(["doc_id"]))
 
+    def sets_of(some: DataFrame) -> DataFrame:
+        wanted = some.select(F.col("a").alias("doc_id")).unionByName(some.select(F.col("b").alias("doc_id"))).distinct()
+        wanted = wanted.join(reps.select("doc_id"), "doc_id", "left_semi")
+        return staged(shingle_sets(texts.join(wanted.hint("merge"), "doc_id", "left_semi"), n).dropDuplicates(["doc_id"]))
+
+    sets = sets_of(pairs)
     first = pairs.groupBy("b").agg(F.min("a").alias("a"))
     links = staged(verified(first.select("a", "b"), sets, num, den))
     groups = staged(components(links))
@@ -190,7 +244,17 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     apart = pairs.join(first, ["a", "b"], "left_anti").join(at("a"), "a", "left").join(at("b"), "b", "left").filter(~F.coalesce(F.col("a_component"), F.col("a")).eqNullSafe(F.coalesce(F.col("b_component"), F.col("b"))))
     more = staged(verified(apart.select("a", "b"), sets, num, den))
     if not more.isEmpty():
-        groups = staged(components(links.unionByName(more)))
+        links = links.unionByName(more)
+        groups = staged(components(links))
+    for propose in (lambda m: hub_pairs(m, num, den, agree), lambda m: block_pairs(m, num, den, agree, block)):
+        rest = staged(propose(apart_members(members, groups)).join(pairs, ["a", "b"], "left_anti"))
+        if rest.isEmpty():
+            continue
+        pairs = pairs.unionByName(rest)
+        more = staged(verified(rest, sets_of(rest), num, den))
+        if not more.isEmpty():
+            links = links.unionByName(more)
+            groups = staged(components(links))
     classes = reps.join(groups, "doc_id", "left").select("class_hi", "class_lo", F.coalesce("component_id", "doc_id").alias("class_component"))
     return (
         signed.select("doc_id", "n_shingles", "class_hi", "class_lo")

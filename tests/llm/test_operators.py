@@ -64,6 +64,31 @@ def test_near_duplicates_against_brute_force(spark, how):
     assert got == brute_components(texts, how["n"], how["num"], 100)
 
 
+def test_near_duplicates_star_with_a_middle_base(spark):
+    rnd = random.Random(3)
+    base = [f"w{k}" for k in range(200)]
+    texts = {500: " ".join(base)}
+    for k in [*range(500), *range(501, 1001)]:
+        w = list(base)
+        for at in rnd.sample(range(3, 197), 5):
+            w[at] = f"n{rnd.randint(0, 10**9)}"
+        texts[k] = " ".join(w)
+    sets = {k: {tuple(w[i : i + 3]) for i in range(198)} for k, w in ((k, t.split()) for k, t in texts.items())}
+    linked = {k for k, s in sets.items() if 100 * len(s & sets[500]) >= 85 * len(s | sets[500])}
+    assert len(linked) == 1001
+    for how in ({}, {"block": 100}):
+        got = near_dup.near_duplicates(docs(spark, texts), n=3, num=85, rows=6, bands=21, **how).collect()
+        assert {r["component_id"] for r in got} == {0}
+
+
+def test_near_duplicates_every_bucket_pair_meets(spark):
+    rows = [(k, 100, 0, 0, 7, 0 if k < 30 else k) for k in range(50)]
+    apart = spark.createDataFrame(rows, "doc_id long, n_shingles long, sketch_hi long, sketch_lo long, bucket long, component long")
+    for block in (4, 1000):
+        got = near_dup.block_pairs(apart, 85, 100, 100, block).collect()
+        assert len(got) == len(set(got)) and {(r["a"], r["b"]) for r in got} == {(a, b) for a, b in itertools.combinations(range(50), 2) if b >= 30}
+
+
 def test_near_duplicates_odd_rows(spark):
     df = docs(spark, ODD).unionByName(docs(spark, {None: "same text here now"})).unionByName(docs(spark, {7: ODD[7]}))
     rows = near_dup.near_duplicates(df, n=3, num=85, rows=6, bands=21).collect()
