@@ -5,7 +5,7 @@ element subtree that carries text (tag, attributes but links, words), once per p
 hash), with partial sums before the shuffle. A subtree on at least `least_pages` pages and `least_share` of its host's
 pages is the site's template. The second pass joins each page with its own host's template hashes, deletes those
 subtrees, then deletes elements that are not the article by tag, role or class, and joins the remaining blocks; where the page
-marks its articles (article, main), only those count.
+marks its articles (article, main), only those count, and recurring subtrees go inside them as well.
 
 The page's outermost elements (html, body, main, article) and the hashes of pages that are whole copies of one another
 do not count: identical pages are counted once, so a page that many others copy keeps its text. Null or empty html
@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import html
 import re
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -181,20 +182,40 @@ def links_mostly(x: Node) -> bool:
     return 2 * inside >= every > 0
 
 
-def main_text(root: Node, template: frozenset[int] | set[int]) -> str:
-    """Blocks of what is left, in page order. Inside an article a recurring subtree goes only if it is mostly links:
-    sentences that many articles share are still their text."""
+def own_blocks(top: Node, template: frozenset[int] | set[int]) -> set[int]:
+    """Ids of recurring leaf blocks that are written like an unshared one next to them (same parent, tag and
+    attributes), and of titles (h1): the text of the article, though other articles have the sentence too."""
+    out, todo = set(), [top]
+    while todo:
+        x = todo.pop()
+        inner = [c for c in x.children if isinstance(c, Node) and not c.boiler]
+        todo.extend(inner)
+        leaves = [c for c in inner if c.texty and c.tag not in INLINE and not _has_blocks(c)]
+        alone = {c.seed for c in leaves if c.hash not in template}
+        out.update(id(c) for c in leaves if (c.seed in alone or c.tag == "h1") and c.hash in template)
+    return out
+
+
+def _has_blocks(x: Node) -> bool:
+    todo = [c for c in x.children if isinstance(c, Node)]
+    while todo:
+        y = todo.pop()
+        if y.texty and y.tag not in INLINE:
+            return True
+        todo.extend(c for c in y.children if isinstance(c, Node))
+    return False
+
+
+def _left(top: Node, goes: Callable[[Node], bool]) -> str:
     parts: list[str] = []
-    tops = articles(root)
-    whole = tops == [root]
-    todo: list = list(reversed(tops))
+    todo: list = [top]
     while todo:
         x = todo.pop()
         if isinstance(x, str):
             parts.append(html.unescape(x) if "&" in x else x)
             continue
         edge = "\n" if x.tag not in INLINE else ""
-        if x.boiler or x.tag and x.tag not in OUTER and x.hash in template and (whole or links_mostly(x)):
+        if x.boiler or goes(x):
             parts.append(edge)
             continue
         todo.append(edge)
@@ -203,6 +224,21 @@ def main_text(root: Node, template: frozenset[int] | set[int]) -> str:
     return " ".join("".join(parts).split())
 
 
+def main_text(root: Node, template: frozenset[int] | set[int]) -> str:
+    """Blocks of what is left, in page order. Inside an article a recurring subtree goes too, but for words within a
+    line and `own_blocks`; an article of which nothing would be left loses only subtrees that are mostly links."""
+    tops = articles(root)
+    recurs = lambda x: bool(x.tag) and x.tag not in OUTER and x.hash in template
+    if tops == [root]:
+        return _left(root, recurs)
+    texts = []
+    for top in tops:
+        own = own_blocks(top, template) if template else set()
+        text = _left(top, lambda x: recurs(x) and (links_mostly(x) or x.tag not in INLINE and id(x) not in own))  # noqa: B023
+        texts.append(text or _left(top, lambda x: recurs(x) and links_mostly(x)))
+    return " ".join(t for t in texts if t)
+
+
 def host_of(url: Column) -> Column:
     return F.lower(F.regexp_extract(F.coalesce(url, F.lit("")), r"^[a-zA-Z][\w+.-]*://(?:[^/?#@]*@)?([^/:?#]*)", 1))
 

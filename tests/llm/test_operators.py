@@ -468,3 +468,13 @@ def test_shared_sentences_of_articles_stay(spark):
     rows = [(k, "http://a.example/x", f"<nav><a>home</a></nav><article><p>The same first line.</p><p>story {k}</p><div><a>next</a> <a>last</a></div></article>") for k in range(20)]
     got = html_text.extract(spark.createDataFrame(rows, kind)).orderBy("page_id").first()
     assert got["text"] == "The same first line. story 0"
+
+
+def test_recurring_blocks_inside_articles_go(spark):
+    kind = "page_id long, url string, html string"
+    notice = "<div><h3>Join us</h3><p>Write to <b>our</b> list.</p></div><section>Opinions are those of writers.</section>"
+    rows = [(k, "http://a.example/x", f"<article><h1>Title {k}</h1><p>Shared <em>line</em> here.</p>{notice}<p>story {k} is <em>line</em></p></article>") for k in range(20)]
+    rows += [(50 + k, "http://b.example/x", f"<nav>menu {k}</nav><main><div><p>The same article</p></div></main>") for k in range(8)]
+    got = {r["page_id"]: r["text"] for r in html_text.extract(spark.createDataFrame(rows, kind)).collect()}
+    assert got[4] == "Title 4 Shared line here. story 4 is line"
+    assert got[52] == "The same article"  # nothing else would be left
