@@ -2,8 +2,8 @@
 
 Two Arrow passes with one Spark count between them. The first parses each whole page and emits a 64-bit hash of every
 element subtree that carries text (tag, attributes but links, words), once per page; Spark counts pages per (host,
-hash), with partial sums before the shuffle. A subtree on at least `least_pages` pages and `least_share` of its host's
-pages is the site's template. The second pass joins each page with its own host's template hashes, deletes those
+hash), with partial sums before the shuffle. A subtree on at least `least_pages` pages, and on `least_share` of its host's
+distinct pages or on `enough` of them, is the site's template. The second pass joins each page with its own host's template hashes, deletes those
 subtrees, then deletes elements that are not the article by tag, role or class, and joins the remaining blocks; where the page
 marks its articles (article, main), only those count, and recurring subtrees go inside them as well.
 
@@ -243,8 +243,9 @@ def host_of(url: Column) -> Column:
     return F.lower(F.regexp_extract(F.coalesce(url, F.lit("")), r"^[a-zA-Z][\w+.-]*://(?:[^/?#@]*@)?([^/:?#]*)", 1))
 
 
-def host_templates(pages: DataFrame, least_pages: int, least_share: float) -> DataFrame:
-    """(host, template): hashes of subtrees that recur across the host's pages; pages (host, html), whole copies once.
+def host_templates(pages: DataFrame, least_pages: int, least_share: float, enough: int = 100) -> DataFrame:
+    """(host, template): hashes of subtrees that recur across the host's pages; pages (host, html), whole copies once
+    in both counts. `enough` pages make a template on a host of any size.
 
     Only hashes are shuffled, never pages."""
 
@@ -258,9 +259,12 @@ def host_templates(pages: DataFrame, least_pages: int, least_share: float) -> Da
         return {"host": hosts, "page": whole, "hashes": hashes}
 
     once = map_arrow(pages, batch, "host string, page long, hashes array<long>").groupBy("host", "page").agg(F.first("hashes").alias("hashes"))
-    counted = once.select("host", F.explode("hashes").alias("h")).groupBy("host", "h").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= least_pages)
-    size = pages.groupBy("host").agg(F.count(F.lit(1)).alias("pages"))
-    return counted.join(size, "host").filter(F.col("n") >= F.col("pages") * least_share).groupBy("host").agg(F.array_sort(F.collect_set("h")).alias("template"))
+    # a null hash a page counts the host's distinct pages in the same exchange
+    each = once.select("host", F.explode(F.concat(F.array(F.lit(None).cast("long")), "hashes")).alias("h"))
+    counted = each.groupBy("host", "h").agg(F.count(F.lit(1)).alias("n")).filter(F.col("h").isNull() | (F.col("n") >= least_pages))
+    by_host = counted.groupBy("host").agg(F.max(F.when(F.col("h").isNull(), F.col("n"))).alias("pages"), F.collect_list(F.when(F.col("h").isNotNull(), F.struct("h", "n"))).alias("c"))
+    many = F.least(F.col("pages") * F.lit(least_share), F.lit(float(enough)))
+    return by_host.select("host", F.array_sort(F.transform(F.filter("c", lambda x: x["n"] >= many), lambda x: x["h"])).alias("template")).filter(F.size("template") > 0)
 
 
 def extract(pages: DataFrame, least_pages: int = 5, least_share: float = 0.1) -> DataFrame:

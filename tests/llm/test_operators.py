@@ -478,3 +478,11 @@ def test_recurring_blocks_inside_articles_go(spark):
     got = {r["page_id"]: r["text"] for r in html_text.extract(spark.createDataFrame(rows, kind)).collect()}
     assert got[4] == "Title 4 Shared line here. story 4 is line"
     assert got[52] == "The same article"  # nothing else would be left
+
+
+def test_templates_of_hosts_with_copies_and_of_big_hosts(spark):
+    kind = "host string, html string"
+    rows = [("a", f"<div>Welcome</div><p>a {k}</p>") for k in range(30)] + [("a", "<p>one copied page</p>")] * 400
+    rows += [("b", f"<div>Welcome</div><p>b {k}</p>" if k < 120 else f"<p>b {k}</p>") for k in range(1500)]
+    got = {r["host"]: len(r["template"]) for r in html_text.host_templates(spark.createDataFrame(rows, kind), 5, 0.1).collect()}
+    assert got == {"a": 1, "b": 1}
