@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -98,14 +100,55 @@ def part_answers(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.join(parts, F.col("l_partkey") == F.col("p_partkey")).select(F.col("p_partkey").alias("sample_id"), F.col("p_type").alias("task"), "rn", "n", (F.col("l_extendedprice") / F.col("l_quantity")).alias("answer"), F.col("p_retailprice").alias("truth"))
 
 
-def vector_answers(spark: SparkSession, sf_dir: str, k: int = 8) -> DataFrame:
-    """The k nearest other vectors of each, by inner product: (sample_id, task, cand_no, correct). Brute force over blocks
-    of a few thousand vectors; beyond that the search is approximate and not part of this module."""
+def nearest_blocks(v: DataFrame, k: int, block: int) -> DataFrame:
+    """(vec_id, label, o_id, o_label, dot): the k best other vectors of every row of `v` (vec_id, v, label) in each block.
+
+    Exact for any number of rows: rows are dealt into blocks of about `block`, every block as queries meets every block
+    as candidates in a group of its own, and only k rows a query leave a group."""
+    v = v.filter("vec_id is not null")
+    blocks = max(1, -(-v.count() // block))
+    part = F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int")
+    every = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    queries = v.select("*", part.alias("x")).select("*", every.alias("y")).groupBy("x", "y")
+    others = v.select("*", part.alias("y")).select("*", every.alias("x")).groupBy("x", "y")
+    kind = {f.name: f.dataType.simpleString() for f in v.schema.fields}
+    schema = f"vec_id {kind['vec_id']}, label {kind['label']}, o_id {kind['vec_id']}, o_label {kind['label']}, dot double"
+
+    def matrix(t: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+        rows = t["v"].to_pylist()
+        lengths = np.array([-1 if r is None else len(r) for r in rows])
+        out = np.zeros((len(rows), max(int(lengths.max(initial=0)), 1)))
+        for i, r in enumerate(rows):
+            if r:
+                out[i, : len(r)] = [np.nan if x is None else x for x in r]
+        return out, lengths
+
+    def best(left: pa.Table, right: pa.Table) -> pa.Table:
+        right = right.sort_by("vec_id")
+        (q, q_len), (o, o_len) = matrix(left), matrix(right)
+        width = max(q.shape[1], o.shape[1])
+        q, o = (np.pad(m, ((0, 0), (0, width - m.shape[1]))) for m in (q, o))
+        q_id, o_id = left["vec_id"].to_numpy(), right["vec_id"].to_numpy()
+        at, to, dots = [np.empty(0, int)], [np.empty(0, int)], [np.empty(0)]
+        for i in range(0, len(q), 256):
+            dot = np.round(q[i : i + 256] @ o.T, 9)
+            dot[np.isnan(dot) | (q_len[i : i + 256, None] != o_len) | (q_len[i : i + 256, None] < 0)] = -np.inf
+            order = np.argsort(-dot, axis=1, kind="stable")  # ids ascend, so ties take the smaller one
+            for r, row in enumerate(order):
+                row = row[: k + 64] if len(row) > k + 64 and (o_id[row[: k + 64]] != q_id[i + r]).sum() >= k else row
+                row = row[o_id[row] != q_id[i + r]][:k]
+                at.append(np.full(len(row), i + r))
+                to.append(row)
+                dots.append(dot[r, row])
+        at, to = np.concatenate(at), np.concatenate(to)
+        return pa.table({"vec_id": left["vec_id"].take(at), "label": left["label"].take(at), "o_id": right["vec_id"].take(to), "o_label": right["label"].take(to), "dot": np.concatenate(dots)})
+
+    return queries.cogroup(others).applyInArrow(best, schema)
+
+
+def vector_answers(spark: SparkSession, sf_dir: str, k: int = 8, block: int = 4_000) -> DataFrame:
+    """The k nearest other vectors of each, by inner product: (sample_id, task, cand_no, correct). Exact, by blocks."""
     v = load(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"), "label")
-    if v.count() > 5_000:
-        raise ValueError("the brute-force join is kept for a few thousand vectors")
-    other = v.select(F.col("vec_id").alias("o_id"), F.col("v").alias("o_v"), F.col("label").alias("o_label"))
-    dot = F.aggregate(F.zip_with("v", "o_v", lambda a, b: a * b), F.lit(0.0), lambda a, x: a + x)
-    pairs = v.join(F.broadcast(other), F.col("vec_id") != F.col("o_id")).withColumn("dot", F.round(dot, 9))
     by = Window.partitionBy("vec_id").orderBy(F.desc("dot"), "o_id")
-    return pairs.withColumn("cand_no", F.row_number().over(by)).filter(F.col("cand_no") <= k).select(F.col("vec_id").alias("sample_id"), F.col("label").cast("string").alias("task"), "cand_no", (F.col("label") == F.col("o_label")).alias("correct"))
+    nearest = nearest_blocks(v, k, block).withColumn("cand_no", F.row_number().over(by)).filter(F.col("cand_no") <= k)
+    return nearest.select(F.col("vec_id").alias("sample_id"), F.col("label").cast("string").alias("task"), "cand_no", (F.col("label") == F.col("o_label")).alias("correct"))

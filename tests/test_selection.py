@@ -1,9 +1,11 @@
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from prefix_credit.config import DEFAULTS as C
 from prefix_credit.operators import baselines, quota, strata
 from prefix_credit.queries import part_candidates, part_outcomes, part_pool, quota_history
+from prefix_credit.sources import workloads
 
 SF01 = "/root/testdata/sf0.01"
 
@@ -146,3 +148,19 @@ def test_prefix_counts(spark):
     assert set(exact.values()) == {400}
     for how in ("approximate", "sketch"):
         assert all(abs(r["prefixes"] - 400) < 20 for r in measures.prefix_counts(nodes, ["task"], how).collect())
+
+
+def test_vector_answers_of_more_rows_than_a_block(spark, tmp_path):
+    rng = np.random.default_rng(4)
+    m = rng.normal(size=(5_200, 8)).astype(np.float32).astype(float)
+    m[17], m[4_000] = m[3], m[3]
+    label = rng.integers(0, 3, len(m))
+    rows = [(k, [float(x) for x in v], int(c)) for k, (v, c) in enumerate(zip(m, label, strict=True))]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").write.parquet(str(tmp_path / "embeddings.parquet"))
+    dot = np.round(m @ m.T, 9)
+    np.fill_diagonal(dot, -np.inf)
+    want = np.argsort(-dot, axis=1, kind="stable")[:, :8]
+    for block in (700, 10_000):
+        got = workloads.vector_answers(spark, str(tmp_path), 8, block).toPandas().sort_values(["sample_id", "cand_no"])
+        assert len(got) == 8 * len(m) and (got.cand_no.to_numpy().reshape(-1, 8) == np.arange(1, 9)).all()
+        assert (got.correct.to_numpy().reshape(-1, 8) == (label[want] == label[:, None])).all()
