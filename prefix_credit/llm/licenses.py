@@ -1,7 +1,8 @@
 """License scan: exact set-similarity join of text blocks with license templates.
 
 Base: places where one of three phrases stands word for word. The method's own labels: a block (the words of one
-line, and of each two neighbouring lines, so that a line break inside a notice does not hide it) is joined with every
+line, of each two neighbouring lines, and of longer runs up to a template's length, so that line breaks inside a
+notice do not hide it) is joined with every
 template of which it holds at least `threshold` of the distinct words:
 
 * tokens are ordered by how many blocks of the whole corpus hold them, rarest first (one counting pass over all
@@ -9,8 +10,8 @@ template of which it holds at least `threshold` of the distinct words:
 * prefix filter: a block that reaches the threshold holds one of a template's first |T| - need + 1 tokens;
 * length filter: it has at least `need` distinct words;
 * positional filter: with the first common token at place p of the template, at most |T| - p can be common;
-* the rest is counted exactly; the phrase that names the license must stand in the block, and of a block's templates only those
-  with the largest containment count, since notices share most of their words.
+* the rest is counted exactly; the phrase that names the license must stand in the block, and a template whose
+  common words all lie inside a better match does not count, since notices share most of their words.
 
 Templates are a short fixed list, so they travel with the tasks; documents are never shuffled. Null or empty texts
 have no words, no labels and score 0; repeated rows are scanned alike; an empty table gives an empty result.
@@ -56,15 +57,30 @@ TEMPLATES = [
 ]
 
 
-def blocks(raw: bytes) -> list[tuple[int, list[bytes]]]:
-    """(first word's number, words) of each line and of each two neighbouring lines that have words."""
+LONGEST = max(len(alnum_words(t.encode())) for _, t, _ in TEMPLATES)
+
+
+def blocks(raw: bytes, longest: int | None = None) -> list[tuple[int, list[bytes]]]:
+    """(first word's number, words) of each line that has words, of each two neighbouring ones, and of each run of more
+    lines whose inner lines leave room for words of both outer ones in `longest` words (the longest template's)."""
+    longest = LONGEST if longest is None else longest
     lines, n = [], 0
     for line in raw.split(b"\n"):
         words = alnum_words(line)
         if words:
             lines.append((n, words))
         n += len(words)
-    return lines + [(a, x + y) for (a, x), (_, y) in zip(lines, lines[1:], strict=False)]
+    out = lines + [(a, x + y) for (a, x), (_, y) in zip(lines, lines[1:], strict=False)]
+    for i, (at, words) in enumerate(lines):
+        run, inner = words, 0
+        for j in range(i + 1, len(lines)):
+            run = run + lines[j][1]
+            if j > i + 1:
+                inner += len(lines[j - 1][1])
+                if inner + 2 > longest:
+                    break
+                out.append((at, run))
+    return out
 
 
 def block_frequencies(docs: DataFrame, vocabulary: set[bytes], text_col: str = "text") -> dict[bytes, int]:
@@ -99,7 +115,8 @@ class TemplateIndex:
         self.seeds = frozenset(self.prefix)
 
     def joined(self, words: list[bytes]) -> list[tuple[str, float]]:
-        """(label, containment) of the templates that the block reaches best."""
+        """(label, containment) of the templates that the block reaches, but those whose common words all are common to
+        a template that it reaches better."""
         have, joined = set(words), b" " + b" ".join(words) + b" "
         first: dict[int, int] = {}
         for w in self.seeds.intersection(have):
@@ -110,11 +127,10 @@ class TemplateIndex:
             label, tokens, need, names = self.entries[k]
             if len(have) < need or len(tokens) - place < need:
                 continue
-            common = sum(w in have for w in tokens)
-            if common >= need and names in joined:
-                out.append((label, common / len(tokens)))
-        top = max((c for _, c in out), default=0.0)
-        return [(label, c) for label, c in out if c == top]
+            common = have.intersection(tokens)
+            if len(common) >= need and names in joined:
+                out.append((label, len(common) / len(tokens), common))
+        return [(label, c) for label, c, common in out if not any(o > c and common <= other for _, o, other in out)]
 
 
 def phrase_places(words: list[bytes], joined: bytes, phrases: list[tuple[list[bytes], str]]) -> list[tuple[int, str]]:
@@ -137,6 +153,7 @@ def scan(docs: DataFrame, threshold: float = 0.8, templates: list[tuple[str, str
     """One row per document: doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, and blocks (start, label, containment)."""
     templates = TEMPLATES if templates is None else templates
     vocabulary = {w for _, t, _ in templates for w in alnum_words(t.encode())}
+    longest = max((len(alnum_words(t.encode())) for _, t, _ in templates), default=0)
     index = TemplateIndex(templates, block_frequencies(docs, vocabulary, text_col), threshold)
     phrases = [(p.encode().split(), label) for p, label in PHRASES.items()]
 
@@ -147,7 +164,7 @@ def scan(docs: DataFrame, threshold: float = 0.8, templates: list[tuple[str, str
             base = phrase_places(words, b" " + b" ".join(words) + b" ", phrases)
             found = []
             if not index.seeds.isdisjoint(words):
-                for at, block in blocks(raw):
+                for at, block in blocks(raw, longest):
                     if not index.seeds.isdisjoint(block):
                         found += [(at, label, c) for label, c in index.joined(block)]
             labels = sorted({x for _, x in base})

@@ -384,6 +384,14 @@ def test_license_join_loses_nothing(spark):
         assert {(b["start"], b["label"], round(b["containment"], 9)) for b in r["blocks"]} == want
 
 
+def test_license_notices_over_many_lines_and_two_in_a_line(spark):
+    wrapped = "Permission is hereby\n granted, free of\n charge, to any\n\n person obtaining\n a copy of this\n software and\n associated\n documentation files"
+    both = "licensed under the GNU General Public License, version 3. Permission is hereby granted, free of charge, to any person obtaining a copy of this software and files"
+    texts = [wrapped, both, "licensed under the GNU General Public License, version 3"]
+    got = [r["labels"] for r in licenses.scan(docs(spark, texts)).orderBy("doc_id").collect()]
+    assert got == ["mit", "gpl-3,mit", "gpl-3"]
+
+
 def test_license_phrases_and_odd_rows(spark):
     texts = [*ODD, "Under the MIT-License, under the mit license; cc by-nc", "Apache License Version 2.0", "mit mit mit der mit", "a\nReleased under the\nMIT License"]
     got = [r for r in licenses.scan(docs(spark, texts)).orderBy("doc_id").collect()]
