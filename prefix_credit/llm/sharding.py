@@ -1,7 +1,7 @@
 """Hilbert-curve sharding: quantised metadata dimensions, curve index, runs of the curve cut into shards.
 
-Everything runs as DataFrame expressions. Each dimension is cut at quantiles of the whole column (strings by their
-leading bytes, so that files keep lexical min/max ranges); the cell's place on the Hilbert curve comes from a lookup
+Everything runs as DataFrame expressions. Each dimension is cut at quantiles of the whole column (whole strings by
+their bytes, so that files keep lexical min/max ranges); the cell's place on the Hilbert curve comes from a lookup
 table of `2 ** (bits * dimensions)` entries made from the curve's rule. Rows get a gapless rank along (curve index,
 salt, id) from counts per (index, salt) instead of a global sort, so no task sees more than one salt of one cell and
 a third of all rows in one cell spreads over `salts` windows.
@@ -51,22 +51,36 @@ def curve_table(dimensions: int, bits: int) -> list[int]:
     return [hilbert_index(tuple(cell // side**k % side for k in range(dimensions - 1, -1, -1)), bits) for cell in range(side**dimensions)]
 
 
-def as_number(df: DataFrame, name: str) -> Column:
-    """A double that orders like the column: strings by their first six bytes."""
+def as_ordered(df: DataFrame, name: str) -> Column:
+    """The column as it is compared: whole strings by their bytes, all else as doubles; null lowest."""
     if dict(df.dtypes)[name] == "string":
-        return F.conv(F.hex(F.substring(F.rpad(F.coalesce(F.col(name), F.lit("")).cast("binary"), 6, F.lit(b"\x00")), 1, 6)), 16, 10).cast("double")
+        return F.coalesce(F.col(name), F.lit(""))
     return F.coalesce(F.col(name).cast("double"), F.lit(float("-inf")))
 
 
+def string_cuts(df: DataFrame, value: Column, side: int, parts: int = 64) -> list[str]:
+    """Exact quantiles of whole strings: cumulative counts of distinct values, range by range, so no task sees them all."""
+    counts = df.groupBy(value.alias("v")).agg(F.count(F.lit(1)).alias("n")).repartitionByRange(parts, "v")
+    counts = staged(counts.withColumn("part", F.spark_partition_id()))
+    one = Window.partitionBy(F.lit(0))
+    sums = counts.groupBy("part").agg(F.sum("n").alias("m"))
+    sums = sums.select("part", (F.sum("m").over(one.orderBy("part")) - F.col("m")).alias("before"), F.sum("m").over(one).alias("total"))
+    ends = counts.join(F.broadcast(sums), "part").withColumn("end", F.col("before") + F.sum("n").over(Window.partitionBy("part").orderBy("v")))
+    return [r["v"] for r in ends.filter(F.expr(f"least({side - 1}, ({side} * end) div total) > ({side} * (end - n)) div total")).select("v").collect()]
+
+
 def hilbert_order(df: DataFrame, dims: list[str], bits: int = 4) -> DataFrame:
     """Adds `curve`, the Hilbert index of the row's cell in `dims`, each cut into 2**bits quantile bins."""
     side = 1 << bits
-    numbers = {d: as_number(df, d) for d in dims}
-    cuts = df.agg(*(F.percentile_approx(numbers[d], [k / side for k in range(1, side)], 50_000).alias(d) for d in dims)).first()
+    values = {d: as_ordered(df, d) for d in dims}
+    texts = [d for d in dims if dict(df.dtypes)[d] == "string"]
+    cuts = {d: string_cuts(df, values[d], side) for d in texts}
+    if rest := [d for d in dims if d not in cuts]:
+        cuts |= df.agg(*(F.percentile_approx(values[d], [k / side for k in range(1, side)], 50_000).alias(d) for d in rest)).first().asDict()
     cell = F.lit(0)
     for d in dims:
         bounds = sorted({c for c in cuts[d] or [] if c is not None})
-        cell = cell * side + sum((F.when(numbers[d] > F.lit(float(c)), 1).otherwise(0) for c in bounds), F.lit(0))
+        cell = cell * side + sum((F.when(values[d] > F.lit(c), 1).otherwise(0) for c in bounds), F.lit(0))
     curve = F.element_at(F.array(*map(F.lit, curve_table(len(dims), bits))), (cell + 1).cast("int"))
     return df.withColumn("curve", curve)
 

@@ -190,6 +190,14 @@ def test_shards_are_even_gapless_and_prune(spark, sf):
     assert rows.groupby("shard").curve.agg(lambda c: c.max() - c.min()).mean() < 4096 / 8
 
 
+def test_long_common_prefixes_are_told_apart(spark):
+    df = spark.range(64).select("id", F.format_string("https://host%02d/", F.col("id") % 32).alias("url"))
+    got = sharding.hilbert_order(df, ["url"]).collect()
+    assert len({r["curve"] for r in got}) == 16
+    by = sorted((r["url"], r["curve"]) for r in got)
+    assert [c for _, c in by] == sorted(c for _, c in by)
+
+
 def test_sharding_odd_rows(spark):
     df = docs(spark, ODD).unionByName(docs(spark, {None: "z"})).unionByName(docs(spark, {7: ODD[7]})).withColumn("source", F.when(F.col("doc_id") > 2, F.col("source")))
     out = sharding.shard_by_curve(df, ["source", "lang", "n_chars"], "doc_id", 4, salts=2)
