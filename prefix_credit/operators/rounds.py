@@ -9,10 +9,8 @@ from . import credit, objective, policy, trie
 
 
 def as_plans(rollouts: DataFrame) -> DataFrame:
-    """(task, traj, actions array<string>) to packed plans without labels; an action is verb/target/receptacle text."""
-    parts = lambda a: F.split(a, "/")
-    action = lambda a: F.struct(F.get(parts(a), F.lit(0)).alias("action_type"), F.get(parts(a), F.lit(1)).alias("target_obj"), F.nullif(F.get(parts(a), F.lit(2)), F.lit("∅")).alias("receptacle_obj"))
-    return rollouts.select("task", "traj", F.transform("actions", lambda a: F.struct(action(a).alias("action"), a.alias("text"))).alias("steps"))
+    """(task, traj, actions array<string>) to packed plans without labels; an action is text as `trie.action_text` writes it."""
+    return rollouts.select("task", "traj", F.transform("actions", lambda a: F.struct(trie.text_action(a).alias("action"), a.alias("text"))).alias("steps"))
 
 
 def panel_votes(plans: DataFrame, truth: Column, weights: list[float], seed: int, skill: float = 0.8) -> DataFrame:

@@ -1,7 +1,9 @@
 """Action prefix tree as relations: keyed steps, node values, shapes, incremental merge.
 
 A node is a prefix of actions within a task; its key is a chained 64-bit hash, scoped by (task, depth), or a readable
-path, or dense ids assigned level by level (exact, one shuffle a level)."""
+path, or dense ids assigned level by level (one shuffle a level). Paths and ids tell any two prefixes apart, whatever
+signs the actions hold; hashes do but for chance (64 bits within a task and depth). Every keying makes the action a function of
+the key."""
 
 from __future__ import annotations
 
@@ -10,11 +12,30 @@ from pyspark.sql import functions as F
 
 ROOT = 0
 _SEP = ">"
+_PARTS = ("action_type", "target_obj", "receptacle_obj")
+
+
+def escaped(text: Column) -> Column:
+    """Text in which the signs that separate parts and steps carry a backslash; null becomes the bare empty-set sign."""
+    return F.coalesce(F.when(text.rlike(r"[\\/>|∅]"), F.regexp_replace(text, r"([\\/>|∅])", r"\\$1")).otherwise(text), F.lit("∅"))
 
 
 def action_text(action: Column) -> Column:
-    """The triple as text; a missing part is the sign for the empty set, so null equals null."""
-    return F.concat_ws("/", *(F.coalesce(action[p], F.lit("∅")) for p in ("action_type", "target_obj", "receptacle_obj")))
+    """The triple as text that no other triple has; a missing part is the sign for the empty set, so null equals null."""
+    return F.concat_ws("/", *(escaped(action[p]) for p in _PARTS))
+
+
+def text_action(text: Column) -> Column:
+    """The triple that `action_text` wrote."""
+    parts = F.regexp_extract_all(F.concat(text, F.lit("/")), F.lit(r"((?:[^\\/]|\\.)*)/"), F.lit(1))
+    plain = F.transform(parts, lambda x: F.when(x != "∅", F.regexp_replace(x, r"\\(.)", "$1")))
+    return F.struct(*(F.get(plain, F.lit(k)).alias(p) for k, p in enumerate(_PARTS)))
+
+
+def _chained(key: Column, *values: Column) -> Column:
+    """The next hash: values in order and which of them are null, since hashing passes over nulls."""
+    nulls = sum((F.when(v.isNull(), 1 << k).otherwise(0) for k, v in enumerate(values)), F.lit(0))
+    return F.xxhash64(key, nulls, *values)
 
 
 def pack(steps: DataFrame) -> DataFrame:
@@ -24,14 +45,14 @@ def pack(steps: DataFrame) -> DataFrame:
 
 def with_prefix_keys(plans: DataFrame, keying: str = "hash", by_text: bool = False) -> DataFrame:
     """Packed plans to keyed steps, one row a step. A plan without steps has no row. `by_text` merges only steps of equal
-    raw text instead of equal canonical triples."""
+    raw text and triple instead of equal triples."""
     if keying == "level":
         return _by_level(with_prefix_keys(plans, "path", by_text))
-    label = (lambda s: s["text"]) if by_text else (lambda s: action_text(s["action"]))
     if keying == "path":
+        label = (lambda s: F.concat_ws("/", action_text(s["action"]), escaped(s["text"]))) if by_text else (lambda s: action_text(s["action"]))
         zero, grow = F.lit(""), lambda key, s: F.concat(key, F.lit(_SEP), label(s))
     else:
-        zero, grow = F.lit(ROOT).cast("long"), lambda key, s: F.xxhash64(key, label(s))
+        zero, grow = F.lit(ROOT).cast("long"), lambda key, s: _chained(key, *(s["action"][p] for p in _PARTS), *([s["text"]] if by_text else []))
     empty = F.array().cast("array<string>" if keying == "path" else "array<long>")
     start = F.struct(zero.alias("key"), empty.alias("keys"))
 

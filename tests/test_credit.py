@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 from prefix_credit.functions.measures import explain_cost
 from prefix_credit.operators import credit, trie
 from prefix_credit.sources import workloads
-from tests.helpers import brute, packed
+from tests.helpers import ACTION, brute, packed
 
 FIVE = [(1, 1, 1, list("ABC")), (1, 2, -1, list("ABD")), (1, 3, -1, list("AE")), (1, 4, 1, list("F")), (1, 5, 1, list("ABC"))]
 EPS = 1e-6
@@ -58,6 +58,32 @@ def test_forms_and_keyings_agree_with_brute_force(spark, how):
     assert all(got[k] == pytest.approx(v, abs=1e-9) for k, v in want.items())
 
 
+ODD = [("put", "a/b", "c"), ("put", "a", "b/c"), ("put", "a/b/c", None), ("put", None, "a"), (None, "put", "a"), ("put", "a", None), ("put", "∅", "a"), ("put", "a\\\\", "/"), ("put", "a>x", "∅"), ("x>put", "a", ""), ("put", "", "a")]
+
+
+@pytest.mark.parametrize("how", [{}, {"form": "join"}, {"form": "salted"}, {"keying": "path"}, {"keying": "level"}, {"form": "join", "keying": "level"}, {"form": "salted", "keying": "path"}])
+def test_signs_inside_actions_do_not_merge_prefixes(spark, how):
+    rnd = random.Random(11)
+    plans = [(1, 1, 1, [ODD[0]]), (1, 2, -1, [ODD[1]]), (1, 3, -1, ["z"])]
+    plans += [(2 + k % 3, 10 + k, rnd.choice((1, -1)), [rnd.choice(ODD) for _ in range(rnd.randint(1, 4))]) for k in range(90)]
+    full = brute([(t, k, r, [s if isinstance(s, tuple) else (s, None, None) for s in steps]) for t, k, r, steps in plans], 0.9, EPS)
+    want = {}
+    for task, traj, _, steps in plans:
+        steps = [s if isinstance(s, tuple) else (s, None, None) for s in steps]
+        for t in range(1, len(steps) + 1):
+            _, _, k, a = full[(task, tuple(steps[:t]))]
+            if k > 1 and abs(a) > 0.001:
+                want[(task, traj, t)] = a
+    got = advantages(spark, plans, **how)
+    assert got.keys() == want.keys() and all(got[k] == pytest.approx(v, abs=1e-9) for k, v in want.items())
+
+
+def test_action_text_is_undone(spark):
+    rows = spark.createDataFrame([(dict(zip(("action_type", "target_obj", "receptacle_obj"), a)),) for a in ODD], f"a {ACTION}")
+    texts = rows.select(trie.action_text(F.col("a")).alias("t"), "a").withColumn("back", trie.text_action(F.col("t"))).collect()
+    assert len({r["t"] for r in texts}) == len(ODD) and all(r["a"] == r["back"] for r in texts)
+
+
 def test_sums_bounds_visits_and_leaves(spark):
     nodes = credit.sibling_advantage(trie.node_values(trie.with_prefix_keys(packed(spark, random_plans(5)), "path"), 0.95), EPS).collect()
     groups = {}
