@@ -7,16 +7,11 @@ columns of documents; the last returns each kept document's place in a batch.
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from prefix_credit.llm import decontaminate, near_dup, packing, toxicity
 from prefix_credit.llm.common import staged, table
 
 
-def _without(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    return docs.join(ids.select("doc_id").filter("doc_id is not null").distinct(), "doc_id", "left_anti").select(*docs.columns)
-
-
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the ordinal model, fitted on the labels, does not call toxic; null or empty texts stay."""
     return toxicity.without_toxic(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
@@ -25,8 +20,9 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document, the one with the smallest id, of each group of near-duplicates: five words a shingle, 0.8 or more alike.
 
-    Rows repeated with their id are one document and stay as often as they came; texts without words stay."""
-    return _without(docs, near_dup.near_duplicates(docs, n=5, num=80, den=100).filter("not kept"))
+    Rows repeated with their id are one document and stay as often as they came; of an id with several texts each is a
+    document of its own; texts without words stay."""
+    return near_dup.without_near_duplicates(docs, n=5, num=80, den=100)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

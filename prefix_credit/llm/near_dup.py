@@ -2,22 +2,25 @@
 
 Steps, each a DataFrame:
 
-1. one Arrow pass hashes every whole text to its shingle set, `rows * bands` minima of multiply-shift hashes
-   (folded to one key per band) and a 128-bit sketch of further minima;
-2. texts with the same word sequence form a class; only the smallest id of a class goes on, so thousands of
-   copies cost one row;
+1. one Arrow pass hashes every whole text to its shingle set and `rows * bands` minima of multiply-shift hashes, folded
+   to one key per band and to a signature of one bit a minimum (128 bits at most);
+2. texts with the same word sequence form a class, a node from here on; its number is the class's smallest id, so
+   thousands of copies cost one row;
 3. members of a band bucket meet the bucket's centre and a few neighbours in size order; buckets beyond `chunk`
    rows are salted into chunks whose centres meet in turn. This only joins most copies early, at a row each;
-4. pairs whose sizes or sketches rule the threshold out go; the rest is checked on full shingle sets, first one
+4. pairs whose sizes or signatures rule the threshold out go; the rest is checked on full shingle sets, first one
    pair per text, then only pairs that the first round left in different components;
 5. in buckets whose members are still in different components, each meets the member nearest the bucket's majority
-   sketch (the base of a star of copies), and then every two members that are still apart meet, block against block,
-   so no pair that shares a bucket and may reach the threshold goes unchecked unless it is linked already;
+   signature (the base of a star of copies), and then every two members that are still apart meet, block against block,
+   so no pair that shares a bucket and may reach the threshold goes unchecked unless it is linked already. Shingles
+   that only one of these members has can be common to no pair, so they bound what two sets can share: members with too
+   many of them meet nobody, and pairs over the bound are not made (`own_shingles`; exact, nothing is lost by it);
 6. components by alternating large-star and small-star rounds.
 
 Null or blank texts have an empty set and are linked with nothing. Rows with a null id are dropped from no result:
-they get their own null component. A repeated id is taken as one document per distinct text; repeated rows stay
-repeated in the result. An empty table gives an empty result.
+they get their own null component. A repeated id is one document per distinct text (the second and further texts of an
+id get node numbers from 2**62 up, which ids are taken not to reach); repeated rows stay repeated in the result. An
+empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -31,7 +34,8 @@ from pyspark.sql import functions as F
 from .common import WordHashes, map_arrow, mixed, space_words, staged, text_bytes, unstaged
 
 _SKETCH = 128
-_SIGNED = "doc_id long, n_shingles long, class_hi long, class_lo long, bands array<long>, sketch_hi long, sketch_lo long"
+_NEW = 1 << 62
+_SIGNED = "doc_id long, raw long, n_shingles long, class_hi long, class_lo long, bands array<long>, sketch_hi long, sketch_lo long"
 
 
 def shingle_hashes(words: np.ndarray, n: int) -> np.ndarray:
@@ -54,51 +58,82 @@ def _minima(shingles: np.ndarray, factors: np.ndarray, block: int = 4096) -> np.
     return low
 
 
+def _class(words: list[bytes]) -> tuple[int, int]:
+    """128-bit hash of a word sequence, as two signed halves."""
+    whole = xxhash.xxh3_128_intdigest(b" ".join(words))
+    return (whole >> 64) - 2**63, (whole & 0xFFFFFFFFFFFFFFFF) - 2**63
+
+
+def raw_hash(text_col: str) -> Column:
+    return F.xxhash64(F.col(text_col).cast("string"))
+
+
 def sign(docs: DataFrame, id_col: str, text_col: str, n: int, rows: int, bands: int) -> DataFrame:
     rng = np.random.default_rng(20240229)
-    factors = rng.integers(0, 2**63, rows * bands + _SKETCH, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    factors = rng.integers(0, 2**63, rows * bands, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
     salts = rng.integers(0, 2**63, bands, dtype=np.uint64)
+    bits = min(_SKETCH, rows * bands)
 
     def batch(b: pa.RecordBatch) -> dict:
         cache, out = WordHashes(), {k: [] for k in ("n_shingles", "class_hi", "class_lo", "bands", "sketch_hi", "sketch_lo")}
         with np.errstate(over="ignore"):
-            for raw in text_bytes(b.column(1)):
+            for raw in text_bytes(b.column(2)):
                 words = space_words(raw)
-                whole = xxhash.xxh3_128_intdigest(b" ".join(words))
                 s = shingle_hashes(cache.of(words), n)
                 out["n_shingles"].append(len(s))
-                out["class_hi"].append((whole >> 64) - 2**63)
-                out["class_lo"].append((whole & 0xFFFFFFFFFFFFFFFF) - 2**63)
+                for k, half in zip(("class_hi", "class_lo"), _class(words), strict=True):
+                    out[k].append(half)
                 if not len(s):
                     for k in ("bands", "sketch_hi", "sketch_lo"):
                         out[k].append(None)
                     continue
                 low = _minima(s, factors)
-                key, per_band = salts.copy(), low[: rows * bands].reshape(bands, rows) >> np.uint64(16)
+                key, per_band = salts.copy(), low.reshape(bands, rows) >> np.uint64(16)
                 for r in range(rows):
                     key = mixed(key ^ per_band[:, r])
                 out["bands"].append(key.view(np.int64))
-                sketch = np.packbits((mixed(low[rows * bands :]) & np.uint64(1)).astype(np.uint8)).view(np.int64)
-                out["sketch_hi"].append(int(sketch[0]))
-                out["sketch_lo"].append(int(sketch[1]))
-        return out | {"doc_id": b.column(0)}
+                signature = np.zeros(_SKETCH, np.uint8)
+                signature[:bits] = mixed(low[:bits]) & np.uint64(1)
+                hi, lo = np.packbits(signature).view(np.int64)
+                out["sketch_hi"].append(int(hi))
+                out["sketch_lo"].append(int(lo))
+        return out | {"doc_id": b.column(0), "raw": b.column(1)}
 
-    return map_arrow(docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string")), batch, _SIGNED)
+    return map_arrow(docs.select(F.col(id_col).cast("long"), raw_hash(text_col), F.col(text_col).cast("string")), batch, _SIGNED)
 
 
-def shingle_sets(docs: DataFrame, n: int) -> DataFrame:
-    """(doc_id, shingles) with the distinct shingle hashes of whole texts."""
+def shingle_sets(wanted: DataFrame, n: int) -> DataFrame:
+    """(node, shingles) with the distinct shingle hashes of whole texts; `wanted` is (node, class_hi, class_lo, text), of
+    which rows whose text is of another class are passed over."""
 
     def batch(b: pa.RecordBatch) -> dict:
-        cache = WordHashes()
+        cache, nodes, sets = WordHashes(), [], []
         with np.errstate(over="ignore"):
-            return {"doc_id": b.column(0), "shingles": [shingle_hashes(cache.of(space_words(raw)), n).view(np.int64) for raw in text_bytes(b.column(1))]}
+            for node, hi, lo, raw in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), text_bytes(b.column(3)), strict=True):
+                words = space_words(raw)
+                if _class(words) == (hi, lo):
+                    nodes.append(node)
+                    sets.append(shingle_hashes(cache.of(words), n).view(np.int64))
+        return {"node": nodes, "shingles": sets}
+
+    return map_arrow(wanted.select("node", "class_hi", "class_lo", "text"), batch, "node long, shingles array<long>")
+
 
-    return map_arrow(docs, batch, "doc_id long, shingles array<long>")
+def class_nodes(signed: DataFrame) -> DataFrame:
+    """(class_hi, class_lo, doc_id, node): each class with its smallest id, and its node number: that id, or a number
+    from 2**62 up where the id stands for another class already."""
+    classes = staged(signed.filter("n_shingles > 0 and doc_id is not null").groupBy("class_hi", "class_lo").agg(F.min("doc_id").alias("doc_id")))
+    repeated = classes.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"), F.min("class_hi").alias("first_hi")).filter("n > 1").select("doc_id", "first_hi")
+    if repeated.isEmpty():
+        return classes.withColumn("node", F.col("doc_id"))
+    # class_hi alone settles which class keeps the id; two classes of an id that share it would both keep it
+    fresh = F.lit(_NEW) + F.shiftrightunsigned(F.xxhash64("class_hi", "class_lo"), 2)
+    keeps = F.col("first_hi").isNull() | (F.col("first_hi") == F.col("class_hi"))
+    return staged(classes.join(repeated, "doc_id", "left").select("class_hi", "class_lo", "doc_id", F.when(keeps, F.col("doc_id")).otherwise(fresh).alias("node")))
 
 
 def bucket_members(members: DataFrame) -> DataFrame:
-    """(doc_id, n_shingles, sketch_hi, sketch_lo, bucket) with bucket_n, where a bucket has two members or more."""
+    """(node, n_shingles, sketch_hi, sketch_lo, bucket) with bucket_n, where a bucket has two members or more."""
     sized = members.groupBy("bucket").agg(F.count(F.lit(1)).alias("bucket_n")).filter("bucket_n > 1")
     return members.join(sized, "bucket")
 
@@ -113,32 +148,32 @@ def may_link(me: str, other: str, num: int, den: int, agree: int) -> Column:
 def bucket_pairs(members: DataFrame, num: int, den: int, near: int, chunk: int, agree: int) -> DataFrame:
     """First pairs (a < b) of bucket_members: each member with its chunk's centre and with `near` neighbours in size
     order; centres of the chunks of one bucket likewise."""
-    members = members.withColumn("part", F.pmod(F.xxhash64("doc_id"), F.ceil(F.col("bucket_n") / F.lit(chunk))))
+    members = members.withColumn("part", F.pmod(F.xxhash64("node"), F.ceil(F.col("bucket_n") / F.lit(chunk))))
 
     def met(df: DataFrame, keys: list[str]) -> DataFrame:
-        me = F.struct("doc_id", "n_shingles", "sketch_hi", "sketch_lo")
-        by = Window.partitionBy(*keys).orderBy("n_shingles", "doc_id")
+        me = F.struct("node", "n_shingles", "sketch_hi", "sketch_lo")
+        by = Window.partitionBy(*keys).orderBy("n_shingles", "node")
         others = [F.lag(me, k).over(by) for k in range(1, near + 1)]
-        centre = F.first(me).over(Window.partitionBy(*keys).orderBy("doc_id").rowsBetween(Window.unboundedPreceding, 0))
-        return df.select("doc_id", "n_shingles", "sketch_hi", "sketch_lo", F.array(centre, *others).alias("met"))
+        centre = F.first(me).over(Window.partitionBy(*keys).orderBy("node").rowsBetween(Window.unboundedPreceding, 0))
+        return df.select("node", "n_shingles", "sketch_hi", "sketch_lo", F.array(centre, *others).alias("met"))
 
     def kept(df: DataFrame) -> DataFrame:
         return (
-            df.select("doc_id", "n_shingles", "sketch_hi", "sketch_lo", F.explode("met").alias("o"))
-            .filter(F.col("o").isNotNull() & (F.col("o.doc_id") != F.col("doc_id")))
+            df.select("node", "n_shingles", "sketch_hi", "sketch_lo", F.explode("met").alias("o"))
+            .filter(F.col("o").isNotNull() & (F.col("o.node") != F.col("node")))
             .filter(may_link("", "o.", num, den, agree))
-            .select(F.least("doc_id", "o.doc_id").alias("a"), F.greatest("doc_id", "o.doc_id").alias("b"))
+            .select(F.least("node", "o.node").alias("a"), F.greatest("node", "o.node").alias("b"))
         )
 
     inside = kept(met(members, ["bucket", "part"]))
-    centres = members.filter(F.col("bucket_n") > chunk).groupBy("bucket", "part").agg(F.min_by(F.struct("doc_id", "n_shingles", "sketch_hi", "sketch_lo"), "doc_id").alias("c"))
+    centres = members.filter(F.col("bucket_n") > chunk).groupBy("bucket", "part").agg(F.min_by(F.struct("node", "n_shingles", "sketch_hi", "sketch_lo"), "node").alias("c"))
     across = kept(met(centres.select("bucket", "c.*"), ["bucket"]))
     return inside.unionByName(across).distinct()
 
 
 def apart_members(members: DataFrame, groups: DataFrame) -> DataFrame:
     """Bucket members with their component, of the buckets that hold two components or more."""
-    named = members.join(groups, "doc_id", "left").withColumn("component", F.coalesce("component_id", "doc_id")).drop("component_id")
+    named = members.join(groups.withColumnRenamed("doc_id", "node"), "node", "left").withColumn("component", F.coalesce("component_id", "node")).drop("component_id")
     split = named.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi").select("bucket")
     return named.join(split, "bucket", "left_semi")
 
@@ -155,28 +190,46 @@ def hub_pairs(apart: DataFrame, num: int, den: int, agree: int) -> DataFrame:
 
     middle = counts.select("bucket", majority("sketch_hi").alias("mid_hi"), majority("sketch_lo").alias("mid_lo"))
     far = F.bit_count(F.col("sketch_hi").bitwiseXOR(F.col("mid_hi"))) + F.bit_count(F.col("sketch_lo").bitwiseXOR(F.col("mid_lo")))
-    hub = apart.join(middle, "bucket").groupBy("bucket").agg(F.min_by(F.struct("doc_id", "n_shingles", *halves, "component"), F.struct(far, "doc_id")).alias("o"))
+    hub = apart.join(middle, "bucket").groupBy("bucket").agg(F.min_by(F.struct("node", "n_shingles", *halves, "component"), F.struct(far, "node")).alias("o"))
     met = apart.join(hub, "bucket").filter(F.col("component") != F.col("o.component")).filter(may_link("", "o.", num, den, agree))
-    return met.select(F.least("doc_id", "o.doc_id").alias("a"), F.greatest("doc_id", "o.doc_id").alias("b")).distinct()
+    return met.select(F.least("node", "o.node").alias("a"), F.greatest("node", "o.node").alias("b")).distinct()
+
+
+def own_shingles(sets: DataFrame) -> DataFrame:
+    """(node, own): how many of a node's shingles no other of the sets has; nodes without one have no row."""
+    seen = sets.select("node", F.explode("shingles").alias("s")).groupBy("s").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("node"))
+    return seen.filter("n = 1").groupBy("node").agg(F.count(F.lit(1)).alias("own"))
+
+
+def sharing_members(apart: DataFrame, sets: DataFrame, num: int, den: int, rounds: int = 3) -> DataFrame:
+    """Bucket members of `apart` with `shared`, the number of their shingles that another such member has too. Members
+    that cannot reach the threshold with so many go, and the rest is counted again, since then less may be shared."""
+    for k in range(rounds):
+        apart = staged(apart.drop("shared").join(own_shingles(sets), "node", "left").withColumn("shared", F.col("n_shingles") - F.coalesce("own", F.lit(0))).drop("own").filter(F.lit(den) * F.col("shared") >= F.lit(num) * F.col("n_shingles")))
+        if k < rounds - 1:
+            sets = sets.join(apart.select("node").distinct(), "node", "left_semi")
+    return apart
 
 
 def block_pairs(apart: DataFrame, num: int, den: int, agree: int, block: int) -> DataFrame:
-    """All pairs (a < b) of members of one bucket and different components that sizes and sketches don't rule out:
-    a bucket is salted into blocks of about `block` rows, and every block meets every other and itself."""
+    """All pairs (a < b) of members of one bucket and different components that sizes, signatures and `shared` don't rule
+    out: a bucket is salted into blocks of about `block` rows, and every block meets every other and itself."""
     sized = apart.groupBy("bucket").agg(F.ceil(F.count(F.lit(1)) / F.lit(block)).alias("blocks"))
-    cut = apart.join(sized, "bucket").withColumn("part", F.pmod(F.xxhash64("doc_id"), "blocks"))
-    row = F.struct("doc_id", "n_shingles", "sketch_hi", "sketch_lo", "component")
+    cut = apart.join(sized, "bucket").withColumn("part", F.pmod(F.xxhash64("node"), "blocks"))
+    row = F.struct("node", "n_shingles", "sketch_hi", "sketch_lo", "component", "shared")
     left = cut.select("bucket", F.col("part").alias("x"), F.explode(F.sequence("part", F.col("blocks") - 1)).alias("y"), row.alias("l"))
     right = cut.select("bucket", F.explode(F.sequence(F.lit(0).cast("long"), "part")).alias("x"), F.col("part").alias("y"), row.alias("r"))
+    common = F.least("l.shared", "r.shared")
+    enough = F.lit(den) * common >= F.lit(num) * (F.col("l.n_shingles") + F.col("r.n_shingles") - common)
     met = left.join(right.hint("merge"), ["bucket", "x", "y"]).filter(F.col("l.component") != F.col("r.component"))
-    met = met.filter((F.col("x") < F.col("y")) | (F.col("l.doc_id") < F.col("r.doc_id"))).filter(may_link("l.", "r.", num, den, agree))
-    return met.select(F.least("l.doc_id", "r.doc_id").alias("a"), F.greatest("l.doc_id", "r.doc_id").alias("b")).distinct()
+    met = met.filter((F.col("x") < F.col("y")) | (F.col("l.node") < F.col("r.node"))).filter(enough & may_link("l.", "r.", num, den, agree))
+    return met.select(F.least("l.node", "r.node").alias("a"), F.greatest("l.node", "r.node").alias("b")).distinct()
 
 
 def verified(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
     """Pairs (a, b) whose full sets reach the threshold."""
-    left = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("sa"))
-    right = sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("sb"))
+    left = sets.select(F.col("node").alias("a"), F.col("shingles").alias("sa"))
+    right = sets.select(F.col("node").alias("b"), F.col("shingles").alias("sb"))
     both = F.size(F.array_intersect("sa", "sb"))
     return pairs.join(right, "b").join(left, "a").filter(F.lit(den) * both >= F.lit(num) * (F.size("sa") + F.size("sb") - both)).select("a", "b")
 
@@ -208,35 +261,36 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, num: int = 80, den: int = 100, rows: int = 5, bands: int = 25, near: int = 3, chunk: int = 20_000, block: int = 2_000) -> DataFrame:
-    """One row per document: doc_id, n_shingles, component_id, kept.
+    """One row per document: doc_id, raw (hash of the text as it is), n_shingles, component_id, kept.
 
     Two texts are linked when their sets of n-word shingles have `den * |A & B| >= num * |A | B|`. With `rows` minima
     a band, a pair at the threshold t meets in some band with probability 1-(1-t^rows)^bands: 0.99995 for the defaults,
     0.99995 for t=0.85 with rows=6, bands=21.
     """
     signed = staged(sign(docs, id_col, text_col, n, rows, bands))
-    reps = signed.filter("n_shingles > 0 and doc_id is not null").groupBy("class_hi", "class_lo").agg(F.min("doc_id").alias("doc_id"))
-    reps = staged(reps)
+    nodes = class_nodes(signed)
     members = (
         signed.select("doc_id", "n_shingles", "class_hi", "class_lo", "sketch_hi", "sketch_lo", "bands")
-        .join(reps, ["class_hi", "class_lo", "doc_id"])
-        .dropDuplicates(["class_hi", "class_lo", "doc_id"])
-        .select("doc_id", "n_shingles", "sketch_hi", "sketch_lo", F.posexplode("bands").alias("band", "key"))
-        .select("doc_id", "n_shingles", "sketch_hi", "sketch_lo", F.xxhash64("band", "key").alias("bucket"))
+        .join(nodes, ["class_hi", "class_lo", "doc_id"])
+        .dropDuplicates(["node"])
+        .select("node", "n_shingles", "sketch_hi", "sketch_lo", F.posexplode("bands").alias("band", "key"))
+        .select("node", "n_shingles", "sketch_hi", "sketch_lo", F.xxhash64("band", "key").alias("bucket"))
     )
-    expected = _SKETCH * (1 + num / den) / 2
-    slack = 4.5 * (_SKETCH * (1 + num / den) / 2 * (1 - num / den) / 2) ** 0.5
-    agree = int(expected - slack)
+    bits = min(_SKETCH, rows * bands)
+    expected = bits * (1 + num / den) / 2
+    slack = 4.5 * (expected * (1 - num / den) / 2) ** 0.5
+    agree = _SKETCH - bits + int(expected - slack)
     members = staged(bucket_members(members))
     pairs = staged(bucket_pairs(members, num, den, near, chunk, agree))
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
 
-    def sets_of(some: DataFrame) -> DataFrame:
-        wanted = some.select(F.col("a").alias("doc_id")).unionByName(some.select(F.col("b").alias("doc_id"))).distinct()
-        wanted = wanted.join(reps.select("doc_id"), "doc_id", "left_semi")
-        return staged(shingle_sets(texts.join(wanted.hint("merge"), "doc_id", "left_semi"), n).dropDuplicates(["doc_id"]))
+    def sets_of(wanted: DataFrame) -> DataFrame:
+        """Sets of nodes (node)."""
+        named = nodes.join(wanted.distinct(), "node", "left_semi")
+        return staged(shingle_sets(texts.join(named.hint("merge"), "doc_id"), n).dropDuplicates(["node"]))
 
-    sets = sets_of(pairs)
+    ends = lambda some: some.select(F.col("a").alias("node")).unionByName(some.select(F.col("b").alias("node")))
+    sets = sets_of(ends(pairs))
     first = pairs.groupBy("b").agg(F.min("a").alias("a"))
     links = staged(verified(first.select("a", "b"), sets, num, den))
     groups = staged(components(links))
@@ -246,29 +300,45 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     if not more.isEmpty():
         links = links.unionByName(more)
         groups = staged(components(links))
-    for propose in (lambda m: hub_pairs(m, num, den, agree), lambda m: block_pairs(m, num, den, agree, block)):
-        rest = staged(propose(apart_members(members, groups)).join(pairs, ["a", "b"], "left_anti"))
-        if rest.isEmpty():
-            continue
+    rest = staged(hub_pairs(apart_members(members, groups), num, den, agree).join(pairs, ["a", "b"], "left_anti"))
+    if not rest.isEmpty():
+        more = staged(verified(rest, sets_of(ends(rest)), num, den))
         pairs = pairs.unionByName(rest)
-        more = staged(verified(rest, sets_of(rest), num, den))
         if not more.isEmpty():
             links = links.unionByName(more)
             groups = staged(components(links))
-    classes = reps.join(groups, "doc_id", "left").select("class_hi", "class_lo", F.coalesce("component_id", "doc_id").alias("class_component"))
+    rest = staged(apart_members(members, groups))
+    if not rest.isEmpty():
+        sets = sets_of(rest.select("node"))
+        rest = staged(block_pairs(sharing_members(rest, sets, num, den), num, den, agree, block).join(pairs, ["a", "b"], "left_anti"))
+        more = staged(verified(rest, sets, num, den))
+        if not more.isEmpty():
+            groups = staged(components(links.unionByName(more)))
+    classes = nodes.join(groups.withColumnRenamed("doc_id", "node"), "node", "left").select("class_hi", "class_lo", "doc_id", "node", F.coalesce("component_id", "node").alias("component_id"))
+    extra = classes.filter(F.col("node") != F.col("doc_id")).groupBy("component_id").agg(F.min("doc_id").alias("named"))
+    if not extra.isEmpty():  # components that hold a further text of some id: the id counts, not the node's number
+        classes = classes.join(extra, "component_id", "left").withColumn("component_id", F.least("component_id", "named"))
     return (
-        signed.select("doc_id", "n_shingles", "class_hi", "class_lo")
-        .join(classes, ["class_hi", "class_lo"], "left")
-        .select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("class_component")).otherwise(F.col("doc_id")).alias("component_id"))
+        signed.select("doc_id", "raw", "n_shingles", "class_hi", "class_lo")
+        .join(classes.select("class_hi", "class_lo", F.col("component_id").alias("class_component")), ["class_hi", "class_lo"], "left")
+        .select("doc_id", "raw", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("class_component")).otherwise(F.col("doc_id")).alias("component_id"))
         .withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
     )
 
 
+def without_near_duplicates(docs: DataFrame, text_col: str = "text", **how) -> DataFrame:
+    """Rows of `docs`, all columns, but those in a group that has a smaller id; of an id with several texts only the texts
+    that are in such a group go."""
+    gone = near_duplicates(docs, text_col=text_col, **how).filter("not kept").select("doc_id", F.col("raw").alias("__raw")).distinct()
+    id_col = how.get("id_col", "doc_id")
+    return docs.withColumns({"__raw": raw_hash(text_col), "__id": F.col(id_col).cast("long")}).join(gone.withColumnRenamed("doc_id", "__id"), ["__id", "__raw"], "left_anti").select(*docs.columns)
+
+
 def op7_minhash_near_dedup(spark, sf_dir: str) -> DataFrame:
     """Contract query: 3-word shingles, links at 85/100, over the whole documents table."""
     from .common import table
 
-    return near_duplicates(table(spark, sf_dir, "documents"), n=3, num=85, den=100, rows=6, bands=21)
+    return near_duplicates(table(spark, sf_dir, "documents"), n=3, num=85, den=100, rows=6, bands=21).drop("raw")
 
 
 #: The contract query in DuckDB's SQL, by brute force: shingle sets, all pairs that share a shingle, reachability.

@@ -82,13 +82,45 @@ def test_near_duplicates_star_with_a_middle_base(spark):
 
 
 def test_near_duplicates_every_bucket_pair_meets(spark):
-    rows = [(k, 100, 0, 0, 7, 0 if k < 30 else k) for k in range(50)]
-    apart = spark.createDataFrame(rows, "doc_id long, n_shingles long, sketch_hi long, sketch_lo long, bucket long, component long")
+    rows = [(k, 100, 0, 0, 7, 0 if k < 30 else k, 100) for k in range(50)]
+    apart = spark.createDataFrame(rows, "node long, n_shingles long, sketch_hi long, sketch_lo long, bucket long, component long, shared long")
     for block in (4, 1000):
         got = near_dup.block_pairs(apart, 85, 100, 100, block).collect()
         assert len(got) == len(set(got)) and {(r["a"], r["b"]) for r in got} == {(a, b) for a, b in itertools.combinations(range(50), 2) if b >= 30}
 
 
+def test_near_duplicates_pairs_inside_one_crowd(spark):
+    """400 texts that are all .838 alike, and .855 in pairs: every pair is found and nothing else."""
+    texts = {}
+    for k in range(400):
+        words = [f"c{j}" for j in range(93)] + [f"p{k // 2}"] + [f"o{k}x{j}" for j in range(8)]
+        random.Random(k).shuffle(words)
+        texts[k] = " ".join(words)
+    got = {r["doc_id"]: r["component_id"] for r in near_dup.near_duplicates(docs(spark, texts), n=1, num=85, rows=6, bands=21, block=60).collect()}
+    assert got == {k: k - k % 2 for k in texts}
+
+
+def test_shingles_of_one_member_alone_bound_what_it_shares(spark):
+    sets = {1: [1, 2, 3, 4], 2: [1, 2, 3, 5], 3: [1, 6, 7, 8], 4: [9, 2, 3, 5]}
+    df = spark.createDataFrame(list(sets.items()), "node long, shingles array<long>")
+    assert {r["node"]: r["own"] for r in near_dup.own_shingles(df).collect()} == {1: 1, 3: 3, 4: 1}
+    apart = spark.createDataFrame([(k, 4, 0, 0, 7, k) for k in sets], "node long, n_shingles long, sketch_hi long, sketch_lo long, bucket long, component long")
+    left = {r["node"]: r["shared"] for r in near_dup.sharing_members(apart, df, 75, 100).collect()}
+    assert left == {1: 3, 2: 4, 4: 3}
+
+
+def test_near_duplicates_repeated_ids_with_other_texts(spark):
+    long = [f"w{k}" for k in range(60)]
+    near = [*long[:59], "other"]
+    kinds = "doc_id long, text string"
+    rows = [(5, "one text of this id here"), (5, " ".join(long)), (9, " ".join(near)), (3, "one text of this id here"), (5, "third text"), (4, "third text"), (5, None)]
+    df = spark.createDataFrame(rows, kinds)
+    got = [(r["doc_id"], r["n_shingles"], r["component_id"], r["kept"]) for r in near_dup.near_duplicates(df, n=3, num=85, rows=6, bands=21).collect()]
+    assert sorted(got) == sorted([(5, 4, 3, False), (5, 58, 5, True), (9, 58, 5, False), (3, 4, 3, True), (5, 1, 4, False), (4, 1, 4, True), (5, 0, 5, True)])
+    left = near_dup.without_near_duplicates(df, n=3, num=85, rows=6, bands=21).collect()
+    assert sorted((r["doc_id"], r["text"] or "") for r in left) == sorted([(5, " ".join(long)), (3, rows[3][1]), (4, "third text"), (5, "")])
+
+
 def test_near_duplicates_odd_rows(spark):
     df = docs(spark, ODD).unionByName(docs(spark, {None: "same text here now"})).unionByName(docs(spark, {7: ODD[7]}))
     rows = near_dup.near_duplicates(df, n=3, num=85, rows=6, bands=21).collect()
