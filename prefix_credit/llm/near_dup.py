@@ -12,9 +12,10 @@ Steps, each a DataFrame:
    pair per text, then only pairs that the first round left in different components;
 5. in buckets whose members are still in different components, each meets the member nearest the bucket's majority
    signature (the base of a star of copies), and then every two members that are still apart meet, block against block,
-   so no pair that shares a bucket and may reach the threshold goes unchecked unless it is linked already. Shingles
-   that only one of these members has can be common to no pair, so they bound what two sets can share: members with too
-   many of them meet nobody, and pairs over the bound are not made (`own_shingles`; exact, nothing is lost by it);
+   so no pair that shares a bucket and may reach the threshold goes unchecked unless it is linked already. Pairs that
+   cannot reach it are not made: two members have at most the frequent shingles of the poorer one in common and the
+   rare ones that they share, and pairs with a rare shingle (of at most `rare` members) in common come from an
+   equi-join on it, where a shingle makes a bounded number of them (exact, nothing is lost by it);
 6. components by alternating large-star and small-star rounds.
 
 Null or blank texts have an empty set and are linked with nothing. Rows with a null id are dropped from no result:
@@ -201,31 +202,59 @@ def own_shingles(sets: DataFrame) -> DataFrame:
     return seen.filter("n = 1").groupBy("node").agg(F.count(F.lit(1)).alias("own"))
 
 
-def sharing_members(apart: DataFrame, sets: DataFrame, num: int, den: int, rounds: int = 3) -> DataFrame:
-    """Bucket members of `apart` with `shared`, the number of their shingles that another such member has too. Members
-    that cannot reach the threshold with so many go, and the rest is counted again, since then less may be shared."""
-    for k in range(rounds):
-        apart = staged(apart.drop("shared").join(own_shingles(sets), "node", "left").withColumn("shared", F.col("n_shingles") - F.coalesce("own", F.lit(0))).drop("own").filter(F.lit(den) * F.col("shared") >= F.lit(num) * F.col("n_shingles")))
-        if k < rounds - 1:
-            sets = sets.join(apart.select("node").distinct(), "node", "left_semi")
-    return apart
+def sharing_members(apart: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
+    """Bucket members of `apart` but those that have so many shingles of their own that nobody reaches the threshold."""
+    shared = F.col("n_shingles") - F.coalesce("own", F.lit(0))
+    return apart.join(own_shingles(sets), "node", "left").filter(F.lit(den) * shared >= F.lit(num) * F.col("n_shingles")).drop("own")
+
+
+def rare_shingles(sets: DataFrame, at_most: int) -> DataFrame:
+    """(node, s): shingles that at most so many of the sets have."""
+    each = sets.select("node", F.explode("shingles").alias("s"))
+    few = each.groupBy("s").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") <= at_most).select("s")
+    return each.join(few, "s")
+
+
+def common_at_most(common: Column, me: str, other: str, num: int, den: int) -> Column:
+    """Two sets that have `common` shingles in common or fewer may reach the threshold."""
+    return F.lit(den) * common >= F.lit(num) * (F.col(f"{me}n_shingles") + F.col(f"{other}n_shingles") - common)
+
+
+def rare_pairs(apart: DataFrame, rare: DataFrame, num: int, den: int, agree: int) -> DataFrame:
+    """Pairs (a < b) of members of different components that have a rare shingle in common and may reach the threshold
+    with those and the frequent ones of the poorer of them. A rare shingle makes a bounded number of pairs."""
+    row = F.struct("node", "n_shingles", "sketch_hi", "sketch_lo", "component", "frequent")
+    held = rare.join(apart.select("node", row.alias("m")).dropDuplicates(["node"]), "node").select("s", "m")
+    met = held.select("s", F.col("m").alias("l")).join(held.select("s", F.col("m").alias("r")), "s")
+    met = met.filter((F.col("l.node") < F.col("r.node")) & (F.col("l.component") != F.col("r.component")) & may_link("l.", "r.", num, den, agree))
+    met = met.groupBy("l", "r").agg(F.count(F.lit(1)).alias("c"))
+    return met.filter(common_at_most(F.col("c") + F.least("l.frequent", "r.frequent"), "l.", "r.", num, den)).select(F.col("l.node").alias("a"), F.col("r.node").alias("b"))
 
 
 def block_pairs(apart: DataFrame, num: int, den: int, agree: int, block: int) -> DataFrame:
-    """All pairs (a < b) of members of one bucket and different components that sizes, signatures and `shared` don't rule
-    out: a bucket is salted into blocks of about `block` rows, and every block meets every other and itself."""
+    """All pairs (a < b) of members of one bucket and different components that sizes, signatures and `frequent` (how many
+    frequent shingles a member has; all that it can share without a rare one) don't rule out: a bucket is salted into
+    blocks of about `block` rows, and every block meets every other and itself."""
     sized = apart.groupBy("bucket").agg(F.ceil(F.count(F.lit(1)) / F.lit(block)).alias("blocks"))
     cut = apart.join(sized, "bucket").withColumn("part", F.pmod(F.xxhash64("node"), "blocks"))
-    row = F.struct("node", "n_shingles", "sketch_hi", "sketch_lo", "component", "shared")
+    row = F.struct("node", "n_shingles", "sketch_hi", "sketch_lo", "component", "frequent")
     left = cut.select("bucket", F.col("part").alias("x"), F.explode(F.sequence("part", F.col("blocks") - 1)).alias("y"), row.alias("l"))
     right = cut.select("bucket", F.explode(F.sequence(F.lit(0).cast("long"), "part")).alias("x"), F.col("part").alias("y"), row.alias("r"))
-    common = F.least("l.shared", "r.shared")
-    enough = F.lit(den) * common >= F.lit(num) * (F.col("l.n_shingles") + F.col("r.n_shingles") - common)
     met = left.join(right.hint("merge"), ["bucket", "x", "y"]).filter(F.col("l.component") != F.col("r.component"))
-    met = met.filter((F.col("x") < F.col("y")) | (F.col("l.node") < F.col("r.node"))).filter(enough & may_link("l.", "r.", num, den, agree))
+    met = met.filter(((F.col("x") < F.col("y")) | (F.col("l.node") < F.col("r.node"))) & common_at_most(F.least("l.frequent", "r.frequent"), "l.", "r.", num, den) & may_link("l.", "r.", num, den, agree))
     return met.select(F.least("l.node", "r.node").alias("a"), F.greatest("l.node", "r.node").alias("b")).distinct()
 
 
+def last_pairs(apart: DataFrame, sets: DataFrame, num: int, den: int, agree: int, block: int, rare_at: int) -> DataFrame:
+    """Pairs of bucket members that are still apart and may reach the threshold: those with a rare shingle in common, and
+    those that have frequent ones enough without."""
+    apart = staged(sharing_members(apart, sets, num, den))
+    rare = staged(rare_shingles(sets.join(apart.select("node").distinct(), "node", "left_semi"), rare_at))
+    spent = rare.groupBy("node").agg(F.count(F.lit(1)).alias("rare"))
+    apart = staged(apart.join(spent, "node", "left").withColumn("frequent", F.col("n_shingles") - F.coalesce("rare", F.lit(0))).drop("rare"))
+    return block_pairs(apart, num, den, agree, block).unionByName(rare_pairs(apart, rare, num, den, agree)).distinct()
+
+
 def verified(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
     """Pairs (a, b) whose full sets reach the threshold."""
     left = sets.select(F.col("node").alias("a"), F.col("shingles").alias("sa"))
@@ -260,7 +289,7 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     return now.select(F.col("b").alias("doc_id"), F.col("a").alias("component_id")).unionByName(now.select(F.col("a").alias("doc_id"), F.col("a").alias("component_id")).distinct())
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, num: int = 80, den: int = 100, rows: int = 5, bands: int = 25, near: int = 3, chunk: int = 20_000, block: int = 2_000) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, num: int = 80, den: int = 100, rows: int = 5, bands: int = 25, near: int = 3, chunk: int = 20_000, block: int = 2_000, rare: int = 16) -> DataFrame:
     """One row per document: doc_id, raw (hash of the text as it is), n_shingles, component_id, kept.
 
     Two texts are linked when their sets of n-word shingles have `den * |A & B| >= num * |A | B|`. With `rows` minima
@@ -310,7 +339,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     rest = staged(apart_members(members, groups))
     if not rest.isEmpty():
         sets = sets_of(rest.select("node"))
-        rest = staged(block_pairs(sharing_members(rest, sets, num, den), num, den, agree, block).join(pairs, ["a", "b"], "left_anti"))
+        rest = staged(last_pairs(rest, sets, num, den, agree, block, rare).join(pairs, ["a", "b"], "left_anti"))
         more = staged(verified(rest, sets, num, den))
         if not more.isEmpty():
             groups = staged(components(links.unionByName(more)))

@@ -83,7 +83,7 @@ def test_near_duplicates_star_with_a_middle_base(spark):
 
 def test_near_duplicates_every_bucket_pair_meets(spark):
     rows = [(k, 100, 0, 0, 7, 0 if k < 30 else k, 100) for k in range(50)]
-    apart = spark.createDataFrame(rows, "node long, n_shingles long, sketch_hi long, sketch_lo long, bucket long, component long, shared long")
+    apart = spark.createDataFrame(rows, "node long, n_shingles long, sketch_hi long, sketch_lo long, bucket long, component long, frequent long")
     for block in (4, 1000):
         got = near_dup.block_pairs(apart, 85, 100, 100, block).collect()
         assert len(got) == len(set(got)) and {(r["a"], r["b"]) for r in got} == {(a, b) for a, b in itertools.combinations(range(50), 2) if b >= 30}
@@ -105,8 +105,9 @@ def test_shingles_of_one_member_alone_bound_what_it_shares(spark):
     df = spark.createDataFrame(list(sets.items()), "node long, shingles array<long>")
     assert {r["node"]: r["own"] for r in near_dup.own_shingles(df).collect()} == {1: 1, 3: 3, 4: 1}
     apart = spark.createDataFrame([(k, 4, 0, 0, 7, k) for k in sets], "node long, n_shingles long, sketch_hi long, sketch_lo long, bucket long, component long")
-    left = {r["node"]: r["shared"] for r in near_dup.sharing_members(apart, df, 75, 100).collect()}
-    assert left == {1: 3, 2: 4, 4: 3}
+    assert {r["node"] for r in near_dup.sharing_members(apart, df, 75, 100).collect()} == {1, 2, 4}
+    pairs = lambda at: sorted((r["a"], r["b"]) for r in near_dup.last_pairs(apart, df, 60, 100, 0, 10, at).collect())
+    assert pairs(1) == pairs(2) == pairs(16) == [(1, 2), (2, 4)]
 
 
 def test_near_duplicates_repeated_ids_with_other_texts(spark):
