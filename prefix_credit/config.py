@@ -8,6 +8,7 @@ from dataclasses import dataclass, field
 @dataclass(frozen=True)
 class Config:
     candidates: int = 8  # answers drawn a sample
+    subset_size: int = 800  # effective samples wanted a round
     rollouts: int = 8  # rollouts a sample in the iterative stage
     trajectories: int = 15  # plans a task
     judges: int = 5
@@ -31,3 +32,7 @@ class Config:
 
 
 DEFAULTS = Config()
+
+# Half-open price bands, and synonyms of each verb by line number modulo three.
+BANDS = [(0, 1000), (1000, 5000), (5000, 12000), (12000, 30000), (20000, 60000)]
+SYNONYMS = {"A": ("pick up", "grab", "take"), "N": ("put", "place", "set down"), "R": ("open", "pull open", "unlatch")}

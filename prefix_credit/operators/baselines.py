@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -25,6 +27,41 @@ def discard_sampling(outcomes: DataFrame, order: Column, wanted: int, tie: str =
     return run.filter(F.col("n_effective") - F.col("effective").cast("long") < wanted).drop("_o", "_p", "_n0", "_e0")
 
 
+def discard_loop(pool: DataFrame, rollout_fn: Callable[[DataFrame, int], DataFrame], order: Column, wanted: int, rounds: int, path: str, budget: int | None = None, refill: bool = True) -> DataFrame:
+    """All rounds of the discard baseline, each on storage at path: uniform draws over what is left of the pool, no quotas
+    and no re-queue, until `wanted` effective ones, `budget` draws or the end of the pool. With `refill` a round that
+    finds the pool empty starts it anew. History: (task, sample_id, effective, hard, easy, draw_no, n_effective, iter)."""
+    spark, left = pool.sparkSession, pool.select("task", "sample_id")
+    for i in range(1, rounds + 1):
+        if refill and left.isEmpty():
+            left = pool.select("task", "sample_id")
+        drawn = discard_sampling(rollout_fn(left, i), order, wanted)
+        if budget is not None:
+            drawn = drawn.filter(F.col("draw_no") <= budget)
+        drawn.withColumn("iter", F.lit(i)).write.mode("overwrite").parquet(f"{path}/round={i}")
+        done = spark.read.parquet(f"{path}/round={i}")
+        left = left.join(done.select("task", "sample_id"), ["task", "sample_id"], "left_anti")
+    return spark.read.parquet(path).drop("round")
+
+
+def stepwise_recover(known: DataFrame, world: DataFrame, tasks: DataFrame, max_steps: int) -> DataFrame:
+    """The agent that decides step by step and recovers in place: it takes the child that it thinks best (`known` nodes) of
+    those that the world (`world` nodes, path keys) has at its place; when its own favourite is not there it has met an
+    error and takes the best that is, an unknown child counting as worth 0. (task, steps, errors, last_q, success)."""
+    thought = known.select("task", F.col("depth").alias("d"), F.col("parent_key").alias("at"), "node_key", F.round("q", 9).alias("thought"))
+    favourite = thought.groupBy("task", "d", "at").agg(F.max_by("node_key", F.struct("thought", "node_key")).alias("favourite"))
+    real = world.select("task", F.col("depth").alias("d"), F.col("parent_key").alias("at"), "node_key", F.round("q", 9).alias("q"))
+    open_to = real.join(thought.select("task", "node_key", "thought"), ["task", "node_key"], "left").withColumn("thought", F.coalesce("thought", F.lit(0.0)))
+    pick = open_to.groupBy("task", "d", "at").agg(F.max_by(F.struct("node_key", "q"), F.struct("thought", "node_key")).alias("b"))
+    moves = pick.join(favourite, ["task", "d", "at"], "left")
+    now = tasks.select("task", F.lit("").alias("at"), F.lit(0).alias("steps"), F.lit(0).alias("errors"), F.lit(None).cast("double").alias("last_q"))
+    for t in range(1, min(max_steps, world.agg(F.max("depth")).first()[0] or 0) + 1):
+        step = moves.filter(F.col("d") == t).drop("d")
+        moved, missed = F.col("b").isNotNull(), F.col("favourite").isNotNull() & (F.col("favourite") != F.col("b.node_key"))
+        now = now.join(step, ["task", "at"], "left").select("task", F.coalesce("b.node_key", "at").alias("at"), (F.col("steps") + moved.cast("int")).alias("steps"), (F.col("errors") + F.coalesce(moved & missed, F.lit(False)).cast("int")).alias("errors"), F.coalesce("b.q", "last_q").alias("last_q"))
+    return now.select("task", "steps", "errors", "last_q", F.coalesce(F.col("last_q") > 0, F.lit(False)).alias("success"))
+
+
 def expansion_cost(observed: DataFrame, alphabet: int, depth: int) -> DataFrame:
     """Nodes that a full tree would expand at each depth against those that plans visit: depth, full, full_total, observed."""
     seen = observed.groupBy("depth").agg(F.count(F.lit(1)).alias("observed"))

@@ -10,27 +10,47 @@ from pyspark.sql import functions as F
 def as_of(left: DataFrame, right: DataFrame, keys: list[str], at: str, value: str, strict: bool = False) -> DataFrame:
     """Left rows with the latest `value` of the right at or before (`strict`: before) `at`: one union and one window,
     no pairs. Null where nothing came before."""
-    right = right.select(*keys, at, F.col(value).alias("_v"), F.lit(1 if strict else 0).alias("_side"))
-    rows = left.withColumns({"_v": F.lit(None).cast(dict(right.dtypes)["_v"]), "_side": F.lit(0 if strict else 1)})
-    both = rows.unionByName(right, allowMissingColumns=True).withColumn("_left", F.col("_side") == (0 if strict else 1))
-    by = Window.partitionBy(*keys).orderBy(at, "_side").rowsBetween(Window.unboundedPreceding, 0)
-    return both.withColumn(value, F.last("_v", ignorenulls=True).over(by)).filter("_left").drop("_v", "_side", "_left")
+    right = right.select(*keys, at, F.col(value).alias("__v"), F.lit(1 if strict else 0).alias("__side"))
+    rows = left.withColumns({"__v": F.lit(None).cast(dict(right.dtypes)["__v"]), "__side": F.lit(0 if strict else 1)})
+    both = rows.unionByName(right, allowMissingColumns=True).withColumn("__left", F.col("__side") == (0 if strict else 1))
+    by = Window.partitionBy(*keys).orderBy(at, "__side").rowsBetween(Window.unboundedPreceding, 0)
+    return both.withColumn(value, F.last("__v", ignorenulls=True).over(by)).filter("__left").drop("__v", "__side", "__left")
 
 
 def range_join(rows: DataFrame, bands: DataFrame, x: str, lo: str, hi: str, width: float) -> DataFrame:
     """Rows with every band whose half-open range holds x: bands are cut into bins, the join is on the bin."""
-    bins = bands.withColumn("_bin", F.explode(F.sequence(F.floor(F.col(lo) / width), F.floor(F.col(hi) / width))))
-    return rows.withColumn("_bin", F.floor(F.col(x) / width)).join(bins, "_bin").filter((F.col(x) >= F.col(lo)) & (F.col(x) < F.col(hi))).drop("_bin")
+    bins = bands.withColumn("__bin", F.explode(F.sequence(F.floor(F.col(lo) / width), F.floor(F.col(hi) / width))))
+    return rows.withColumn("__bin", F.floor(F.col(x) / width)).join(bins, "__bin").filter((F.col(x) >= F.col(lo)) & (F.col(x) < F.col(hi))).drop("__bin")
 
 
 def leaked(docs: DataFrame, items: DataFrame, words: int = 5) -> DataFrame:
-    """(doc_id, item_id) where the text holds the whole item: candidates share a run of the item's inner words, then the
-    substring is checked. Items of fewer than words + 2 words are checked by none."""
+    """(doc_id, item_id) where the text holds the whole item: an equi-join on one run of the item's inner words (its first
+    and last may be parts of longer words in the text), then the substring is checked.
+
+    An item of one or two words has no inner word: such items, few and short, are matched at once against each text by
+    one pattern-free pass, guarded to `short` of them. Items without words and null texts leak nowhere."""
     spaced = lambda c: F.filter(F.split(c, r"\s+"), lambda w: w != "")
-    keyed = items.withColumn("_w", spaced("text")).filter(F.size("_w") >= words + 2).select("item_id", F.col("text").alias("item"), F.array_join(F.slice("_w", 2, words), " ").alias("_key"))
-    runs = docs.withColumn("_w", spaced("text")).filter(F.size("_w") >= words)
-    runs = runs.withColumn("_key", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("_w") - words + 1), lambda k: F.array_join(F.slice("_w", k, words), " "))))).drop("_w")
-    return runs.join(keyed, "_key").filter(F.contains("text", "item")).select("doc_id", "item_id").distinct()
+    cut = items.withColumn("__w", spaced(F.col("text"))).select("item_id", F.col("text").alias("__item"), "__w", F.greatest(F.lit(0), F.least(F.lit(words), F.size("__w") - 2)).alias("__n"))
+    texts = docs.select("doc_id", "text")
+    long = cut.filter("__n > 0").select("item_id", "__item", "__n", F.array_join(F.slice("__w", F.lit(2), F.col("__n")), " ").alias("__key"))
+    sizes = [r["__n"] for r in long.select("__n").distinct().collect()]  # at most `words` values
+    run_of = lambda n: lambda k: F.array_join(F.slice("__w", k, F.lit(n)), " ")
+    found = None
+    for n in sizes:
+        runs = texts.withColumn("__w", spaced(F.col("text"))).filter(F.size("__w") >= n)
+        runs = runs.withColumn("__key", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("__w") - n + 1), run_of(n))))).drop("__w")
+        one = runs.join(long.filter(F.col("__n") == n).drop("__n"), "__key").filter(F.contains("text", "__item")).select("doc_id", "item_id")
+        found = one if found is None else found.unionByName(one)
+    short = cut.filter((F.col("__n") == 0) & (F.size("__w") > 0)).select("item_id", "__item")
+    if not short.isEmpty():
+        if short.count() > 10_000:
+            raise ValueError("more than 10,000 items of one or two words: almost every text holds some")
+        held = F.array(*(F.struct(F.lit(r["item_id"]).alias("item_id"), F.lit(r["__item"]).alias("item")) for r in short.collect()))
+        one = texts.filter("text is not null").select("doc_id", F.explode(F.transform(F.filter(held, lambda x: F.contains("text", x["item"])), lambda x: x["item_id"])).alias("item_id"))
+        found = one if found is None else found.unionByName(one)
+    if found is None:
+        return texts.select("doc_id").crossJoin(items.select("item_id").limit(0)).limit(0)
+    return found.distinct()
 
 
 def similar(left: DataFrame, right: DataFrame, dim: int, tables: int = 8, bits: int = 8, tau: float = 0.8, seed: int = 5) -> DataFrame:

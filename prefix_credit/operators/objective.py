@@ -46,6 +46,13 @@ def sibling_loss(rows: DataFrame, clip: float, kl_weight: float, norm: str = "ch
     return rows.groupBy("task", "depth", "parent_key").agg((-F.sum(term) / many).alias("loss"), F.count(F.lit(1)).alias("children"))
 
 
+def plan_terms(steps: DataFrame, ratios: DataFrame, kl: DataFrame) -> DataFrame:
+    """(task, traj, rho, kl) of whole plans from steps (task, traj, history, action), step ratios (history, action, rho) and
+    divergences (history, kl): the product of the ratios and the mean divergence."""
+    rows = steps.join(ratios, ["history", "action"]).join(kl, "history")
+    return rows.groupBy("task", "traj").agg(F.exp(F.sum(F.ln("rho"))).alias("rho"), F.avg("kl").alias("kl"))
+
+
 def trajectory_loss(rows: DataFrame, clip: float, kl_weight: float) -> DataFrame:
     """Baseline loss of each task: clipped gain of whole plans (rho, advantage, kl a plan)."""
     term = clipped_gain(F.col("rho"), F.col("advantage"), clip) - kl_weight * F.col("kl")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -49,6 +51,18 @@ def uniform(seed: int, *cols: str | Column) -> Column:
     return F.pmod(F.xxhash64(F.lit(seed), *cols), F.lit(1 << 52)).cast("double") / float(1 << 52)
 
 
+def modular_uniform(seed: int, *cols: str | Column) -> Column:
+    """The same for whole-number columns by arithmetic that any engine can repeat: a weighted sum, twice squared, modulo a
+    prime."""
+    m, x = 1_000_003, F.lit(seed * 15_485_863 % 1_000_003).cast("long")
+    for c, by in zip(cols, (7919, 104_729, 299_993, 611_953), strict=False):
+        x = x + F.pmod(F.col(c) if isinstance(c, str) else c, F.lit(m)).cast("long") * by
+    x = F.pmod(x, F.lit(m))
+    for _ in range(2):
+        x = F.pmod(x * (x + 7919) + 104_729, F.lit(m))
+    return x.cast("double") / float(m)
+
+
 def tempered(policy: DataFrame, temperature: float) -> DataFrame:
     by = Window.partitionBy("history")
     hot = policy.withColumn("w", F.pow("p", F.lit(1 / temperature)))
@@ -58,7 +72,7 @@ def tempered(policy: DataFrame, temperature: float) -> DataFrame:
 def with_bounds(policy: DataFrame) -> DataFrame:
     """(history, actions, bounds): the inverse of the cumulative distribution, one row a history."""
     by = Window.partitionBy("history").orderBy("action")
-    cum = policy.withColumn("hi", F.sum("p").over(by))
+    cum = policy.withColumn("hi", F.round(F.sum("p").over(by), 9))
     return cum.groupBy("history").agg(F.sort_array(F.collect_list(F.struct("hi", "action"))).alias("cdf"))
 
 
@@ -73,13 +87,13 @@ def sample_answers(policy: DataFrame, samples: DataFrame, k: int, temperature: f
     return draws.join(with_bounds(tempered(policy, temperature)), "history").select("sample_id", "cand_no", _drawn(uniform(seed, "sample_id", "cand_no")).alias("action"))
 
 
-def sample_rollouts(policy: DataFrame, tasks: DataFrame, k: int, max_steps: int, seed: int, stop: str, temperature: float = 1.0) -> DataFrame:
+def sample_rollouts(policy: DataFrame, tasks: DataFrame, k: int, max_steps: int, seed: int, stop: str, temperature: float = 1.0, draws: Callable[..., Column] = uniform) -> DataFrame:
     """k plans a task (column task), drawn step by step from an order-1 policy until `stop` or `max_steps`; one
     small-table join a step. (task, traj, actions array<string>)."""
     table = bounded_broadcast(with_bounds(tempered(policy, temperature)))
     now = tasks.select("task", F.explode(F.sequence(F.lit(1).cast("long"), F.lit(k).cast("long"))).alias("traj")).withColumns({"history": F.lit(""), "actions": F.array().cast("array<string>"), "live": F.lit(True)})
     for t in range(1, max_steps + 1):
-        drawn = _drawn(uniform(seed, "task", "traj", F.lit(t)))
+        drawn = _drawn(draws(seed, "task", "traj", F.lit(t)))
         now = now.join(table, "history", "left").withColumn("_a", F.when(F.col("live") & F.col("cdf").isNotNull(), drawn)).drop("cdf")
         now = now.select("task", "traj", F.coalesce("_a", "history").alias("history"), F.when(F.col("_a").isNotNull(), F.array_append("actions", F.col("_a"))).otherwise(F.col("actions")).alias("actions"), (F.col("live") & F.coalesce(F.col("_a") != stop, F.lit(False))).alias("live"))
     return now.select("task", "traj", "actions")

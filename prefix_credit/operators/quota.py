@@ -81,12 +81,35 @@ class State:
     length: dict[str, int] = field(default_factory=dict)
 
 
-def draw(pool: DataFrame, requeue: DataFrame, quotas: DataFrame) -> DataFrame:
+def fresh_ranges(pool: DataFrame, ranges: list[tuple], literal_tasks: int = 500) -> DataFrame:
+    """Pool rows whose position lies in its task's range: (task, lo, hi) with lo < position <= hi.
+
+    Up to `literal_tasks` ranges go into the filter as constants, which the scan of a pool laid out by `write_pool` prunes
+    files and row groups with; more are joined as a small table, under constant bounds over all of them."""
+    at = F.col("fresh_pos")
+    some = [(t, lo, hi) for t, lo, hi in ranges if hi > lo]
+    if not some:
+        return pool.limit(0)
+    low, high = min(lo for _, lo, _ in some), max(hi for *_, hi in some)
+    bounded = pool.filter((at > low) & (at <= high))
+    if len(some) <= literal_tasks:
+        hit = None
+        for t, lo, hi in some:
+            one = (F.col("task") == F.lit(t)) & (at > lo) & (at <= hi)
+            hit = one if hit is None else hit | one
+        return bounded.filter(hit)
+    kind = dict(pool.dtypes)["task"]
+    table = pool.sparkSession.createDataFrame(some, f"task {kind}, lo long, hi long")
+    return bounded.join(F.broadcast(table), "task").filter((at > F.col("lo")) & (at <= F.col("hi"))).drop("lo", "hi")
+
+
+def draw(pool: DataFrame, requeue: DataFrame, quotas: list[tuple]) -> DataFrame:
     """(task, sample_id, requeue_no, source, at): fresh rows first, by range of position, then re-queued ones in order.
 
-    `quotas` has one row a task: task, lo, hi (fresh positions, half-open below), shortfall."""
-    quotas = F.broadcast(quotas)
-    fresh = pool.join(quotas, "task").filter((F.col("fresh_pos") > F.col("lo")) & (F.col("fresh_pos") <= F.col("hi"))).select("task", "sample_id", F.lit(0).alias("requeue_no"), F.lit("fresh").alias("source"), F.col("fresh_pos").alias("at"))
+    `quotas` has one row a task: (task, lo, hi, shortfall), fresh positions half-open below."""
+    kind = dict(pool.dtypes)["task"]
+    fresh = fresh_ranges(pool, [q[:3] for q in quotas]).select("task", "sample_id", F.lit(0).alias("requeue_no"), F.lit("fresh").alias("source"), F.col("fresh_pos").alias("at"))
+    quotas = F.broadcast(pool.sparkSession.createDataFrame([(t, s) for t, _, _, s in quotas], f"task {kind}, shortfall long"))
     place = F.row_number().over(Window.partitionBy("task").orderBy("enq_round", "enq_seq"))
     again = requeue.withColumn("_at", place.cast("long")).join(quotas, "task").filter(F.col("_at") <= F.col("shortfall")).select("task", "sample_id", "requeue_no", F.lit("requeued").alias("source"), F.col("_at").alias("at"))
     return fresh.unionByName(again)
@@ -102,10 +125,11 @@ def requeue_hard(requeue: DataFrame, drawn: DataFrame, r_max: int, round_no: int
     return left.unionByName(back)
 
 
-def sample_status(history: DataFrame) -> DataFrame:
-    """Last state of each drawn sample: trained (effective), mastered (easy), waiting or exhausted (hard)."""
+def sample_status(history: DataFrame, r_max: int = 3) -> DataFrame:
+    """Last state of each drawn sample: trained (effective), mastered (easy), and of the hard ones waiting in the re-queue
+    or exhausted (re-queued r_max times)."""
     last = history.groupBy("task", "sample_id").agg(F.max_by(F.struct("effective", "hard", "requeue_no"), "iter").alias("x"), F.count(F.lit(1)).alias("draws"))
-    return last.select("task", "sample_id", "draws", F.when(F.col("x.effective"), "trained").when(F.col("x.hard"), "hard").otherwise("mastered").alias("status"))
+    return last.select("task", "sample_id", "draws", F.when(F.col("x.effective"), "trained").when(F.col("x.hard") & (F.col("x.requeue_no") < r_max), "waiting").when(F.col("x.hard"), "exhausted").otherwise("mastered").alias("status"))
 
 
 def intensity(history: DataFrame, pool: DataFrame) -> DataFrame:
@@ -154,7 +178,8 @@ def run_iterations(
     eta = lambda x: None if x is None or (x[2] if signal == "hard_only" else x[0]) == 0 else x[1] / (x[2] if signal == "hard_only" else x[0])
     tried = rates_of(rollout_fn(pool.filter(F.col("fresh_pos") <= probe).select("task", "sample_id"), 0))
     state = State({t: eta(tried.get(t)) or 0.0 for t in tasks}, dict.fromkeys(tasks, 0), lengths)
-    empty = "task string, sample_id long, requeue_no int, enq_round int, enq_seq long"
+    kinds = dict(pool.dtypes)
+    empty = f"task {kinds['task']}, sample_id {kinds['sample_id']}, requeue_no int, enq_round int, enq_seq long"
     waiting, report = spark.createDataFrame([], empty), []
     waiting_n: dict[str, int] = {}
     for i in range(1, rounds + 1):
@@ -164,8 +189,7 @@ def run_iterations(
             lo = state.cursor[t]
             hi = min(lo + q, state.length[t])
             rows.append((t, lo, hi, min(q - (hi - lo), waiting_n.get(t, 0)) if requeue else 0, q))
-        quotas = spark.createDataFrame(rows, "task string, lo long, hi long, shortfall long, quota long")
-        picked = draw(pool, waiting, quotas)
+        picked = draw(pool, waiting, [r[:4] for r in rows])
         done = picked.join(rollout_fn(picked.select("task", "sample_id"), i), ["task", "sample_id"]).withColumn("iter", F.lit(i))
         done.write.mode("overwrite").parquet(f"{path}/history/round={i}")
         done = spark.read.parquet(f"{path}/history/round={i}")

@@ -28,7 +28,18 @@ def seeded_order(key: Column, seed: int) -> Column:
 def balanced_sample(samples: DataFrame, by: str, cap: int, order: Column, tie: str) -> DataFrame:
     """At most `cap` rows of each type, first in `order`."""
     at = F.row_number().over(Window.partitionBy(by).orderBy(order, tie))
-    return samples.withColumn("_at", at).filter(F.col("_at") <= cap).drop("_at")
+    return samples.withColumn("__at", at).filter(F.col("__at") <= cap).drop("__at")
+
+
+def share_sample(samples: DataFrame, by: str, shares: dict, order: Column, m: int = 1_000_003) -> DataFrame:
+    """About a share of each type without ranking: rows whose place in a scattered order of `m` values is low enough."""
+    at = F.coalesce(*(F.when(F.col(by) == k, F.lit(v)) for k, v in shares.items()), F.lit(0.0))
+    return samples.filter(order < at * m)
+
+
+def seeded_share_sample(samples: DataFrame, by: str, shares: dict, seed: int) -> DataFrame:
+    """The same by Spark's own stratified sampling."""
+    return samples.sampleBy(by, shares, seed)
 
 
 def draw_candidates(answers: DataFrame, k: int, order_cols: list[str], key: str = "sample_id") -> DataFrame:
@@ -39,7 +50,11 @@ def draw_candidates(answers: DataFrame, k: int, order_cols: list[str], key: str
 def stratify(cands: DataFrame, easy_at: float = 1.0, hard_at: float = 0.0, keys: tuple[str, ...] = ("sample_id", "task")) -> DataFrame:
     """(keys, k, n_correct, stratum): all right, none right, or some. Candidates without a verdict don't count; a sample
     without any verdict has no stratum. `easy_at`, `hard_at` soften the bands."""
-    out = cands.groupBy(*keys).agg(F.count("correct").alias("k"), F.count_if("correct").alias("n_correct"))
+    return banded(cands.groupBy(*keys).agg(F.count("correct").alias("k"), F.count_if("correct").alias("n_correct")), easy_at, hard_at)
+
+
+def banded(out: DataFrame, easy_at: float = 1.0, hard_at: float = 0.0) -> DataFrame:
+    """Adds stratum to rows with k and n_correct."""
     share = F.col("n_correct") / F.col("k")
     return out.withColumn("stratum", F.when(F.col("k") == 0, None).when(share >= easy_at, EASY).when(share <= hard_at, HARD).otherwise(UNCERTAIN))
 
@@ -50,10 +65,10 @@ def select_for_tuning(strata: DataFrame, easy_share: float, order: Column, easy_
     whole = strata.filter(F.col("stratum").isin(*[s for s in keep if s != EASY]))
     if EASY not in keep:
         return whole
-    base = strata.groupBy("task").agg(F.count_if(F.col("stratum") == (EASY if easy_base == "easy" else UNCERTAIN)).alias("_base"))
+    base = strata.groupBy("task").agg(F.count_if(F.col("stratum") == (EASY if easy_base == "easy" else UNCERTAIN)).alias("__base"))
     easy = strata.filter(F.col("stratum") == EASY).join(bounded_broadcast(base), "task")
     at = F.row_number().over(Window.partitionBy("task").orderBy(order, "sample_id"))
-    easy = easy.withColumn("_at", at).filter(F.col("_at") <= F.ceil(F.round(F.col("_base") * easy_share, 9))).select(*strata.columns)
+    easy = easy.withColumn("__at", at).filter(F.col("__at") <= F.ceil(F.round(F.col("__base") * easy_share, 9))).select(*strata.columns)
     return whole.unionByName(easy)
 
 

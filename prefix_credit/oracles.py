@@ -1,11 +1,10 @@
-"""The queries of `queries` in DuckDB's SQL, written on their own, and the constants both sides share."""
+"""The queries of `queries` in DuckDB's SQL, written on their own."""
 
 from __future__ import annotations
 
-SUBSET = 600
-# Half-open price bands, and synonyms of each verb by line number modulo three.
-BANDS = [(0, 1000), (1000, 5000), (5000, 12000), (12000, 30000), (20000, 60000)]
-SYNONYMS = {"A": ("pick up", "grab", "take"), "N": ("put", "place", "set down"), "R": ("open", "pull open", "unlatch")}
+from .config import BANDS
+
+SUBSET = 800
 
 _TH = "CASE p_type WHEN 'SMALL' THEN .1 WHEN 'ECONOMY' THEN .2 WHEN 'STANDARD' THEN .3 WHEN 'MEDIUM' THEN .5 WHEN 'LARGE' THEN .7 WHEN 'PROMO' THEN .85 ELSE .5 END"
 _ORDER = "((sample_id * 7919 + 104729) % 1000003)"
@@ -34,13 +33,13 @@ TUNING = f"""{STRATA}, tun AS (
 )"""
 OUT = """outc AS (
   SELECT sample_id, task, i AS iter, bool_or(ok) <> bool_and(ok) AS effective, NOT bool_or(ok) AS hard, bool_and(ok) AS easy
-  FROM (SELECT sample_id, task, i, reward >= th * pow(0.85, i) AS ok FROM rew, range(0, 4) g(i) WHERE (((rn - 8 * i) % n) + n) % n < 8) x
+  FROM (SELECT sample_id, task, i, reward >= th * pow(0.85, i) AS ok FROM rew, range(0, 6) g(i) WHERE (((rn - 8 * i) % n) + n) % n < 8) x
   GROUP BY 1, 2, 3
 )"""
 POOL = "pool AS (SELECT sample_id, task, row_number() OVER (PARTITION BY task ORDER BY sample_id) AS pos FROM st WHERE stratum <> 'easy')"
 
 
-def loop(rounds: int) -> str:
+def loop(rounds: int, beta: float = 0.8, requeue: bool = True, refresh: bool = True) -> str:
     """CTEs of the quota rounds: s{i} is the state after round i, d{i} its draws, w{i} the waiting list after it."""
     sql = f"""{STRATA}, {OUT}, {POOL}, len AS (SELECT task, max(pos) AS n, (SELECT count(DISTINCT task) FROM pool) AS tasks FROM pool GROUP BY 1),
 s0 AS (SELECT len.task, 0 AS hi, avg(CAST(effective AS INT)) AS e FROM len JOIN pool ON pool.task = len.task AND pos <= 32 JOIN outc ON outc.sample_id = pool.sample_id AND iter = 0 GROUP BY 1),
@@ -60,11 +59,11 @@ q{i} AS (
 ), w{i} AS (
   SELECT * FROM w{p} WHERE (task, sample_id) NOT IN (SELECT (task, sample_id) FROM d{i} WHERE src = 1)
   UNION ALL
-  SELECT task, sample_id, no + 1, {i}, row_number() OVER (PARTITION BY task ORDER BY src, place) FROM d{i} WHERE hard AND no + 1 <= 3
+  SELECT task, sample_id, no + 1, {i}, row_number() OVER (PARTITION BY task ORDER BY src, place) FROM d{i} WHERE hard AND no + 1 <= 3{'' if requeue else ' AND false'}
 ), c{i} AS (
   SELECT task, count(*) FILTER (WHERE src = 0) AS fresh, count(*) FILTER (WHERE src = 1) AS again, count(*) FILTER (WHERE effective) AS eff, count(*) AS drawn FROM d{i} GROUP BY 1
 ), s{i} AS (
-  SELECT q{i}.task, q{i}.hi, CASE WHEN coalesce(drawn, 0) = 0 THEN e ELSE 0.8 * e + 0.2 * (CAST(eff AS DOUBLE) / drawn) END AS e
+  SELECT q{i}.task, {f'q{i}.hi' if refresh else '0'} AS hi, CASE WHEN coalesce(drawn, 0) = 0 THEN e ELSE {beta} * e + {1 - beta:.6g} * (CAST(eff AS DOUBLE) / drawn) END AS e
   FROM q{i} LEFT JOIN c{i} ON c{i}.task = q{i}.task
 )"""
     return sql
@@ -226,7 +225,7 @@ SELECT iter, stratum, count(*) AS n, round(count(*) / CAST(sum(count(*)) OVER (P
     "quota_round1": _round(1),
     "quota_round2": _round(2),
     "quota_round3": _round(3),
-    "sample_status": f"""WITH {loop(3)}, h AS ({HISTORY}), l AS (SELECT task, sample_id, count(*) AS draws, arg_max(CASE WHEN effective THEN 'trained' WHEN hard THEN 'hard' ELSE 'mastered' END, iter) AS status FROM h GROUP BY 1, 2)
+    "sample_status": f"""WITH {loop(3)}, h AS ({HISTORY}), l AS (SELECT task, sample_id, count(*) AS draws, arg_max(CASE WHEN effective THEN 'trained' WHEN hard AND no < 3 THEN 'waiting' WHEN hard THEN 'exhausted' ELSE 'mastered' END, iter) AS status FROM h GROUP BY 1, 2)
 SELECT task, status, count(*) AS samples, CAST(sum(draws) AS BIGINT) AS draws FROM l GROUP BY 1, 2""",
     "training_intensity": f"""WITH {loop(3)}, h AS ({HISTORY}), d AS (SELECT task, count(*) AS draws, count(DISTINCT sample_id) AS samples FROM h GROUP BY 1)
 SELECT len.task, n AS size, coalesce(draws, 0) AS draws, coalesce(samples, 0) AS samples, round(coalesce(draws, 0) / CAST(n AS DOUBLE), 6) AS intensity FROM len LEFT JOIN d ON d.task = len.task""",
@@ -297,7 +296,7 @@ SELECT t, coalesce(round(q, 9) >= 0, false) AS verdict, CAST(te.r AS BIGINT) AS
 SELECT kind, count(*) AS n, round(avg(CASE kind WHEN 'exact' THEN CASE WHEN vec_id % 10 = label THEN 1.0 ELSE 0 END
   WHEN 'semantic' THEN CASE WHEN list_cosine_similarity(v[1:18], g) >= 0.2 THEN 1.0 ELSE 0 END WHEN 'point' THEN {_POINT}
   WHEN 'distance' THEN least(abs(v[1]) / abs(g[1]), abs(g[1]) / abs(v[1])) ELSE CASE WHEN i2 >= 0.05 THEN i2 ELSE 0 END END), 6) + 0.0 AS reward FROM k GROUP BY 1""",
-    "leakage": "SELECT doc_id, item_id FROM documents d JOIN benchmark b ON contains(d.text, b.text) WHERE len(list_filter(string_split_regex(b.text, '\\s+'), lambda w: w <> '')) >= 7",
+    "leakage": "SELECT doc_id, item_id FROM documents d JOIN benchmark b ON contains(d.text, b.text) WHERE len(list_filter(string_split_regex(b.text, '\\s+'), lambda w: w <> '')) >= 1",
     "join_semi_drawn": f"WITH {STRATA}, {POOL} SELECT l_partkey, count(*) AS lines, sum(l_quantity) AS quantity FROM lineitem WHERE l_partkey IN (SELECT sample_id FROM pool WHERE pos <= 40) GROUP BY 1",
     "join_anti_leaves": f"{_PRE} SELECT depth, count(*) AS leaves FROM nd WHERE (task, path) NOT IN (SELECT (task, parent) FROM nd) GROUP BY 1",
     "asof_rate": f"WITH {RATES} SELECT event_id, round(eta, 6) AS eta FROM (SELECT event_id, CAST(user_id % 5 AS INT) AS task, CAST(ts AS DATE) AS place FROM events WHERE event_type = 'purchase') e ASOF LEFT JOIN rt ON rt.task = e.task AND e.place > rt.day",

@@ -8,12 +8,13 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import oracles
+from .config import BANDS, SYNONYMS
 from .config import DEFAULTS as C
 from .functions import actions, measures, rewards
 from .operators import baselines, credit, joins, objective, policy, quota, replan, rounds, strata, trie
 from .plans.forms import bounded_broadcast
 from .sources import workloads as W
-from .sources.tables import load, with_props
+from .sources.tables import load, with_props, write_pool
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = oracles.ORACLES
@@ -68,9 +69,9 @@ def balanced_draw(spark, sf):
 # ---- stage 1 --------------------------------------------------------------------------------------------------------
 
 
-def part_candidates(spark, sf, iteration: int = 0) -> DataFrame:
-    """CAND-P (iteration 0) and its improving replay: k answers a part with reward and verdict."""
-    rows = W.part_answers(spark, sf)
+def part_candidates(spark, sf, iteration: int = 0, drawn: DataFrame | None = None) -> DataFrame:
+    """CAND-P (iteration 0) and its improving replay: k answers a part with reward and verdict; of `drawn` parts only."""
+    rows = W.part_answers(spark, sf, drawn)
     block = F.pmod(F.col("rn") - 8 * iteration, F.col("n")) < C.candidates
     rows = rows.filter(block).withColumn("reward", rewards.distance_reward(F.col("answer"), F.col("truth")))
     at = {k: v * 0.85**iteration for k, v in C.thresholds.items()}
@@ -123,10 +124,13 @@ def filter_cost_judge(spark, sf):
 @query
 def strata_drift(spark, sf):
     """Shares of the strata over five iterations of the improving replay."""
-    rows = None
-    for i in range(5):
-        one = strata.stratify(part_candidates(spark, sf, i)).withColumn("iter", F.lit(i))
-        rows = one if rows is None else rows.unionByName(one)
+    answers = W.part_answers(spark, sf).withColumn("reward", rewards.distance_reward(F.col("answer"), F.col("truth")))
+    at = F.coalesce(*(F.when(F.col("task") == k, F.lit(v)) for k, v in C.thresholds.items()), F.lit(0.5))
+    # one scan and one aggregate: each iteration has its own conditional counts
+    block = lambda i: F.pmod(F.col("rn") - 8 * i, F.col("n")) < C.candidates
+    each = [F.struct(F.lit(i).alias("iter"), F.count_if(block(i)).alias("k"), F.count_if(block(i) & (F.col("reward") >= at * 0.85**i)).alias("n_correct")) for i in range(5)]
+    counts = answers.groupBy("sample_id").agg(F.array(*each).alias("x")).select("sample_id", F.inline("x"))
+    rows = strata.banded(counts)
     return rounded(longs(measures.shares(rows, "stratum", ["iter"]), "n"), "share")
 
 
@@ -139,6 +143,13 @@ def part_outcomes(spark, sf, iteration: int) -> DataFrame:
     return quota.outcomes(rows, ["sample_id", "task"])
 
 
+def part_rollouts(spark, sf, rows: DataFrame, iteration: int) -> DataFrame:
+    """Outcomes of drawn samples (task, sample_id) only: their lines are picked before any window."""
+    rows = rows.select("task", "sample_id")
+    cands = part_candidates(spark, sf, iteration, rows.select("sample_id")).withColumn("reward", F.col("correct").cast("double"))
+    return quota.outcomes(cands, ["task", "sample_id"])
+
+
 def part_pool(spark, sf) -> DataFrame:
     return quota.enqueue(strata.rl_pool(strata.stratify(part_candidates(spark, sf))).select("sample_id", "task"), ["sample_id"])
 
@@ -147,10 +158,10 @@ def quota_history(spark, sf, n_rounds: int, **how) -> tuple[DataFrame, list[dict
     from .session import work_dir
 
     pool_at = work_dir(spark)
-    part_pool(spark, sf).write.parquet(f"{pool_at}/pool")
+    write_pool(part_pool(spark, sf), f"{pool_at}/pool", 8)
     pool = spark.read.parquet(f"{pool_at}/pool")
-    rollout = lambda rows, i: rows.select("task", "sample_id").join(part_outcomes(spark, sf, i), ["task", "sample_id"])
-    return quota.run_iterations(spark, pool, rollout, pool_at, oracles.SUBSET, n_rounds, C.ema_beta, C.rate_floor, C.r_max, C.probe, **how)
+    rollout = lambda rows, i: part_rollouts(spark, sf, rows, i)
+    return quota.run_iterations(spark, pool, rollout, pool_at, C.subset_size, n_rounds, C.ema_beta, C.rate_floor, C.r_max, C.probe, **how)
 
 
 def _quota_round(spark, sf, i: int) -> DataFrame:
@@ -189,7 +200,7 @@ def training_intensity(spark, sf):
 @query
 def discard_vs_quota(spark, sf):
     """Draws and effective samples by task: zero-advantage discard against the quotas' first round."""
-    drawn = baselines.discard_sampling(kept(spark, part_pool(spark, sf).join(part_outcomes(spark, sf, 1), ["sample_id", "task"])), strata.modular_order(F.col("sample_id")), oracles.SUBSET)
+    drawn = baselines.discard_sampling(kept(spark, part_pool(spark, sf).join(part_outcomes(spark, sf, 1), ["sample_id", "task"])), strata.modular_order(F.col("sample_id")), C.subset_size)
     history, _ = quota_history(spark, sf, 1)
     side = lambda df, m: measures.sampling_cost(df, ["task"]).withColumn("method", F.lit(m))
     return rounded(longs(side(drawn, "discard").unionByName(side(history, "quota")), "sampled", "effective"), "cost")
@@ -205,7 +216,7 @@ def task_balance(spark, sf):
 
 @query
 def running_discard(spark, sf):
-    drawn = baselines.discard_sampling(part_pool(spark, sf).join(part_outcomes(spark, sf, 1), ["sample_id", "task"]), strata.modular_order(F.col("sample_id")), oracles.SUBSET)
+    drawn = baselines.discard_sampling(part_pool(spark, sf).join(part_outcomes(spark, sf, 1), ["sample_id", "task"]), strata.modular_order(F.col("sample_id")), C.subset_size)
     return longs(drawn.select("sample_id", "draw_no", "n_effective"), "draw_no", "n_effective")
 
 
@@ -648,7 +659,7 @@ def asof_rate(spark, sf):
 @query
 def range_band(spark, sf):
     """Line prices in half-open bands, by bin and equi-join."""
-    bands = spark.createDataFrame([(k, float(lo), float(hi)) for k, (lo, hi) in enumerate(oracles.BANDS)], "band long, lo double, hi double")
+    bands = spark.createDataFrame([(k, float(lo), float(hi)) for k, (lo, hi) in enumerate(BANDS)], "band long, lo double, hi double")
     rows = load(spark, sf, "lineitem", ["l_extendedprice"])
     return longs(joins.range_join(rows, bands, "l_extendedprice", "lo", "hi", 5000.0).groupBy("band").agg(F.count(F.lit(1)).alias("lines")), "lines")
 
@@ -685,8 +696,8 @@ def json_actions(spark, sf):
 def map_synonyms(spark, sf):
     """Step sentences with synonyms, parsed back to canonical triples."""
     lines = load(spark, sf, "lineitem", ["l_linenumber", "l_returnflag", "l_linestatus"])
-    phrase = F.coalesce(*(F.when((F.col("l_returnflag") == f) & (F.col("l_linenumber") % 3 == k), F.lit(p)) for f, ps in oracles.SYNONYMS.items() for k, p in enumerate(ps)))
+    phrase = F.coalesce(*(F.when((F.col("l_returnflag") == f) & (F.col("l_linenumber") % 3 == k), F.lit(p)) for f, ps in SYNONYMS.items() for k, p in enumerate(ps)))
     text = F.concat(F.lit("Step "), "l_linenumber", F.lit(": "), phrase, F.lit(" the box on the "), "l_linestatus", F.lit("."))
-    parsed = actions.parse_action(text, {f: list(ps) for f, ps in oracles.SYNONYMS.items()})
+    parsed = actions.parse_action(text, {f: list(ps) for f, ps in SYNONYMS.items()})
     rows = lines.withColumn("a", parsed)
     return longs(rows.groupBy(F.col("a.action_type").alias("verb"), F.col("a.receptacle_obj").alias("receptacle"), F.col("a.known").alias("known")).agg(F.count(F.lit(1)).alias("n")), "n")

@@ -23,7 +23,11 @@ def session(master: str = "local[*]", partitions: int = 8) -> SparkSession:
 
 
 def work_dir(spark: SparkSession) -> str:
-    """A new folder under the cluster's shared checkpoint folder; a local one only where none is named (tests)."""
+    """A new folder under the cluster's shared checkpoint folder; a local one only under a local master that names none."""
     sc = spark.sparkContext
-    base = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir() or f"file:///tmp/prefix_credit_rounds/{sc.applicationId}"
+    base = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
+    if not base:
+        if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        base = f"file:///tmp/prefix_credit_rounds/{sc.applicationId}"
     return f"{base}/rounds/{uuid.uuid4().hex}"

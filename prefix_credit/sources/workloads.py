@@ -64,7 +64,7 @@ def order_plans(spark: SparkSession, sf_dir: str, conf: Config = DEFAULTS, rich:
 
 def take_rollouts(plans: DataFrame, k: int, order_cols: list[str]) -> DataFrame:
     """The first k plans of each task."""
-    return plans.withColumn("_at", F.row_number().over(Window.partitionBy("task").orderBy(*order_cols))).filter(F.col("_at") <= k).drop("_at")
+    return plans.withColumn("__at", F.row_number().over(Window.partitionBy("task").orderBy(*order_cols))).filter(F.col("__at") <= k).drop("__at")
 
 
 def session_plans(spark: SparkSession, sf_dir: str, conf: Config = DEFAULTS, rich: bool = False, gap_seconds: int = 43_200) -> DataFrame:
@@ -91,9 +91,12 @@ def dialogue_plans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packed.select((F.col("conv_id") % 6).alias("task"), F.col("conv_id").alias("traj"), F.when(F.element_at("e", -1)["action"]["action_type"] == "assistant", 1).otherwise(-1).alias("r"), steps.alias("steps"))
 
 
-def part_answers(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every recorded answer to "what does this part cost": (sample_id, task, rn from 0, n, answer, truth)."""
+def part_answers(spark: SparkSession, sf_dir: str, of: DataFrame | None = None) -> DataFrame:
+    """Every recorded answer to "what does this part cost": (sample_id, task, rn from 0, n, answer, truth); only for the
+    samples `of` (sample_id) if given."""
     lines = load(spark, sf_dir, "lineitem", ["l_partkey", "l_orderkey", "l_linenumber", "l_suppkey", "l_extendedprice", "l_quantity"])
+    if of is not None:
+        lines = lines.join(of.select(F.col("sample_id").alias("l_partkey")), "l_partkey", "left_semi")
     parts = load(spark, sf_dir, "part", ["p_partkey", "p_type", "p_retailprice"])
     by = Window.partitionBy("l_partkey").orderBy("l_orderkey", "l_linenumber", "l_suppkey", "l_extendedprice", "l_quantity")
     rows = lines.withColumn("rn", F.row_number().over(by) - 1).withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("l_partkey")))

@@ -161,6 +161,9 @@ def test_joins(spark):
     docs = spark.createDataFrame([(1, "x y one two three four five six seven z"), (2, "nothing of it"), (3, None)], "doc_id long, text string")
     items = spark.createDataFrame([(9, "one two three four five six seven"), (8, "two words")], "item_id long, text string")
     assert [tuple(r) for r in joins.leaked(docs, items).collect()] == [(1, 9)]
+    few = spark.createDataFrame([(1, "nothing"), (2, "of it"), (3, "six seven z"), (4, "two three four five"), (5, " "), (6, None), (7, "x y one two")], "item_id long, text string")
+    assert sorted(tuple(r) for r in joins.leaked(docs, few).collect()) == [(1, 3), (1, 4), (1, 7), (2, 1), (2, 2)]
+    assert joins.leaked(docs, few.limit(0)).columns == ["doc_id", "item_id"]
     v = spark.createDataFrame([(k, [float(k % 3 == j) + 0.01 * k for j in range(3)]) for k in range(9)], "id long, v array<double>")
     pairs = joins.similar(v, v, 3, tables=16, bits=4, tau=0.97).filter("left_id < right_id")
     assert not pairs.isEmpty() and pairs.filter("cosine < 0.97").isEmpty()

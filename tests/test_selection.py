@@ -100,8 +100,7 @@ def test_requeue_order_and_limit(spark):
 def test_draw_prefers_fresh(spark):
     pool = quota.enqueue(spark.createDataFrame([("a", k) for k in range(5)], "task string, sample_id long"), ["sample_id"])
     waiting = spark.createDataFrame([("a", 90, 1, 1, 2), ("a", 91, 1, 1, 1)], "task string, sample_id long, requeue_no int, enq_round int, enq_seq long")
-    quotas = spark.createDataFrame([("a", 3, 5, 1)], "task string, lo long, hi long, shortfall long")
-    got = quota.draw(pool, waiting, quotas).collect()
+    got = quota.draw(pool, waiting, [("a", 3, 5, 1)]).collect()
     assert sorted((r["source"], r["sample_id"]) for r in got) == [("fresh", 3), ("fresh", 4), ("requeued", 91)]
 
 

@@ -17,9 +17,9 @@ def test_entry_runs(spark):
     assert df.count() == 2605 and "advantage" in df.columns
 
 
-def test_every_query_but_the_random_one_has_sql():
+def test_every_query_has_sql():
     own = [k for k in entry.queries() if not k.startswith("op") and k != "pipeline"]
-    assert set(own) - set(entry.oracle_sql()) == {"round_ledger"}
+    assert set(own) == set(entry.oracle_sql()) & set(own)
 
 
 def test_engine(spark, sf):
