@@ -65,7 +65,7 @@ def task_balance(counts: DataFrame, value: str = "effective") -> DataFrame:
     """Spread of effective samples over tasks: max/min, coefficient of variation, mean distance from the even share."""
     even = F.avg(value).over(Window.partitionBy())
     rows = counts.withColumn("_even", even)
-    return rows.agg(F.max(value).alias("most"), F.min(value).alias("least"), F.try_divide(F.max(value).cast("double"), F.min(value)).alias("ratio"), (F.stddev_pop(value) / F.avg(value)).alias("variation"), F.avg(F.abs(F.col(value) - F.col("_even"))).alias("mean_gap"))
+    return rows.agg(F.max(value).alias("most"), F.min(value).alias("least"), F.try_divide(F.max(value).cast("double"), F.min(value)).alias("ratio"), F.try_divide(F.stddev_pop(value), F.avg(value)).alias("variation"), F.avg(F.abs(F.col(value) - F.col("_even"))).alias("mean_gap"))
 
 
 def curve_drop(curve: DataFrame, x: str = "iter", y: str = "value", by: list[str] | None = None) -> DataFrame:

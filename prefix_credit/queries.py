@@ -11,7 +11,7 @@ from . import oracles
 from .config import BANDS, SYNONYMS
 from .config import DEFAULTS as C
 from .functions import actions, measures, rewards
-from .operators import baselines, credit, joins, objective, policy, quota, replan, rounds, strata, trie
+from .operators import baselines, credit, joins, objective, policy, quota, replan, strata, trie
 from .plans.forms import bounded_broadcast
 from .sources import workloads as W
 from .sources.tables import load, with_props, write_pool
@@ -154,14 +154,14 @@ def part_pool(spark, sf) -> DataFrame:
     return quota.enqueue(strata.rl_pool(strata.stratify(part_candidates(spark, sf))).select("sample_id", "task"), ["sample_id"])
 
 
-def quota_history(spark, sf, n_rounds: int, **how) -> tuple[DataFrame, list[dict]]:
+def quota_history(spark, sf, n_rounds: int, beta: float = C.ema_beta, **how) -> tuple[DataFrame, list[dict]]:
     from .session import work_dir
 
     pool_at = work_dir(spark)
     write_pool(part_pool(spark, sf), f"{pool_at}/pool", 8)
     pool = spark.read.parquet(f"{pool_at}/pool")
     rollout = lambda rows, i: part_rollouts(spark, sf, rows, i)
-    return quota.run_iterations(spark, pool, rollout, pool_at, C.subset_size, n_rounds, C.ema_beta, C.rate_floor, C.r_max, C.probe, **how)
+    return quota.run_iterations(spark, pool, rollout, pool_at, C.subset_size, n_rounds, beta, C.rate_floor, C.r_max, C.probe, **how)
 
 
 def _quota_round(spark, sf, i: int) -> DataFrame:
@@ -391,17 +391,6 @@ def sibling_loss(spark, sf):
     return rounded(longs(out, "depth", "parents"), "loss", "loss_by_visits")
 
 
-@query
-def round_ledger(spark, sf):
-    """Three co-evolution rounds of forty customers each; a plan is good when it ends in a delivered step."""
-    from .session import work_dir
-
-    start = policy.fit_policy(trie.with_prefix_keys(W.order_plans(spark, sf)), 1.0, 1)
-    good = F.when(F.element_at("steps", -1)["action"]["target_obj"] == "F", 1).otherwise(-1)
-    tasks = load(spark, sf, "customer", ["c_custkey"]).select(F.col("c_custkey").alias("task"))
-    ledger = rounds.run_rounds(spark, tasks, start, good, work_dir(spark), 3, C.tasks_per_round, C.trajectories, 6, "R/F/∅")
-    return spark.createDataFrame([tuple(r.values()) for r in ledger], "round int, plans long, success double, judge_agreement double, credit_rows long, loss double")
-
 
 # ---- measures and comparisons ---------------------------------------------------------------------------------------
 
