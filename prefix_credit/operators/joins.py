@@ -23,6 +23,22 @@ def range_join(rows: DataFrame, bands: DataFrame, x: str, lo: str, hi: str, widt
     return rows.withColumn("__bin", F.floor(F.col(x) / width)).join(bins, "__bin").filter((F.col(x) >= F.col(lo)) & (F.col(x) < F.col(hi))).drop("__bin")
 
 
+def within(left: DataFrame, right: DataFrame, keys: list[str], at: str, other_at: str, width: int) -> DataFrame:
+    """Left rows with every right row of their keys whose `other_at` lies in the `width` before `at`, both ends counted: bins
+    of that width, an equi-join on key and bin, no range in the join's key. `at` and `other_at` are whole numbers."""
+    near = left.withColumn("__bin", F.explode(F.array(F.floor(F.col(at) / width), F.floor(F.col(at) / width) - 1)))
+    back = right.withColumn("__bin", F.floor(F.col(other_at) / width))
+    return near.join(back, [*keys, "__bin"]).filter((F.col(other_at) <= F.col(at)) & (F.col(other_at) >= F.col(at) - width)).drop("__bin")
+
+
+def sibling_pairs(nodes: DataFrame, tolerance: float = 1e-9) -> DataFrame:
+    """(task, depth, parent_key, better, worse, gap): siblings of unequal value, each pair once. A parent has at most as many
+    children as there are actions, so a parent makes a bounded number of pairs."""
+    side = lambda name: nodes.select("task", "depth", "parent_key", F.col("node_key").alias(name), F.col("q").alias(f"{name}_q"))
+    both = side("better").join(side("worse"), ["task", "depth", "parent_key"]).filter(F.col("better_q") - F.col("worse_q") > tolerance)
+    return both.select("task", "depth", "parent_key", "better", "worse", (F.col("better_q") - F.col("worse_q")).alias("gap"))
+
+
 def leaked(docs: DataFrame, items: DataFrame, words: int = 5) -> DataFrame:
     """(doc_id, item_id) where the text holds the whole item: an equi-join on one run of the item's inner words (its first
     and last may be parts of longer words in the text), then the substring is checked.

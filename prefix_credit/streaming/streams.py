@@ -108,6 +108,12 @@ def stream_trie(steps: DataFrame, path: str, checkpoint: str, gamma: float) -> S
     return steps.writeStream.foreachBatch(trie_sink(path, gamma)).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
+def newest_trie(spark: SparkSession, path: str) -> DataFrame:
+    """The tree after the last batch: the highest version that was written whole."""
+    found = spark.read.format("binaryFile").option("pathGlobFilter", "_SUCCESS").option("recursiveFileLookup", "true").load(path).select(F.max(F.regexp_extract("path", r"version=(\d+)", 1).cast("long")).alias("v"))
+    return latest_trie(spark, path, found.first()["v"])
+
+
 def latest_trie(spark: SparkSession, path: str, version: int) -> DataFrame:
     return spark.read.parquet(f"{path}/version={version}")
 
