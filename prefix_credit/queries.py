@@ -154,14 +154,14 @@ def part_pool(spark, sf) -> DataFrame:
     return quota.enqueue(strata.rl_pool(strata.stratify(part_candidates(spark, sf))).select("sample_id", "task"), ["sample_id"])
 
 
-def quota_history(spark, sf, n_rounds: int, beta: float = C.ema_beta, **how) -> tuple[DataFrame, list[dict]]:
+def quota_history(spark, sf, n_rounds: int, beta: float = C.ema_beta, subset: int = C.subset_size, **how) -> tuple[DataFrame, list[dict]]:
     from .session import work_dir
 
     pool_at = work_dir(spark)
     write_pool(part_pool(spark, sf), f"{pool_at}/pool", 8)
     pool = spark.read.parquet(f"{pool_at}/pool")
     rollout = lambda rows, i: part_rollouts(spark, sf, rows, i)
-    return quota.run_iterations(spark, pool, rollout, pool_at, C.subset_size, n_rounds, beta, C.rate_floor, C.r_max, C.probe, **how)
+    return quota.run_iterations(spark, pool, rollout, pool_at, subset, n_rounds, beta, C.rate_floor, C.r_max, C.probe, **how)
 
 
 def _quota_round(spark, sf, i: int) -> DataFrame:

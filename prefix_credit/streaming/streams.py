@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections import deque
 from collections.abc import Callable, Iterator
 
 import pandas as pd
@@ -58,24 +59,23 @@ def stream_ema(rates: DataFrame, init: float = 0.5, beta: float = 0.8) -> DataFr
 
 
 def stream_queue(outcomes: DataFrame, r_max: int = 3) -> DataFrame:
-    """The re-queue as keyed state. Input (task, seq, sample_id, kind): kind `hard` puts the sample at the end of its
-    task's queue unless it was re-queued r_max times, `draw` takes the head; output (task, seq, sample_id) of each draw
-    that found one."""
+    """The re-queue as keyed state. Input (task, seq, sample_id, requeue_no, kind): kind `hard` puts the sample at the end of
+    its task's queue unless it was re-queued r_max times (requeue_no, as the draw that gave it says), `draw` takes the
+    head; output (task, seq, sample_id, requeue_no) of each draw that found one. The state holds waiting samples only."""
 
     def serve(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        ids, done = (list(x) for x in state.get) if state.exists else ([], [])
-        times = {int(d[0]): int(d[1]) for d in (x.split(":") for x in done)}
+        ids, times = (deque(x) for x in state.get) if state.exists else (deque(), deque())
         out = []
-        for seq, sample, kind in pd.concat(list(parts)).sort_values("seq")[["seq", "sample_id", "kind"]].itertuples(index=False):
-            if kind == "hard" and times.get(sample, 0) < r_max:
-                times[sample] = times.get(sample, 0) + 1
+        for seq, sample, no, kind in pd.concat(list(parts)).sort_values("seq")[["seq", "sample_id", "requeue_no", "kind"]].itertuples(index=False):
+            if kind == "hard" and no < r_max:
                 ids.append(int(sample))
+                times.append(int(no) + 1)
             elif kind == "draw" and ids:
-                out.append((key[0], seq, ids.pop(0)))
-        state.update((ids, [f"{k}:{v}" for k, v in times.items()]))
-        yield pd.DataFrame(out, columns=["task", "seq", "sample_id"])
+                out.append((key[0], seq, ids.popleft(), times.popleft()))
+        state.update((list(ids), list(times)))
+        yield pd.DataFrame(out, columns=["task", "seq", "sample_id", "requeue_no"])
 
-    return outcomes.groupBy("task").applyInPandasWithState(serve, "task string, seq long, sample_id long", "ids array<long>, done array<string>", "append", GroupStateTimeout.NoTimeout)
+    return outcomes.groupBy("task").applyInPandasWithState(serve, "task string, seq long, sample_id long, requeue_no int", "ids array<long>, times array<int>", "append", GroupStateTimeout.NoTimeout)
 
 
 def stream_with_thresholds(events: DataFrame, thresholds: DataFrame, on: str) -> DataFrame:
@@ -91,31 +91,31 @@ def stream_votes(plans: DataFrame, votes: DataFrame, within: str = "1 hour") ->
 
 
 def trie_sink(path: str, gamma: float) -> Callable[[DataFrame, int], None]:
-    """foreachBatch that merges keyed steps into node sums at path/version=N. A batch that comes twice finds its own
-    version written and starts again from the one before, so a replay changes nothing."""
+    """foreachBatch that writes the node sums of a batch of keyed steps to path/batch=N: work in proportion to the batch. A
+    batch that comes twice overwrites its own folder, so a replay changes nothing."""
 
-    def merge(batch: DataFrame, batch_id: int) -> None:
-        spark = batch.sparkSession
-        delta = trie.node_sums(batch, gamma)
-        if batch_id > 0:
-            delta = trie.merge_trie(spark.read.parquet(f"{path}/version={batch_id - 1}"), delta)
-        delta.write.mode("overwrite").parquet(f"{path}/version={batch_id}")
+    def write(batch: DataFrame, batch_id: int) -> None:
+        trie.node_sums(batch, gamma).write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
 
-    return merge
+    return write
 
 
 def stream_trie(steps: DataFrame, path: str, checkpoint: str, gamma: float) -> StreamingQuery:
     return steps.writeStream.foreachBatch(trie_sink(path, gamma)).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
-def newest_trie(spark: SparkSession, path: str) -> DataFrame:
-    """The tree after the last batch: the highest version that was written whole."""
-    found = spark.read.format("binaryFile").option("pathGlobFilter", "_SUCCESS").option("recursiveFileLookup", "true").load(path).select(F.max(F.regexp_extract("path", r"version=(\d+)", 1).cast("long")).alias("v"))
-    return latest_trie(spark, path, found.first()["v"])
+def latest_trie(spark: SparkSession, path: str, base: DataFrame | None = None, after: int = -1) -> DataFrame:
+    """Node sums of all batches above `after`, merged with those of `base` (a tree compacted up to `after`)."""
+    found = spark.read.parquet(path).filter(F.col("batch") > after).drop("batch")
+    empty = found.limit(0) if base is None else base
+    return trie.merge_trie(empty, found)
 
 
-def latest_trie(spark: SparkSession, path: str, version: int) -> DataFrame:
-    return spark.read.parquet(f"{path}/version={version}")
+def compact_trie(spark: SparkSession, path: str, upto: int, to: str, base: DataFrame | None = None, after: int = -1) -> DataFrame:
+    """Batches above `after` up to `upto` merged with `base` into one table at `to`; they may be deleted afterwards."""
+    found = spark.read.parquet(path).filter((F.col("batch") > after) & (F.col("batch") <= upto)).drop("batch")
+    trie.merge_trie(found.limit(0) if base is None else base, found).write.parquet(to)
+    return spark.read.parquet(to)
 
 
 def start_sink(df: DataFrame, where: str, checkpoint: str, name: str | None = None, mode: str = "append", once: bool = True) -> StreamingQuery:

@@ -463,8 +463,9 @@ def stream_queue(spark, sf):
     at = work_dir(spark)
     ev = load(spark, sf, "events", ["event_id", "user_id", "event_type"]).filter("event_type in ('error', 'purchase')")
     kind = F.when(F.col("event_type") == "error", "hard").otherwise("draw")
-    ev.select(F.concat(F.lit("t"), F.col("user_id") % 5).alias("task"), F.col("event_id").alias("seq"), F.col("user_id").alias("sample_id"), kind.alias("kind")).write.parquet(at)
-    stream = spark.readStream.schema("task string, seq long, sample_id long, kind string").option("maxFilesPerTrigger", 100).parquet(at)
+    before = F.row_number().over(Window.partitionBy("user_id", "event_type").orderBy("event_id")) - 1
+    ev.select(F.concat(F.lit("t"), F.col("user_id") % 5).alias("task"), F.col("event_id").alias("seq"), F.col("user_id").alias("sample_id"), before.alias("requeue_no"), kind.alias("kind")).write.parquet(at)
+    stream = spark.readStream.schema("task string, seq long, sample_id long, requeue_no int, kind string").option("maxFilesPerTrigger", 100).parquet(at)
     rows = drained(streams.stream_queue(stream, 3))
     return longs(rows.groupBy("task").agg(F.count(F.lit(1)).alias("served"), F.sum("sample_id").alias("ids"), F.countDistinct("sample_id").alias("samples")), "served", "ids", "samples")
 
@@ -487,7 +488,7 @@ def stream_trie(spark, sf):
     steps = trie.with_prefix_keys(W.session_plans(spark, sf).select("task", "traj", "r", "steps"), "path")
     steps.write.parquet(f"{at}/steps")
     streams.stream_trie(spark.readStream.schema(steps.schema).option("maxFilesPerTrigger", 4).parquet(f"{at}/steps"), f"{at}/tree", f"{at}/checkpoint", C.gamma).awaitTermination()
-    sums = streams.newest_trie(spark, f"{at}/tree")
+    sums = streams.latest_trie(spark, f"{at}/tree")
     return sums.select("task", F.col("node_key").alias("path"), F.col("n").cast("long").alias("n"), nudged(F.col("total") / F.col("n")).alias("q"))
 
 

@@ -80,7 +80,7 @@ def test_four_rounds_as_expected(spark):
         3: {"ECONOMY": (108, 80, 0, 59), "LARGE": (113, 109, 4, 113), "MEDIUM": (105, 105, 0, 104), "PROMO": (178, 0, 13, 13), "SMALL": (118, 4, 0, 2), "STANDARD": (102, 102, 0, 92)},
         4: {"ECONOMY": (112, 0, 0, 0), "LARGE": (111, 0, 19, 19), "MEDIUM": (104, 35, 1, 36), "PROMO": (154, 0, 0, 0), "SMALL": (129, 0, 0, 0), "STANDARD": (104, 32, 0, 24)},
     }
-    history, report = quota_history(spark, SF01, 4)
+    history, report = quota_history(spark, SF01, 4, subset=600)
     for r in report:
         assert (r["quota"], r["fresh"], r["requeued"], r["effective"]) == want[r["iter"]][r["task"]], r
     draws = history.groupBy("sample_id").agg(F.count(F.lit(1)).alias("n"), F.countDistinct("iter").alias("i"))
