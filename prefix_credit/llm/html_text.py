@@ -4,8 +4,9 @@ Two Arrow passes with one Spark count between them. The first parses each whole
 element subtree that carries text (tag, attributes but links, words), once per page; Spark counts pages per (host,
 hash), with partial sums before the shuffle. A subtree on at least `least_pages` pages, and on `least_share` of its host's
 distinct pages or on `enough` of them, is the site's template. The second pass joins each page with its own host's template hashes, deletes those
-subtrees, then deletes elements that are not the article by tag, role or class, and joins the remaining blocks; where the page
-marks its articles (article, main), only those count, and recurring subtrees go inside them as well.
+subtrees, then deletes elements that are not the article by tag, role or a word of their class or id (never one that holds a
+marked article, and by no name at all where nothing else of the page would be left), and joins the remaining blocks; where
+the page marks its articles (article, main), only those count, and recurring subtrees go inside them as well.
 
 The page's outermost elements (html, body, main, article) and the hashes of pages that are whole copies of one another
 do not count: identical pages are counted once, so a page that many others copy keeps its text. Null or empty html
@@ -42,6 +43,9 @@ BOILER_TAGS = frozenset("nav header footer aside form script style noscript temp
 BOILER_ROLES = frozenset("navigation banner contentinfo complementary search form menu menubar dialog alert alertdialog toolbar tablist".split())
 BOILER_WORDS = frozenset("ad ads advert adverts advertisement advertising adsense sponsor sponsored promo promotion banner nav navbar navigation menu submenu breadcrumb breadcrumbs header masthead footer sidebar aside widget cookie cookies consent gdpr notice notices popup modal overlay newsletter subscribe subscription signup login comment comments respond disqus share sharing social related recommended pagination pager toolbar skip hidden".split())
 OUTER = frozenset("html body main article".split())
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
+PLAIN_IN_HEADINGS = frozenset("header masthead banner notice notices".split())
+LAYOUT = re.compile(r"^(?:no|has|have|with|without|hide|show|is|not)[-_]|[-_](?:open|opened|closed|enabled|disabled|on|off|left|right|layout|page|active|visible)$")
 
 
 @dataclass
@@ -49,18 +53,28 @@ class Node:
     tag: str
     boiler: bool
     seed: int
+    named: bool = False  # a class or id says that it is boilerplate
     children: list = field(default_factory=list)  # nodes, or text; "\n" alone breaks a block
     hash: int = 0
     texty: bool = False
 
 
 def _boiler(tag: str, attrs: dict[str, str]) -> bool:
-    if tag in BOILER_TAGS or attrs.get("role", "").lower() in BOILER_ROLES or "hidden" in attrs or attrs.get("aria-hidden", "").lower() == "true":
-        return True
+    """By tag, role or being hidden."""
+    hidden = "hidden" in attrs or attrs.get("aria-hidden", "").lower() == "true" or "display:none" in attrs.get("style", "").replace(" ", "").lower()
+    return tag in BOILER_TAGS or attrs.get("role", "").lower() in BOILER_ROLES or (hidden and tag not in ("html", "body"))
+
+
+def _named(tag: str, attrs: dict[str, str]) -> bool:
+    """By a word of its class or id. Names that tell what a wrapper has or is (no-sidebar, comments-open) say nothing of
+    its text, nor do words for a heading's look."""
     if tag in ("html", "body", "main"):
         return False
-    names = re.split(r"[^a-z]+", re.sub(r"(?<=[a-z])(?=[A-Z])", "-", attrs.get("class", "") + " " + attrs.get("id", "")).lower())
-    return not BOILER_WORDS.isdisjoint(names) or "display:none" in attrs.get("style", "").replace(" ", "").lower()
+    words: set[str] = set()
+    for name in re.sub(r"(?<=[a-z])(?=[A-Z])", "-", attrs.get("class", "") + " " + attrs.get("id", "")).lower().split():
+        if not LAYOUT.search(name):
+            words.update(re.split(r"[^a-z]+", name))
+    return not (BOILER_WORDS - PLAIN_IN_HEADINGS if tag in HEADINGS else BOILER_WORDS).isdisjoint(words)
 
 
 def parse(page: str) -> Node:
@@ -119,7 +133,7 @@ def parse(page: str) -> Node:
         if tag in VOID:
             continue
         attrs = {a.lower(): next((x for x in v if x), "") for a, *v in _ATTR.findall(m[3])} if m[3].strip() else {}
-        node = Node(tag, _boiler(tag, attrs), xxhash.xxh3_64_intdigest("\x00".join([tag, *sorted(f"{k}={v}" for k, v in attrs.items() if k not in ("href", "src", "action"))])))
+        node = Node(tag, _boiler(tag, attrs), named=_named(tag, attrs), seed=xxhash.xxh3_64_intdigest("\x00".join([tag, *sorted(f"{k}={v}" for k, v in attrs.items() if k not in ("href", "src", "action"))])))
         stack[-1].children.append(node)
         if tag in RAW:
             end = re.compile(rf"</{re.escape(tag)}\s*[^>]*(?:>|\Z)", re.I).search(page, at)
@@ -128,9 +142,34 @@ def parse(page: str) -> Node:
             at = end.end() if end else n
         elif not m[3].endswith("/") or tag not in ("svg", "path"):
             stack.append(node)
+    _settle(root)
     return root
 
 
+def _settle(root: Node) -> None:
+    """Elements that their names call boilerplate are, but those that hold a marked article; and if nothing else of the
+    page has text, names are not believed at all."""
+    order, todo = [], [root]
+    while todo:
+        x = todo.pop()
+        order.append(x)
+        todo.extend(c for c in x.children if isinstance(c, Node))
+    holds: set[int] = set()
+    for x in reversed(order):
+        if (x.tag in ("article", "main") and not x.named) or any(id(c) in holds for c in x.children if isinstance(c, Node)):
+            holds.add(id(x))
+    todo = [root]
+    while todo:
+        x = todo.pop()
+        if any(isinstance(c, str) and c.strip() for c in x.children):
+            break
+        todo.extend(c for c in x.children if isinstance(c, Node) and not c.boiler and not (c.named and id(c) not in holds))
+    else:
+        return
+    for x in order:
+        x.boiler |= x.named and id(x) not in holds
+
+
 def walk_hashes(root: Node) -> list[Node]:
     """All elements, children before parents, with `hash` and `texty` set."""
     order, todo = [], [root]

@@ -498,6 +498,22 @@ def test_main_text(html, want):
     assert page_text(html) == want
 
 
+@pytest.mark.parametrize(
+    "page",
+    [
+        '<body><div class="layout has-sidebar"><p>The story.</p><div class="sidebar">links</div></div></body>',
+        '<body><div id="content" class="no-sidebar"><p>The story.</p></div></body>',
+        '<body><article class="post comments-open"><p>The story.</p><div class="comments">a comment</div></article></body>',
+        '<body><div class="promo-layout"><div class="banner"><main><p>The story.</p></main></div></div></body>',
+        '<body><article><h2 class="section-header">The</h2><p>story.</p><div class="newsletter">sign up</div></article></body>',
+        '<body><div class="related"><p>The story.</p></div></body>',
+        '<body><div class="sidebar"></div><div class="widget">The story.</div><nav>menu</nav></body>',
+    ],
+)
+def test_names_of_wrappers_do_not_delete_the_story(page):
+    assert html_text.main_text(html_text.parse(page), set()) == "The story."
+
+
 def test_site_templates_are_removed(spark):
     kind = "page_id long, url string, html string, host string, template string"
     rows = [(k, f"http://A.example/{k}", f"<body><div><p>Welcome to our site</p></div><div><p>story {k} of many words</p></div></body>", "h", "t") for k in range(12)]
