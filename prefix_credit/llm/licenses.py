@@ -1,17 +1,20 @@
 """License scan: exact set-similarity join of text blocks with license templates.
 
-Base: places where one of three phrases stands word for word. The method's own labels: a block (the words of one
-line, of each two neighbouring lines, and of longer runs up to a template's length, so that line breaks inside a
-notice do not hide it) is joined with every
-template of which it holds at least `threshold` of the distinct words:
+Base: places where one of three phrases stands word for word. The method's own labels: every block (the words of one
+line, of each two neighbouring lines, and of longer runs up to the template's length, so that line breaks inside a
+notice do not hide it) is joined with every template of which it holds at least `threshold` of the distinct words, in
+whatever order:
 
-* tokens are ordered by how many blocks of the whole corpus hold them, rarest first (one counting pass over all
+* tokens are ordered by how many lines of the whole corpus hold them, rarest first (one counting pass over all
   documents, over the bounded vocabulary of the templates);
 * prefix filter: a block that reaches the threshold holds one of a template's first |T| - need + 1 tokens;
 * length filter: it has at least `need` distinct words;
-* positional filter: with the first common token at place p of the template, at most |T| - p can be common;
-* the rest is counted exactly; the phrase that names the license must stand in the block, and a template whose
-  common words all lie inside a better match does not count, since notices share most of their words.
+* positional filter: with the first common token at place p of the template and at place q of the block's own tokens
+  in that order, at most min(|T| - p, |B| - q) can be common;
+* the rest is counted exactly, and all matches are returned (`blocks`).
+
+Which matches give a label is chosen afterwards: the words that name the license must be among the block's (notices
+share most of their words), and a template whose common words all lie inside a better match does not count.
 
 Templates are a short fixed list, so they travel with the tasks; documents are never shuffled. Null or empty texts
 have no words, no labels and score 0; repeated rows are scanned alike; an empty table gives an empty result.
@@ -19,6 +22,8 @@ have no words, no labels and score 0; repeated rows are scanned alike; an empty
 
 from __future__ import annotations
 
+from bisect import bisect_left
+from collections.abc import Iterator
 from math import ceil
 
 import pyarrow as pa
@@ -34,7 +39,7 @@ PHRASES = {
     "cc by nc": "cc-by-nc",
 }
 
-# Short notices by label, as licenses ask for them, and the phrase without which it is another license.
+# Notices and license texts by label, and the words without which it is another license.
 TEMPLATES = [
     ("mit", "Released under the MIT License", "mit license"),
     ("mit", "Licensed under the MIT License", "mit license"),
@@ -54,44 +59,55 @@ TEMPLATES = [
     ("cc0", "To the extent possible under law, the author has waived all copyright and related rights to this work CC0", "has waived all copyright"),
     ("unlicense", "This is free and unencumbered software released into the public domain", "unencumbered"),
     ("all-rights-reserved", "Copyright. All rights reserved.", "all rights reserved"),
+    ("mit", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the Software), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions: The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software. THE SOFTWARE IS PROVIDED AS IS, WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.", "sublicense noninfringement"),
+    ("isc", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.", "purpose fee"),
+    ("bsd", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution.", "redistributions binary"),
+    ("apache-2", "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License. Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an AS IS BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied. See the License for the specific language governing permissions and limitations under the License.", "apache license"),
+    ("gpl-3", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.", "gnu general public version 3"),
 ]
 
 
-LONGEST = max(len(alnum_words(t.encode())) for _, t, _ in TEMPLATES)
-
-
-def blocks(raw: bytes, longest: int | None = None) -> list[tuple[int, list[bytes]]]:
-    """(first word's number, words) of each line that has words, of each two neighbouring ones, and of each run of more
-    lines whose inner lines leave room for words of both outer ones in `longest` words (the longest template's)."""
-    longest = LONGEST if longest is None else longest
+def lines_of(raw: bytes) -> list[tuple[int, list[bytes]]]:
+    """(first word's number, words) of each line that has words."""
     lines, n = [], 0
     for line in raw.split(b"\n"):
         words = alnum_words(line)
         if words:
             lines.append((n, words))
         n += len(words)
-    out = lines + [(a, x + y) for (a, x), (_, y) in zip(lines, lines[1:], strict=False)]
+    return lines
+
+
+def blocks(raw: bytes, longest: int, seeds: frozenset[bytes] | None = None) -> Iterator[tuple[int, list[bytes], int]]:
+    """(first word's number, words, words of inner lines) of each line, of each two neighbouring ones, and of each run of
+    more lines whose inner lines leave room for words of both outer ones in `longest` words; with `seeds` only of runs
+    that hold one."""
+    lines = lines_of(raw)
+    held = [seeds is None or not seeds.isdisjoint(words) for _, words in lines]
     for i, (at, words) in enumerate(lines):
-        run, inner = words, 0
+        run, inner, good = list(words), 0, held[i]
+        if good:
+            yield at, run, 0
         for j in range(i + 1, len(lines)):
             run = run + lines[j][1]
+            good = good or held[j]
             if j > i + 1:
                 inner += len(lines[j - 1][1])
                 if inner + 2 > longest:
                     break
-                out.append((at, run))
-    return out
+            if good:
+                yield at, run, inner
 
 
-def block_frequencies(docs: DataFrame, vocabulary: set[bytes], text_col: str = "text") -> dict[bytes, int]:
-    """How many blocks of all documents hold each word of the templates."""
+def line_frequencies(docs: DataFrame, vocabulary: set[bytes], text_col: str = "text") -> dict[bytes, int]:
+    """How many lines of all documents hold each word of the templates."""
 
     def batch(b: pa.RecordBatch) -> dict:
         n: dict[bytes, int] = {}
         for raw in text_bytes(b.column(0)):
             if vocabulary.isdisjoint(raw.translate(_ALNUM).split()):
                 continue
-            for _, words in blocks(raw):
+            for _, words in lines_of(raw):
                 for w in vocabulary.intersection(words):
                     n[w] = n.get(w, 0) + 1
         return {"word": [w.decode() for w in n], "n": list(n.values())}
@@ -104,33 +120,47 @@ class TemplateIndex:
     """Prefix index of templates whose tokens are in global frequency order."""
 
     def __init__(self, templates: list[tuple[str, str, str]], frequency: dict[bytes, int], threshold: float) -> None:
-        self.entries: list[tuple[str, list[bytes], int, bytes]] = []
+        self.entries: list[tuple[str, list[bytes], int, frozenset[bytes], int]] = []
         self.prefix: dict[bytes, list[tuple[int, int]]] = {}
+        order = lambda w: (frequency.get(w, 0), w)
+        self.rank = {w: k for k, w in enumerate(sorted({w for _, t, _ in templates for w in alnum_words(t.encode())}, key=order))}
         for label, text, names in templates:
-            tokens = sorted(set(alnum_words(text.encode())), key=lambda w: (frequency.get(w, 0), w))
+            words = alnum_words(text.encode())
+            tokens = sorted(set(words), key=order)
             need = ceil(threshold * len(tokens) - 1e-9)
             for place, w in enumerate(tokens[: len(tokens) - need + 1]):
                 self.prefix.setdefault(w, []).append((len(self.entries), place))
-            self.entries.append((label, tokens, need, b" " + b" ".join(alnum_words(names.encode())) + b" "))
+            self.entries.append((label, tokens, need, frozenset(alnum_words(names.encode())), len(words)))
         self.seeds = frozenset(self.prefix)
 
-    def joined(self, words: list[bytes]) -> list[tuple[str, float]]:
-        """(label, containment) of the templates that the block reaches, but those whose common words all are common to
-        a template that it reaches better."""
-        have, joined = set(words), b" " + b" ".join(words) + b" "
-        first: dict[int, int] = {}
+    def joined(self, words: list[bytes], inner: int = 0) -> list[tuple[int, frozenset[bytes]]]:
+        """(template, common words) of every template that the block reaches; a run with `inner` words between its outer
+        lines meets only templates that are long enough for it."""
+        have = frozenset(words)
+        mine = sorted(self.rank[w] for w in have if w in self.rank)
+        first: dict[int, tuple[int, bytes]] = {}
         for w in self.seeds.intersection(have):
             for k, place in self.prefix[w]:
-                first[k] = min(place, first.get(k, place))
+                first[k] = min((place, w), first.get(k, (place, w)))
         out = []
-        for k, place in first.items():
-            label, tokens, need, names = self.entries[k]
-            if len(have) < need or len(tokens) - place < need:
+        for k, (place, w) in sorted(first.items()):
+            _, tokens, need, _, length = self.entries[k]
+            if len(have) < need or inner and inner + 2 > length:
+                continue
+            if min(len(tokens) - place, len(mine) - bisect_left(mine, self.rank[w])) < need:
                 continue
             common = have.intersection(tokens)
-            if len(common) >= need and names in joined:
-                out.append((label, len(common) / len(tokens), common))
-        return [(label, c) for label, c, common in out if not any(o > c and common <= other for _, o, other in out)]
+            if len(common) >= need:
+                out.append((k, common))
+        return out
+
+    def containment(self, k: int, common: frozenset[bytes]) -> float:
+        return len(common) / len(self.entries[k][1])
+
+    def labelled(self, matches: list[tuple[int, frozenset[bytes]]]) -> list[int]:
+        """Templates of one block's matches that give their label."""
+        named = [(k, c) for k, c in matches if self.entries[k][3] <= c]
+        return [k for k, c in named if not any(self.containment(o, other) > self.containment(k, c) and c <= other for o, other in named)]
 
 
 def phrase_places(words: list[bytes], joined: bytes, phrases: list[tuple[list[bytes], str]]) -> list[tuple[int, str]]:
@@ -150,11 +180,12 @@ def phrase_places(words: list[bytes], joined: bytes, phrases: list[tuple[list[by
 
 
 def scan(docs: DataFrame, threshold: float = 0.8, templates: list[tuple[str, str, str]] | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per document: doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, and blocks (start, label, containment)."""
+    """One row per document: doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, and blocks: every match
+    of the join (start, label, containment, labels: whether it gives its label)."""
     templates = TEMPLATES if templates is None else templates
     vocabulary = {w for _, t, _ in templates for w in alnum_words(t.encode())}
     longest = max((len(alnum_words(t.encode())) for _, t, _ in templates), default=0)
-    index = TemplateIndex(templates, block_frequencies(docs, vocabulary, text_col), threshold)
+    index = TemplateIndex(templates, line_frequencies(docs, vocabulary, text_col), threshold)
     phrases = [(p.encode().split(), label) for p, label in PHRASES.items()]
 
     def batch(b: pa.RecordBatch) -> dict:
@@ -164,16 +195,18 @@ def scan(docs: DataFrame, threshold: float = 0.8, templates: list[tuple[str, str
             base = phrase_places(words, b" " + b" ".join(words) + b" ", phrases)
             found = []
             if not index.seeds.isdisjoint(words):
-                for at, block in blocks(raw, longest):
-                    if not index.seeds.isdisjoint(block):
-                        found += [(at, label, c) for label, c in index.joined(block)]
+                for at, block, inner in blocks(raw, longest, index.seeds):
+                    if matches := index.joined(block, inner):
+                        given = index.labelled(matches)
+                        found += [(at, index.entries[k][0], index.containment(k, c), k in given) for k, c in matches]
             labels = sorted({x for _, x in base})
-            row = (len(words), len(base), min((p for p, _ in base), default=None), max((p for p, _ in base), default=None), ",".join(labels), ",".join(sorted({*labels, *(x for _, x, _ in found)})), 1.0 if base else max((c for *_, c in found), default=0.0), [{"start": a, "label": x, "containment": c} for a, x, c in sorted(found)])
+            said = [(c, x) for _, x, c, given in found if given]
+            row = (len(words), len(base), min((p for p, _ in base), default=None), max((p for p, _ in base), default=None), ",".join(labels), ",".join(sorted({*labels, *(x for _, x in said)})), 1.0 if base else max((c for c, _ in said), default=0.0), [{"start": a, "label": x, "containment": c, "labels": g} for a, x, c, g in sorted(found)])
             for k, v in zip(out, row, strict=True):
                 out[k].append(v)
         return out | {"doc_id": b.column(0)}
 
-    schema = "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, blocks array<struct<start:long,label:string,containment:double>>"
+    schema = "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, blocks array<struct<start:long,label:string,containment:double,labels:boolean>>"
     return map_arrow(docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string")), batch, schema)
 
 
@@ -189,21 +222,23 @@ def _sql_list(words: list[bytes]) -> str:
 def oracle(threshold: float = 0.8) -> str:
     """The contract query in DuckDB's SQL: every block against every template, without the index."""
     rows = []
-    for label, text, name in TEMPLATES:
-        tokens = sorted(set(alnum_words(text.encode())))
-        phrase = b" ".join(alnum_words(name.encode())).decode()
-        rows.append(f"('{label}', {_sql_list(tokens)}, ' {phrase} ', {ceil(threshold * len(tokens) - 1e-9)})")
+    for label, text, names in TEMPLATES:
+        words = alnum_words(text.encode())
+        tokens = sorted(set(words))
+        rows.append(f"('{label}', {_sql_list(tokens)}, {_sql_list(sorted(set(alnum_words(names.encode()))))}, {ceil(threshold * len(tokens) - 1e-9)}, {len(words)})")
     phrases = ", ".join(f"('{label}', {_sql_list(p.encode().split())})" for p, label in PHRASES.items())
     words = r"regexp_extract_all(translate({0}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
     return f"""
-WITH t(label, toks, name, need) AS (VALUES {", ".join(rows)}), ph(label, ws) AS (VALUES {phrases}),
+WITH t0(label, toks, names, need, len) AS (VALUES {", ".join(rows)}), t AS (SELECT *, row_number() OVER () AS t FROM t0), ph(label, ws) AS (VALUES {phrases}),
 d AS (SELECT doc_id, {words.format("coalesce(text, '')")} AS w, string_split(coalesce(text, ''), chr(10)) AS ls FROM documents),
-l0 AS (SELECT doc_id, unnest(ls) AS l, unnest(range(len(ls))) AS k FROM d),
-l AS (SELECT doc_id, w, row_number() OVER (PARTITION BY doc_id ORDER BY k) AS k FROM (SELECT doc_id, k, {words.format("l")} AS w FROM l0) z WHERE len(w) > 0),
-b AS (SELECT doc_id, w FROM l UNION ALL SELECT a.doc_id, list_concat(a.w, c.w) FROM l a JOIN l c ON c.doc_id = a.doc_id AND c.k = a.k + 1),
-bn AS (SELECT doc_id, row_number() OVER () AS block, w, ' ' || array_to_string(w, ' ') || ' ' AS j FROM b),
-m AS (SELECT doc_id, block, label, len(list_intersect(w, toks)) / CAST(len(toks) AS DOUBLE) AS c FROM bn JOIN t ON contains(j, name) WHERE len(list_intersect(w, toks)) >= need),
-mt AS (SELECT doc_id, label, c FROM (SELECT *, max(c) OVER (PARTITION BY doc_id, block) AS top FROM m) z WHERE c = top),
+dt AS MATERIALIZED (SELECT doc_id, t.*, w FROM d JOIN t ON len(list_intersect(w, toks)) >= need),
+l0 AS (SELECT doc_id, unnest(ls) AS l, unnest(range(len(ls))) AS k FROM d WHERE doc_id IN (SELECT doc_id FROM dt)),
+l1 AS (SELECT doc_id, k, len({words.format("l")}) AS n FROM l0),
+l AS MATERIALIZED (SELECT doc_id, row_number() OVER (PARTITION BY doc_id ORDER BY k) AS k, sum(n) OVER (PARTITION BY doc_id ORDER BY k) - n AS a, sum(n) OVER (PARTITION BY doc_id ORDER BY k) AS e FROM l1 WHERE n > 0),
+b AS (SELECT dt.doc_id, x.k AS i, y.k AS j, label, t, names, need, toks, list_intersect(w[x.a + 1:y.e], toks) AS common FROM dt JOIN l x ON x.doc_id = dt.doc_id
+      JOIN l y ON y.doc_id = x.doc_id AND y.k >= x.k AND (y.k <= x.k + 1 OR y.a - x.e + 2 <= dt.len)),
+m AS MATERIALIZED (SELECT doc_id, i, j, t, label, common, len(common) / CAST(len(toks) AS DOUBLE) AS c FROM b WHERE len(common) >= need AND list_has_all(common, names)),
+mt AS (SELECT doc_id, label, c FROM m WHERE NOT EXISTS (SELECT 1 FROM m o WHERE o.doc_id = m.doc_id AND o.i = m.i AND o.j = m.j AND o.c > m.c AND list_has_all(o.common, m.common))),
 f AS (SELECT doc_id, label, place - 1 AS place FROM (SELECT doc_id, w, ph.label, ws, unnest(range(1, len(w) + 1)) AS place FROM d JOIN ph ON contains(' ' || array_to_string(w, ' ') || ' ', ' ' || array_to_string(ws, ' ') || ' ')) z
       WHERE w[place:place + len(ws) - 1] = ws),
 fb AS (SELECT doc_id, count(*) AS n_base, min(place) AS first_word, max(place) AS last_word, string_agg(DISTINCT label, ',' ORDER BY label) AS base_labels FROM f GROUP BY 1),

@@ -410,19 +410,37 @@ def test_license_join_loses_nothing(spark):
             t[rnd.randrange(len(t))] = "foo"
         lines.insert(rnd.randrange(3), " ".join(t).upper())
         texts[k] = "\n".join(lines)
+    longest = max(len(t.split()) + 9 for _, t, _ in licenses.TEMPLATES)
     for r in licenses.scan(docs(spark, texts)).collect():
         want = set()
-        for at, words in licenses.blocks(texts[r["doc_id"]].encode()):
-            have, joined = set(words), b" " + b" ".join(words) + b" "
-            found = []
-            for label, text, name in licenses.TEMPLATES:
-                toks = set(licenses.alnum_words(text.encode()))
-                share = len(toks & have) / len(toks)
-                if share >= 0.8 and b" " + b" ".join(licenses.alnum_words(name.encode())) + b" " in joined:
-                    found.append((at, label, share))
-            top = max((s for *_, s in found), default=0)
-            want |= {(a, x, round(s, 9)) for a, x, s in found if s == top}
+        for at, words, inner in licenses.blocks(texts[r["doc_id"]].encode(), longest):
+            for label, text, _ in licenses.TEMPLATES:
+                toks = licenses.alnum_words(text.encode())
+                share = len(set(toks) & set(words)) / len(set(toks))
+                if share >= 0.8 and (not inner or inner + 2 <= len(toks)):
+                    want.add((at, label, round(share, 9)))
         assert {(b["start"], b["label"], round(b["containment"], 9)) for b in r["blocks"]} == want
+        assert set(r["labels"].split(",")) - {""} == {b["label"] for b in r["blocks"] if b["labels"]} | set(r["base_labels"].split(",")) - {""}
+
+
+def test_license_words_in_another_order_and_full_texts(spark):
+    by = {label: text for label, text, _ in licenses.TEMPLATES}
+    mixed = by["isc"].split()
+    random.Random(1).shuffle(mixed)
+    full = max((t for label, t, _ in licenses.TEMPLATES if label == "mit"), key=len).split()
+    wrapped = "\n".join(" * " + " ".join(full[k : k + 9]) for k in range(0, len(full), 9))
+    texts = [" ".join(mixed), wrapped, "licensed under the GNU General Public License", "Copyright\n" + "x\n" * 9 + "all rights\n" + "x\n" * 9 + "reserved"]
+    got = [r for r in licenses.scan(docs(spark, texts)).orderBy("doc_id").collect()]
+    assert [r["labels"] for r in got] == ["isc", "mit", "", ""]
+    assert any(b["label"] == "lgpl" and not b["labels"] for b in got[2]["blocks"])  # over the threshold, but not named
+    assert max(b["containment"] for b in got[1]["blocks"] if b["labels"]) == 1.0
+
+
+def test_license_filters_fire():
+    index = licenses.TemplateIndex(licenses.TEMPLATES, {}, 0.8)
+    rare = index.entries[0][1][0]
+    words = [rare, *(b"foo%d" % k for k in range(200))]
+    assert index.joined(words) == [] and len(set(words)) > max(e[2] for e in index.entries)  # by place, not by length
 
 
 def test_license_notices_over_many_lines_and_two_in_a_line(spark):
