@@ -1,8 +1,8 @@
 """Length-bucketed packing: optimal bucket boundaries from the global histogram, token-budget batches inside buckets.
 
-The histogram is exact up to `fine` tokens and geometric (64 bins an octave, each with its own largest length) above,
-so its size is bounded by the rule, not by the data; dynamic programming over its bins picks the boundaries with the
-least total padding. Rows of a bucket are dealt into parts of about `part_rows` by a hash of the id, and batches of
+The histogram is exact: one row a distinct length, so its size is bounded by the longest text, not by the rows. Dynamic
+programming over it picks the boundaries with the least total padding of all; the best place of the last boundary never
+moves back as lengths grow, so each layer is solved by halving, in m log m steps. Rows of a bucket are dealt into parts of about `part_rows` by a hash of the id, and batches of
 `token_budget // boundary` rows (one at least) are cut from each part, so a bucket with most of the rows still
 spreads over tasks.
 
@@ -14,7 +14,7 @@ like a result are replaced.
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import staged
@@ -26,14 +26,22 @@ def optimal_boundaries(lengths: np.ndarray, counts: np.ndarray, sums: np.ndarray
     if not m:
         return []
     n, s = np.concatenate([[0], np.cumsum(counts, dtype=np.float64)]), np.concatenate([[0], np.cumsum(sums, dtype=np.float64)])
-    best = lengths * n[1:] - s[1:]  # one bucket over bins 0..j
+    best = lengths * n[1:] - s[1:]  # one bucket over lengths 0..j
     came: list[np.ndarray] = []
     for _ in range(min(buckets, m) - 1):
+        ahead = np.concatenate([[0.0], best])  # padding of what lies below a bucket that starts at i
         nxt, frm = np.empty(m), np.zeros(m, np.int64)
-        for j in range(m):
-            cost = np.concatenate([[0.0], best[:j]]) + lengths[j] * (n[j + 1] - n[: j + 1]) - (s[j + 1] - s[: j + 1])
-            frm[j] = cost.argmin()
-            nxt[j] = cost[frm[j]]
+        todo = [(0, m - 1, 0, m - 1)]
+        while todo:
+            lo, hi, first, last = todo.pop()
+            if lo > hi:
+                continue
+            j = (lo + hi) // 2
+            i = np.arange(first, min(j, last) + 1)
+            cost = ahead[i] + lengths[j] * (n[j + 1] - n[i]) - (s[j + 1] - s[i])
+            k = int(cost.argmin())
+            frm[j], nxt[j] = i[k], cost[k]
+            todo += [(lo, j - 1, first, int(i[k])), (j + 1, hi, int(i[k]), last)]
         came.append(frm)
         best = nxt
     out, j = [], m - 1
@@ -45,16 +53,11 @@ def optimal_boundaries(lengths: np.ndarray, counts: np.ndarray, sums: np.ndarray
     return out[::-1]
 
 
-def length_bin(length: Column, fine: int) -> Column:
-    """The length itself up to `fine`, then a negative number for each 64th of an octave."""
-    return F.when(length <= fine, length).otherwise(-F.floor(F.log2(length.cast("double")) * 64)).cast("long")
-
-
-def boundaries(df: DataFrame, length: str, buckets: int, fine: int = 1024) -> tuple[list[int], dict[int, int]]:
+def boundaries(df: DataFrame, length: str, buckets: int) -> tuple[list[int], dict[int, int]]:
     """Optimal boundaries and the row count of each bucket."""
-    hist = df.groupBy(length_bin(F.col(length), fine).alias("bin")).agg(F.count(F.lit(1)).alias("n"), F.sum(length).alias("s"), F.max(length).alias("top")).orderBy("top").collect()
-    tops, n, s = (np.array([r[k] for r in hist], np.float64) for k in ("top", "n", "s"))
-    edges = optimal_boundaries(tops, n, s, buckets)
+    hist = df.groupBy(length).agg(F.count(F.lit(1)).alias("n")).orderBy(length).toArrow()
+    tops, n = (hist.column(k).to_numpy().astype(np.float64) for k in (length, "n"))
+    edges = optimal_boundaries(tops, n, n * tops, buckets)
     return edges, {b: int(n[np.searchsorted(edges, tops) == b].sum()) for b in range(len(edges))}
 
 
@@ -95,11 +98,11 @@ def op9_length_bucket_packing(spark, sf_dir: str) -> DataFrame:
     return packed_documents(table(spark, sf_dir, "documents"))
 
 
-def oracle(buckets: int = 16, token_budget: int = 65_536, fine: int = 1024) -> str:
+def oracle(buckets: int = 16, token_budget: int = 65_536) -> str:
     """The query in DuckDB's SQL, one CTE a layer of the dynamic program; for tables whose buckets need one part."""
     sql = f"""
 WITH d AS (SELECT doc_id, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+')) AS BIGINT) AS n_tokens FROM documents),
-h AS (SELECT max(n_tokens) AS l, count(*) AS n, sum(n_tokens) AS s FROM d GROUP BY CASE WHEN n_tokens <= {fine} THEN n_tokens ELSE -floor(log2(n_tokens) * 64) END),
+h AS (SELECT n_tokens AS l, count(*) AS n, sum(n_tokens) AS s FROM d GROUP BY 1),
 b AS (SELECT row_number() OVER (ORDER BY l) AS j, CAST(l AS DOUBLE) AS l, CAST(sum(n) OVER (ORDER BY l) AS DOUBLE) AS n, CAST(sum(s) OVER (ORDER BY l) AS DOUBLE) AS s FROM h),
 c AS MATERIALIZED (SELECT y.j, x.j + 1 AS i, y.l * (y.n - x.n) - (y.s - x.s) AS cost FROM b y JOIN (SELECT j, n, s FROM b UNION ALL SELECT 0, 0, 0) x ON x.j < y.j),
 k1 AS MATERIALIZED (SELECT j, cost AS v, CAST(1 AS BIGINT) AS i FROM c WHERE i = 1)"""
