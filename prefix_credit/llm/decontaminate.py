@@ -72,6 +72,8 @@ def infix_edits(item: np.ndarray, text: np.ndarray) -> tuple[int, int]:
 class ItemIndex:
     """Items of one block: vocabulary, segments, and LSH tables over their CGK strings."""
 
+    at_once = 2_048  # windows embedded together
+
     def __init__(self, items: list[tuple[int, list[bytes]]], similarity: float, sampled: int, tables: int, seed: int = 7) -> None:
         self.sampled, self.tables, self.seed, self.similarity = sampled, tables, seed, similarity
         self.vocabulary: dict[bytes, int] = {}
@@ -124,21 +126,26 @@ class ItemIndex:
         for k, starts in spots.items():
             item_id, w = self.items[k]
             size, e = len(w), self.edits[k]
-            begin = np.array(sorted(starts))
+            every = np.fromiter(starts, np.int64, len(starts))
+            every.sort()
             padded = np.concatenate([np.full(size + e, -2), symbols, np.full(size + e, -2)])
-            windows = padded[(begin + size + e)[:, None] + np.arange(size)[None, :]]
-            hit = np.zeros(len(begin), bool)
-            for t, keys in enumerate(self.keys(windows)):
-                hit |= [k in self.buckets.get((size, t, key), ()) for key in keys]
             best: tuple[int, int, int] | None = None
-            for b in begin[hit]:
-                lo, hi = max(0, int(b) - e), min(len(symbols), int(b) + size + e)
-                got, end = infix_edits(w, symbols[lo:hi])
-                if got <= e and (best is None or got < best[0]):
-                    back, length = infix_edits(w[::-1], symbols[lo : lo + end][::-1])
-                    best = (got, lo + end - length, length)
-                    if got == 0:
-                        break
+            for part in range(0, len(every), self.at_once):  # so that a long text around many segments stays small
+                begin = every[part : part + self.at_once]
+                windows = padded[(begin + size + e)[:, None] + np.arange(size)[None, :]]
+                hit = np.zeros(len(begin), bool)
+                for t, keys in enumerate(self.keys(windows)):
+                    hit |= [k in self.buckets.get((size, t, key), ()) for key in keys]
+                for b in begin[hit]:
+                    lo, hi = max(0, int(b) - e), min(len(symbols), int(b) + size + e)
+                    got, end = infix_edits(w, symbols[lo:hi])
+                    if got <= e and (best is None or got < best[0]):
+                        back, length = infix_edits(w[::-1], symbols[lo : lo + end][::-1])
+                        best = (got, lo + end - length, length)
+                        if got == 0:
+                            break
+                if best and best[0] == 0:
+                    break
             if best:
                 yield item_id, best[1], best[2], best[0]
 
