@@ -46,6 +46,13 @@ def sibling_loss(rows: DataFrame, clip: float, kl_weight: float, norm: str = "ch
     return rows.groupBy("task", "depth", "parent_key").agg((-F.sum(term) / many).alias("loss"), F.count(F.lit(1)).alias("children"))
 
 
+def sibling_losses(rows: DataFrame, clip: float, kl_weight: float) -> DataFrame:
+    """The loss of each parent by children and by visits, in one aggregate."""
+    term = clipped_gain(F.col("rho"), F.col("advantage"), clip) - kl_weight * F.col("kl")
+    sums = rows.groupBy("task", "depth", "parent_key").agg(F.sum(term).alias("s"), F.count(F.lit(1)).alias("children"), F.sum("n").alias("visits"))
+    return sums.select("task", "depth", "parent_key", "children", (-F.col("s") / F.col("children")).alias("loss"), (-F.col("s") / F.col("visits")).alias("loss_by_visits"))
+
+
 def plan_terms(steps: DataFrame, ratios: DataFrame, kl: DataFrame) -> DataFrame:
     """(task, traj, rho, kl) of whole plans from steps (task, traj, history, action), step ratios (history, action, rho) and
     divergences (history, kl): the product of the ratios and the mean divergence."""

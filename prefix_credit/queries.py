@@ -342,12 +342,12 @@ def group_size_by_verb(spark, sf):
 # ---- objective ------------------------------------------------------------------------------------------------------
 
 
-def order_policies(spark, sf) -> dict[str, DataFrame]:
+def order_policies(spark, sf, plans: DataFrame | None = None) -> dict[str, DataFrame]:
     """Order-1 tabular policies fitted on plans before 1998 (old), from 1998 (new), and all (reference): one pass for the
     counts of all three, kept as a small table."""
     from .session import work_dir
 
-    plans = W.order_plans(spark, sf)
+    plans = W.order_plans(spark, sf) if plans is None else plans
     early = F.to_date("o_orderdate") < F.lit("1998-01-01").cast("date")
     steps = trie.with_prefix_keys(plans.select(F.struct("task", early.alias("early")).alias("task"), "traj", "r", "steps"))
     at = f"{work_dir(spark)}/counts"
@@ -357,8 +357,8 @@ def order_policies(spark, sf) -> dict[str, DataFrame]:
     return {"old": policy.fit_counts(seen.filter("early"), vocabulary=seen), "new": policy.fit_counts(seen.filter("not early"), vocabulary=seen), "ref": policy.fit_counts(both)}
 
 
-def order_ratios(spark, sf) -> DataFrame:
-    p = order_policies(spark, sf)
+def order_ratios(spark, sf, plans: DataFrame | None = None) -> DataFrame:
+    p = order_policies(spark, sf, plans)
     rows = p["new"].select("history", "action", F.col("p").alias("p_new"))
     for k in ("old", "ref"):
         rows = rows.join(p[k].select("history", "action", F.col("p").alias(f"p_{k}")), ["history", "action"])
@@ -381,13 +381,13 @@ def policy_divergence(spark, sf):
 @query
 def sibling_loss(spark, sf):
     """Loss by depth: clipped gain of each child less the weighted divergence, by children and by visits."""
-    steps = policy.with_history(trie.with_prefix_keys(W.order_plans(spark, sf)), 1)
+    plans = kept(spark, W.order_plans(spark, sf))  # packed once, read for the policies and for the tree
+    steps = policy.with_history(trie.with_prefix_keys(plans.select("task", "traj", "r", "steps")), 1)
     nodes = steps.withColumn("ret", trie.discounted_return(C.gamma)).groupBy("task", F.col("t").alias("depth"), "parent_key", "node_key", "history", trie.action_text(F.col("action")).alias("action")).agg(F.avg("ret").alias("q"), F.count(F.lit(1)).alias("n"))
-    ratios = kept(spark, order_ratios(spark, sf))
+    ratios = kept(spark, order_ratios(spark, sf, plans))
     kl = ratios.groupBy("history").agg(F.sum(F.col("p_new") * F.ln(F.col("p_new") / F.col("p_ref"))).alias("kl"))  # a few rows of a policy table
     rows = credit.sibling_advantage(nodes, C.eps).filter("k > 1").join(bounded_broadcast(ratios), ["history", "action"]).join(bounded_broadcast(kl), "history")
-    one = lambda norm, name: objective.sibling_loss(rows, C.clip, C.kl_weight, norm).groupBy("depth").agg(F.sum("loss").alias(name), F.count(F.lit(1)).alias("parents"))
-    out = one("children", "loss").join(one("visits", "loss_by_visits").drop("parents"), "depth")
+    out = objective.sibling_losses(rows, C.clip, C.kl_weight).groupBy("depth").agg(F.sum("loss").alias("loss"), F.sum("loss_by_visits").alias("loss_by_visits"), F.count(F.lit(1)).alias("parents"))
     return rounded(longs(out, "depth", "parents"), "loss", "loss_by_visits")
 
 
@@ -451,12 +451,12 @@ def plan_length(spark, sf):
 @query
 def seed_summary(spark, sf):
     """Five seeds (shifted judges): success of the first plan, of any plan, and of most plans of the first 99 tasks."""
-    runs = None
-    for seed in range(5):
-        plans = W.order_plans(spark, sf, shift=20 * seed).filter("task <= 99")
-        per = plans.groupBy("task").agg((F.min_by("r", F.struct("o_orderdate", "traj")) == 1).alias("first_plan"), (F.max("r") == 1).alias("any_plan"), (F.avg("r") > 0).alias("most_plans"))
-        one = per.agg(*(F.avg(F.col(c).cast("double")).alias(c) for c in ("first_plan", "any_plan", "most_plans"))).unpivot([], ["first_plan", "any_plan", "most_plans"], "system", "value").withColumn("seed", F.lit(seed))
-        runs = one if runs is None else runs.unionByName(one)
+    plans = W.order_plans(spark, sf).filter("task <= 99").select("task", "traj", "o_orderdate", "o_orderstatus")
+    judged = [F.struct(F.lit(seed).alias("seed"), W.majority(W.judge_votes(F.col("traj"), F.col("o_orderstatus"), 20 * seed)).alias("r")) for seed in range(5)]
+    plans = plans.withColumn("j", F.explode(F.array(*judged))).select("task", "traj", "o_orderdate", "j.*")  # one pass for all seeds
+    per = plans.groupBy("seed", "task").agg((F.min_by("r", F.struct("o_orderdate", "traj")) == 1).alias("first_plan"), (F.max("r") == 1).alias("any_plan"), (F.avg("r") > 0).alias("most_plans"))
+    names = ["first_plan", "any_plan", "most_plans"]
+    runs = per.groupBy("seed").agg(*(F.avg(F.col(c).cast("double")).alias(c) for c in names)).unpivot(["seed"], names, "system", "value")
     return rounded(longs(measures.seed_summary(runs.withColumn("value", 100 * F.col("value"))), "runs"), "mean", "std_sample", "std_population", "var_sample")
 
 
