@@ -96,7 +96,7 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1)
 
 
-def search(vectors: DataFrame, queries: str, k: int = 20, id_col: str = "vec_id", vec_col: str = "embedding", sample: int = 8_000, target: float = 0.98, least_seen: int = 4_000, rerank: int = 80, chunk: int = 4_000, block: int = 512) -> DataFrame:
+def search(vectors: DataFrame, queries: str, k: int = 20, id_col: str = "vec_id", vec_col: str = "embedding", sample: int = 8_000, target: float = 0.98, least_seen: int = 500, rerank: int = 80, chunk: int = 4_000, block: int = 512) -> DataFrame:
     """(query_id, rank, vec_id, score): the k nearest found for every row that meets the SQL condition `queries` on vec_id."""
     spark = vectors.sparkSession
     schema = "query_id long, rank int, vec_id long, score double"

@@ -338,6 +338,14 @@ def test_context_mixing_contract(spark):
     assert rows[206]["score"] == rows[207]["score"]
 
 
+def test_a_line_repeated_inside_one_text_is_not_predicted_from_it(spark):
+    line = " ".join(f"only{k}" for k in range(12))
+    texts = {k: f"some words {k} here\nand more of them" for k in range(30)} | {30: f"{line}\n{line}\n{line}", 31: line.replace("only", "both"), 32: line.replace("only", "both")}
+    rows = {r["doc_id"]: r for r in context_mixing.score(docs(spark, texts), F.lit(True), F.lit(False)).collect()}
+    assert rows[30]["score"] < 2.5 * rows[31]["score"] < 0 and rows[31]["score"] > -8  # 31 is in 32 too
+    assert rows[31]["bits_per_byte"] == pytest.approx(-rows[31]["score"] * math.log2(10) / (len(texts[31]) + 1))
+
+
 def test_bit_probabilities_sum_to_one():
     rng = np.random.default_rng(0)
     domain = rng.normal(size=int(context_mixing.OFFSETS[-1])).astype(np.float16)
