@@ -234,14 +234,17 @@ def rare_pairs(apart: DataFrame, rare: DataFrame, num: int, den: int, agree: int
 def block_pairs(apart: DataFrame, num: int, den: int, agree: int, block: int) -> DataFrame:
     """All pairs (a < b) of members of one bucket and different components that sizes, signatures and `frequent` (how many
     frequent shingles a member has; all that it can share without a rare one) don't rule out: a bucket is salted into
-    blocks of about `block` rows, and every block meets every other and itself."""
+    blocks of about `block` rows, and every block meets every other and itself. Two members that share several buckets are
+    a pair in the smallest of them only."""
     sized = apart.groupBy("bucket").agg(F.ceil(F.count(F.lit(1)) / F.lit(block)).alias("blocks"))
-    cut = apart.join(sized, "bucket").withColumn("part", F.pmod(F.xxhash64("node"), "blocks"))
-    row = F.struct("node", "n_shingles", "sketch_hi", "sketch_lo", "component", "frequent")
+    held = apart.groupBy("node").agg(F.collect_set("bucket").alias("held"))  # a bucket a band at most
+    cut = apart.join(sized, "bucket").join(held, "node").withColumn("part", F.pmod(F.xxhash64("node"), "blocks"))
+    row = F.struct("node", "n_shingles", "sketch_hi", "sketch_lo", "component", "frequent", "held")
     left = cut.select("bucket", F.col("part").alias("x"), F.explode(F.sequence("part", F.col("blocks") - 1)).alias("y"), row.alias("l"))
     right = cut.select("bucket", F.explode(F.sequence(F.lit(0).cast("long"), "part")).alias("x"), F.col("part").alias("y"), row.alias("r"))
     met = left.join(right.hint("merge"), ["bucket", "x", "y"]).filter(F.col("l.component") != F.col("r.component"))
     met = met.filter(((F.col("x") < F.col("y")) | (F.col("l.node") < F.col("r.node"))) & common_at_most(F.least("l.frequent", "r.frequent"), "l.", "r.", num, den) & may_link("l.", "r.", num, den, agree))
+    met = met.filter(F.array_min(F.array_intersect("l.held", "r.held")) == F.col("bucket"))
     return met.select(F.least("l.node", "r.node").alias("a"), F.greatest("l.node", "r.node").alias("b")).distinct()
 
 
@@ -289,7 +292,7 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     return now.select(F.col("b").alias("doc_id"), F.col("a").alias("component_id")).unionByName(now.select(F.col("a").alias("doc_id"), F.col("a").alias("component_id")).distinct())
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, num: int = 80, den: int = 100, rows: int = 5, bands: int = 25, near: int = 3, chunk: int = 20_000, block: int = 2_000, rare: int = 16) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, num: int = 80, den: int = 100, rows: int = 5, bands: int = 25, near: int = 3, chunk: int = 20_000, block: int = 1_000, rare: int = 16) -> DataFrame:
     """One row per document: doc_id, raw (hash of the text as it is), n_shingles, component_id, kept.
 
     Two texts are linked when their sets of n-word shingles have `den * |A & B| >= num * |A | B|`. With `rows` minima
