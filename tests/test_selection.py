@@ -163,3 +163,17 @@ def test_vector_answers_of_more_rows_than_a_block(spark, tmp_path):
         got = workloads.vector_answers(spark, str(tmp_path), 8, block).toPandas().sort_values(["sample_id", "cand_no"])
         assert len(got) == 8 * len(m) and (got.cand_no.to_numpy().reshape(-1, 8) == np.arange(1, 9)).all()
         assert (got.correct.to_numpy().reshape(-1, 8) == (label[want] == label[:, None])).all()
+
+
+def test_draws_push_their_ranges_to_the_pool(spark, tmp_path):
+    from prefix_credit.sources.tables import write_pool
+
+    pool = quota.enqueue(spark.range(400).select(F.concat(F.lit("t"), F.col("id") % 4).alias("task"), F.col("id").alias("sample_id")), ["sample_id"])
+    write_pool(pool, f"{tmp_path}/pool", 8)
+    got = quota.fresh_ranges(spark.read.parquet(f"{tmp_path}/pool"), [("t1", 0, 5), ("t2", 90, 95), ("t3", 7, 7)])
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    pushed = plan.split("PushedFilters")[1]  # cut short in the plan's text
+    assert "LessThanOrEqual(fresh_pos,95)" in pushed and "Or(And(" in pushed and "t1" in plan and "t3" not in plan
+    assert sorted(r["fresh_pos"] for r in got.collect()) == [1, 2, 3, 4, 5, 91, 92, 93, 94, 95]
+    many = quota.fresh_ranges(spark.read.parquet(f"{tmp_path}/pool"), [("t1", 0, 5), ("t2", 90, 95)], literal_tasks=1)
+    assert many.count() == 10 and many.columns == got.columns
