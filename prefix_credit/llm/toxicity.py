@@ -7,8 +7,9 @@ of it share, hashed to 2**22 places. The fit takes at most `max_rows` labelled r
 first in the order of a hash of the id (a documented bound); scoring covers every row.
 
 A null or empty text has no features and gets the base severity of a text without signs; labels that are null are not
-used; without labels of both kinds nothing is called toxic; repeated rows are scored alike; an empty table gives an
-empty result.
+used; a document with labels of several grades counts with the highest, an id with several texts with one of them, the
+one whose hash is smallest; without labels of both kinds nothing is called toxic; repeated rows are scored alike; an
+empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -85,52 +86,60 @@ class OrdinalModel:
         return 1 / (1 + np.exp(np.clip(self.cuts[None, :] - np.asarray(eta)[:, None], -60, 60)))
 
 
-def fit_ordinal(rows: np.ndarray, cols: np.ndarray, grades: np.ndarray, n_cols: int, l1: float | None = None, steps: int = 800) -> tuple[np.ndarray, np.ndarray]:
-    """(weights, cuts) by accelerated proximal gradient on the cumulative-link likelihood with an L1 penalty."""
+def fit_ordinal(rows: np.ndarray, cols: np.ndarray, grades: np.ndarray, n_cols: int, l1: float | None = None, steps: int = 3_000, slack: float = 0.02) -> tuple[np.ndarray, np.ndarray]:
+    """(weights, cuts) by accelerated proximal gradient on the cumulative-link likelihood with an L1 penalty.
+
+    The step is found by backtracking, the momentum starts anew where it points uphill, and the fit ends where no
+    coordinate's step is above `slack` of the penalty (or 1e-5, if there is none)."""
     n, top = len(grades), int(grades.max())
     l1 = 0.3 / n if l1 is None else l1
     rate = np.array([(grades >= k).mean() for k in range(1, top + 1)])
-    cuts = np.log((1 - rate) / rate)
-    w, v = np.zeros(n_cols), np.zeros(n_cols)
-    gaps, t = cuts.copy(), 1.0
-    pad = lambda c: np.concatenate([[-60.0], c, [60.0]])
     sig = lambda z: 1 / (1 + np.exp(-np.clip(z, -60, 60)))
-    degree = np.bincount(rows, minlength=n)
-    step = 4.0 / max(1.0, np.percentile(degree, 90) if len(degree) else 1.0) * 8
-    last = np.inf
-    for _ in range(steps):
-        eta = np.bincount(rows, v[cols], minlength=n)
-        edge = pad(gaps)
+
+    def sides(w: np.ndarray, cuts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Of each row: P(grade or below), P(below the grade), and their difference."""
+        eta, edge = np.bincount(rows, w[cols], minlength=n), np.concatenate([[-60.0], cuts, [60.0]])
         hi, lo = sig(edge[grades + 1] - eta), sig(edge[grades] - eta)
-        p = np.maximum(hi - lo, 1e-12)
-        loss = -np.log(p).mean()
-        if loss > last * 1.5:
-            step, v, t = step / 2, w.copy(), 1.0
-        last = min(loss, last)
-        dhi, dlo = hi * (1 - hi), lo * (1 - lo)
-        d_eta = (dhi - dlo) / p / n
-        d_cut = np.zeros(top)
-        for k in range(top):
-            d_cut[k] = (-(dhi / p)[grades == k].sum() + (dlo / p)[grades == k + 1].sum()) / n
-        new = v - step * np.bincount(cols, d_eta[rows], minlength=n_cols)
-        new = np.sign(new) * np.maximum(np.abs(new) - step * l1, 0)
-        gaps = np.maximum.accumulate(gaps - min(step, 2.0) * d_cut + np.arange(top) * 1e-6)
+        return hi, lo, np.maximum(hi - lo, 1e-12)
+
+    w, cuts = np.zeros(n_cols), np.log((1 - rate) / rate)
+    v, at, t, step = w, cuts, 1.0, 1.0
+    for _ in range(steps):
+        hi, lo, p = sides(v, at)
+        loss, dhi, dlo = -np.log(p).mean(), hi * (1 - hi) / p / n, lo * (1 - lo) / p / n
+        d_w = np.bincount(cols, (dhi - dlo)[rows], minlength=n_cols)
+        d_cut = np.bincount(grades, dlo, minlength=top + 1)[1:] - np.bincount(grades, dhi, minlength=top + 1)[:top]
+        while True:
+            new = v - step * d_w
+            new = np.sign(new) * np.maximum(np.abs(new) - step * l1, 0)
+            edges = np.maximum.accumulate(at - step * d_cut + np.arange(top) * 1e-9)
+            moved, shifted = new - v, edges - at
+            bound = loss + d_w @ moved + d_cut @ shifted + (moved @ moved + shifted @ shifted) / (2 * step)
+            if -np.log(sides(new, edges)[2]).mean() <= bound + 1e-12 or step < 1e-8:
+                break
+            step /= 2
+        if max(np.abs(moved).max(initial=0), np.abs(shifted).max()) <= step * (slack * l1 or 1e-5):
+            return new, edges
+        if moved @ (new - w) + shifted @ (edges - cuts) < 0:
+            t = 1.0
         t2 = (1 + (1 + 4 * t * t) ** 0.5) / 2
-        v, w, t = new + (t - 1) / t2 * (new - w), new, t2
-    return w, gaps
+        v, at = new + (t - 1) / t2 * (new - w), edges + (t - 1) / t2 * (edges - cuts)
+        w, cuts, t, step = new, edges, t2, step * 1.05
+    return w, cuts
 
 
 def fit(docs: DataFrame, labels: DataFrame, max_rows: int = 8_000, least_texts: int = 5, most_places: int = 20_000) -> OrdinalModel:
     """Fit on at most `max_rows` labelled documents; a place needs `least_texts` of them, the `most_places` that tell the grades apart best stay."""
     graded = labels.filter("doc_id is not null and toxic is not null").select("doc_id", F.when(F.col("toxic") == 0, 0).when(F.coalesce("quality", F.lit(1)) == 0, 2).otherwise(1).alias("grade"))
-    few = graded.dropDuplicates(["doc_id"]).orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
-    joined = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(F.broadcast(few), "doc_id").select("doc_id", "text", "grade")
+    few = graded.groupBy("doc_id").agg(F.max("grade").alias("grade")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
+    joined = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(F.broadcast(few), "doc_id").select("doc_id", "text", "grade", F.xxhash64("text").alias("raw"))
 
     def batch(b: pa.RecordBatch) -> dict:
         cache = Places()
-        return {"doc_id": b.column(0), "grade": b.column(2), "places": [cache.of(raw) for raw in text_bytes(b.column(1))]}
+        return {"doc_id": b.column(0), "grade": b.column(2), "raw": b.column(3), "places": [cache.of(raw) for raw in text_bytes(b.column(1))]}
 
-    got = map_arrow(joined, batch, "doc_id long, grade int, places array<int>").toArrow()
+    each = map_arrow(joined, batch, "doc_id long, grade int, raw long, places array<int>")
+    got = each.groupBy("doc_id").agg(F.max("grade").alias("grade"), F.min_by("places", "raw").alias("places")).toArrow()
     order = np.argsort(got.column("doc_id").to_numpy(), kind="stable")
     grades = got.column("grade").to_numpy().astype(np.int64)[order]
     if len(grades) == 0 or grades.max() == 0 or grades.min() > 0:

@@ -6,6 +6,7 @@ from collections import Counter
 
 import numpy as np
 import pytest
+import xxhash
 from pyspark.sql import functions as F
 
 from prefix_credit.llm import ann, chat_format, context_mixing, decontaminate, html_text, licenses, near_dup, packing, sharding, toxicity
@@ -287,6 +288,68 @@ def test_toxicity_held_out(spark):
     assert r["tp"] / (r["tp"] + r["fn"]) > 0.8 and r["fp"] / (r["fp"] + r["tn"]) < 0.01
 
 
+def plain_features(text):
+    """Features of a text by their definition, one by one."""
+    raw = bytes(b + 32 if 65 <= b <= 90 else b for b in (text or "").encode())
+    words = {bytes(w) for ok, w in itertools.groupby(raw, lambda b: b >= 128 or 48 <= b <= 57 or 97 <= b <= 122) if ok}
+    n = Counter()
+    for w in words:
+        n.update([xxhash.xxh3_64_intdigest(w) >> 42] + [xxhash.xxh3_64_intdigest(w[:k], k) >> 42 for k in range(4, 9) if k < len(w)])
+    return set(n) | {(p * 2_654_435_761 + least * 40_503) % 2**22 for p, c in n.items() for least in (2, 4) if c >= least}
+
+
+def test_toxicity_query_against_brute_force(spark):
+    """Scores of the whole table from features by their definition; the fit is at the optimum of the penalised likelihood."""
+    sf = "/root/testdata/sf0.01"
+    d, lab = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    feats = {r["doc_id"]: plain_features(r["text"]) for r in d.select("doc_id", "text").collect()}
+    grade = {r["doc_id"]: 0 if r["toxic"] == 0 else 2 if r["quality"] == 0 else 1 for r in lab.collect() if r["doc_id"] in feats and r["toxic"] is not None}
+    assert 100 < len(grade) <= 8_000 and len(grade) == lab.filter("toxic is not null").count()
+    model = toxicity.fit(d, lab)
+    w = dict(zip(model.places.tolist(), model.weights.tolist(), strict=True))
+    cuts = [-math.inf, *model.cuts.tolist(), math.inf]
+    if len(cuts) == 3:
+        grade = {k: min(g, 1) for k, g in grade.items()}
+    base = sum(g > 0 for g in grade.values()) / len(grade)
+    df, hits = Counter(), Counter()
+    for k, g in grade.items():
+        df.update(feats[k])
+        hits.update(feats[k] if g else ())
+    told = {p for p, n in df.items() if n >= 5 and abs(hits[p] - n * base) / math.sqrt(n * base * (1 - base)) > 3.5}
+    assert told == set(w)
+    sig = lambda z: 1 / (1 + math.exp(-max(-700.0, min(700.0, z))))
+    eta = {k: sum(w[p] for p in f if p in w) for k, f in feats.items()}
+    for r in toxicity.op4_ordinal_toxicity(spark, sf).collect():
+        up = [sig(eta[r["doc_id"]] - c) for c in cuts[1:-1]]
+        assert r["p_toxic"] == pytest.approx(up[0], abs=1e-9) and r["expected_severity"] == pytest.approx(sum(up), abs=1e-9)
+        assert r["toxic"] == (r["p_toxic"] >= 0.5)
+    slope = Counter()
+    for k, g in grade.items():
+        hi, lo = (1.0 if math.isinf(cuts[g + 1]) else sig(cuts[g + 1] - eta[k])), (0.0 if math.isinf(cuts[g]) else sig(cuts[g] - eta[k]))
+        pull = (hi * (1 - hi) - lo * (1 - lo)) / (hi - lo) / len(grade)
+        for p in feats[k]:
+            if p in w:
+                slope[p] += pull
+    l1 = 0.3 / len(grade)
+    off = [abs(slope[p] + math.copysign(l1, x)) if x else max(0.0, abs(slope[p]) - l1) for p, x in w.items()]
+    assert max(off) < 0.1 * l1
+
+
+def test_toxicity_labels_that_disagree_and_ids_with_several_texts(spark):
+    lab = "doc_id long, quality int, toxic int"
+    texts = {k: ("vile " if k % 4 == 0 else "") + f"word{k % 7} thing{k % 5} plain" for k in range(200)}
+    labels = [(k, 1, 1 if k % 4 == 0 else 0) for k in range(200)]
+    train = docs(spark, texts)
+    want = toxicity.fit(train, spark.createDataFrame(labels, lab))
+    clash = spark.createDataFrame([(k, 1, 0) for k in range(0, 200, 4)] + labels + labels, lab)
+    for df, some in ((train, clash), (train.unionByName(train), clash.repartition(5))):
+        got = toxicity.fit(df, some)
+        assert (got.places == want.places).all() and np.allclose(got.weights, want.weights) and np.allclose(got.cuts, want.cuts)
+    twice = train.unionByName(docs(spark, {k: f"other text {k}" for k in range(0, 200, 8)}))
+    one, other = (toxicity.fit(twice.repartition(n), clash) for n in (3, 7))
+    assert (one.places == other.places).all() and (one.weights == other.weights).all()
+
+
 def test_ordinal_grades_share_weights(spark):
     rng = np.random.default_rng(3)
     strength = np.array([0.0, 1.5, 3.0, -1.0])
