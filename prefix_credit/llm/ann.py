@@ -3,21 +3,27 @@
 * A bounded sample (the first `sample` vectors in the order of a hash of the id) gives coarse centroids (k-means on
   directions) and one codebook a subspace for the residuals; the model is a few hundred KB and travels with the tasks.
 * Every vector goes to the list of the centroid with the largest inner product and is coded.
-* Every query probes the lists with the largest inner products until it has seen a share of all vectors that held
-  `target` of the nearest in a brute-force trial on the sample, and `least_seen` at least (list sizes are known), so
-  short tables are searched whole and vectors without clusters are probed more widely than clustered ones.
-* Lists are cut into chunks of about `chunk` vectors and queries into blocks; a task scores one block of queries on one
-  chunk with asymmetric distance tables, keeps `rerank` candidates a query, and scores those exactly in double
-  precision on the original vectors. The best of all chunks are merged with a row limit a query.
+* Neighbouring lists share a cell of about `chunk` vectors (a longer list has several), and a task scores the queries of
+  one cell. Of the lists that a query asks for there, codes and distance tables give every vector's product but for
+  |query| * (length of what the code leaves out), which is kept beside the code. The `rerank` best by code are scored
+  exactly; then every vector that this bound lets reach the k-th of them is, so codes too coarse for the rows cost time
+  and lose nothing.
+* First, every query probes the lists with the largest inner products until it has seen a share of all vectors that held
+  `target` of the nearest in a brute-force trial on the sample, and `least_seen` at least (list sizes are known).
+* Then it asks for every other list whose members may still reach its k-th score: for members with a part from `low` to
+  `high` along the centroid and at most `wide` across it, a product is at most the better of low and high times the
+  query's part along it, and wide times its part across it. Clustered vectors leave few such lists, others most.
+
+So the result is that of brute force for any vectors, whatever the sample has seen of them.
 
 Vectors that are null, zero, of another length than most, or hold null or non-finite components take no part, neither
-as query nor as candidate. Ties go to the smaller id, and copies of one vector keep their order through every cut.
-Repeated ids are searched as rows of their own; an empty table gives an empty result.
+as query nor as candidate. Ties go to the smaller id. Repeated ids are searched as rows of their own; an empty table
+gives an empty result.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable
 from dataclasses import dataclass
 
 import numpy as np
@@ -40,6 +46,12 @@ def _kmeans(x: np.ndarray, k: int, rounds: int, rng: np.random.Generator) -> np.
     return c
 
 
+def _unit(x: np.ndarray) -> np.ndarray:
+    """Directions; by the largest part first, since squares of tiny or huge parts leave the range of doubles."""
+    x = x / np.maximum(np.abs(x).max(axis=1, keepdims=True), np.finfo(float).tiny)
+    return x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), np.finfo(float).tiny)
+
+
 @dataclass
 class Model:
     centroids: np.ndarray  # lists x dim
@@ -59,12 +71,31 @@ class Model:
             codes[:, m] = (r @ book.T - 0.5 * (book * book).sum(1)).argmax(1)
         return at, codes
 
+    def left_out(self, x: np.ndarray, at: np.ndarray, codes: np.ndarray) -> np.ndarray:
+        """Length of what list and codes leave out of each vector, and a margin for the rounding of sums."""
+        near = self.centroids[at] + np.concatenate([book[codes[:, m]] for m, book in enumerate(self.books)], axis=1)
+        return np.linalg.norm(x - near, axis=1) * (1 + 1e-9) + 1e-9 * (np.linalg.norm(x, axis=1) + np.linalg.norm(near, axis=1))
+
+    def parts(self, x: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Each vector's part along the centroid of its list, and the length of the rest."""
+        c = _unit(self.centroids)[at]
+        along = np.einsum("nd,nd->n", x, c)
+        return along, np.linalg.norm(x - along[:, None] * c, axis=1)
+
+    def reach(self, q: np.ndarray, low: np.ndarray, high: np.ndarray, wide: np.ndarray) -> np.ndarray:
+        """The largest inner product that a member of each list may have with each query."""
+        c = _unit(self.centroids)
+        along = q @ c.T
+        size = np.linalg.norm(q, axis=1)[:, None]
+        across = np.sqrt(np.maximum(size * size - along * along, 0)) + 1e-7 * size  # the root of a difference of squares
+        best = np.maximum(along * low, along * high) + across * wide
+        return best + 1e-9 * size * (np.maximum(np.abs(low), np.abs(high)) + wide)
+
 
 def fit(sample: np.ndarray, lists: int, codes: int = 256, seed: int = 3) -> Model:
     rng = np.random.default_rng(seed)
     dim = sample.shape[1]
-    unit = sample / np.linalg.norm(sample, axis=1, keepdims=True)
-    c = _kmeans(unit, lists, 12, rng)
+    c = _kmeans(_unit(sample), lists, 12, rng)
     rest = sample - c[(sample @ c.T).argmax(1)]
     width = next(w for w in (4, 3, 2, 1) if dim % w == 0)
     books = np.stack([_kmeans(rest[:, m : m + width], codes, 8, rng) for m in range(0, dim, width)])
@@ -83,6 +114,21 @@ def probe_share(model: Model, x: np.ndarray, k: int, target: float, queries: int
     return min(1.0, float(np.quantile(np.take_along_axis(before, at[top], 1), target)) / len(x) + 1e-6)
 
 
+def _shelves(centroids: np.ndarray, sizes: np.ndarray, chunk: int) -> list[list[int]]:
+    """Lists in a chain of near centroids, cut so that those together hold at most about `chunk` vectors."""
+    c, free = _unit(centroids), np.ones(len(centroids), bool)
+    at, out, held = 0, [], 0
+    for _ in range(len(c)):
+        free[at] = False
+        if not out or held + sizes[at] > chunk:
+            out.append([])
+            held = 0
+        out[-1].append(at)
+        held += sizes[at]
+        at = int(np.where(free, c @ c[at], -np.inf).argmax())
+    return out
+
+
 def usable(vectors: DataFrame, id_col: str, vec_col: str) -> DataFrame:
     """(vec_id, v) of vectors that take part: v is an array of doubles."""
     v = F.col(vec_col).cast("array<double>")
@@ -110,55 +156,109 @@ def search(vectors: DataFrame, queries: str, k: int = 20, id_col: str = "vec_id"
     model = fit(x, lists)
 
     def coded(b: pa.RecordBatch) -> dict:
-        v = _matrix(b.column(1))
+        v = _matrix(b.column(2))
         at, codes = model.assign(v)
-        return {"vec_id": b.column(0), "v": b.column(1), "list": at.astype(np.int32), "codes": [c.tobytes() for c in codes]}
+        along, across = model.parts(v, at)
+        return {"row": b.column(0), "vec_id": b.column(1), "v": b.column(2), "list": at.astype(np.int32), "codes": [c.tobytes() for c in codes], "left_out": model.left_out(v, at, codes), "along": along, "across": across}
 
-    rows = staged(map_arrow(base, coded, "vec_id long, v array<double>, list int, codes binary"))
-    counts = {r["list"]: r["n"] for r in rows.groupBy("list").agg(F.count(F.lit(1)).alias("n")).collect()}
-    sizes = np.array([counts.get(i, 0) for i in range(lists)])
-    chunks = np.maximum(1, -(-sizes // chunk))
+    numbered = base.select(F.monotonically_increasing_id().alias("row"), "vec_id", "v")
+    rows = staged(map_arrow(numbered, coded, "row long, vec_id long, v array<double>, list int, codes binary, left_out double, along double, across double"))
+    counts = {r["list"]: r for r in rows.groupBy("list").agg(F.count(F.lit(1)).alias("n"), F.min("along").alias("low"), F.max("along").alias("high"), F.max("across").alias("wide")).collect()}
+    sizes, low, high, wide = (np.array([counts[i][name] if i in counts else 0 for i in range(lists)], kind) for name, kind in (("n", int), ("low", float), ("high", float), ("wide", float)))
     goal = max(least_seen, int(probe_share(model, x, k, target) * sizes.sum()))
+    shelves = _shelves(model.centroids, sizes, chunk)
+    cells = np.array([max(1, -(-int(sizes[on].sum()) // chunk)) if len(on) == 1 else 1 for on in shelves])
+    first = np.cumsum(cells) - cells
+    shelf_of = np.empty(lists, int)
+    for i, on in enumerate(shelves):
+        shelf_of[on] = i
 
-    def probes(b: pa.RecordBatch) -> dict:
-        v = _matrix(b.column(1))
+    def probed(b: pa.RecordBatch) -> dict:
+        v = _matrix(b.column(2))
         order = np.argsort(-(v @ model.centroids.T), axis=1, kind="stable")
         seen = np.cumsum(sizes[order], axis=1) - sizes[order]
-        q, j = np.nonzero((seen < goal) & (sizes[order] > 0))
-        at = order[q, j]
-        times = chunks[at]
-        return {"query_id": np.repeat(np.asarray(b.column(0))[q], times), "v": b.column(1).take(pa.array(np.repeat(q, times))), "list": np.repeat(at, times).astype(np.int32), "chunk": np.concatenate([np.arange(t) for t in times]).astype(np.int32) if len(times) else np.empty(0, np.int32)}
+        mask = np.zeros(order.shape, bool)
+        np.put_along_axis(mask, order, seen < goal, 1)
+        return {"row": b.column(0), "query_id": b.column(1), "v": b.column(2), "lists": [m.tobytes() for m in np.packbits(mask, axis=1)]}
 
-    asked = map_arrow(rows.filter(queries).select("vec_id", "v"), probes, "query_id long, v array<double>, list int, chunk int")
-    dealt = F.element_at(F.array(*(F.lit(int(c)) for c in chunks)), F.col("list") + 1)
-    held = rows.withColumn("chunk", F.pmod(F.xxhash64("vec_id"), dealt.cast("long")).cast("int"))
+    def unpacked(column: Iterable[bytes]) -> np.ndarray:
+        packed = np.frombuffer(b"".join(column), np.uint8)
+        return np.unpackbits(packed.reshape(-1, -(-lists // 8)), axis=1, count=lists).astype(bool)
+
+    def dealt(mask: np.ndarray, b: pa.RecordBatch, least: np.ndarray) -> dict:
+        """One row for each cell that holds members of a list that the query asks for."""
+        mask = mask & (sizes > 0)
+        q, shelf = np.nonzero(np.stack([mask[:, on].any(axis=1) for on in shelves], axis=1))
+        times = cells[shelf]
+        q, cell = np.repeat(q, times), np.repeat(first[shelf], times) + np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times)
+        sent, at = np.packbits(mask, axis=1), pa.array(q)
+        return {"row": b.column(0).take(at), "query_id": b.column(1).take(at), "v": b.column(2).take(at), "lists": [sent[i].tobytes() for i in q], "least": least[q], "cell": cell.astype(np.int32)}
+
+    def near(b: pa.RecordBatch) -> dict:
+        return dealt(unpacked(b.column(3).to_pylist()), b, np.full(b.num_rows, -np.inf))
+
+    def others(b: pa.RecordBatch) -> dict:
+        least = b.column(4).to_numpy(zero_copy_only=False).astype(float)
+        below = model.reach(_matrix(b.column(2)), low, high, wide) < least[:, None]
+        return dealt(~unpacked(b.column(3).to_pylist()) & ~below, b, least)
+
+    asked = "row long, query_id long, v array<double>, lists binary, least double, cell int"
+    searching = staged(map_arrow(rows.filter(queries).select("row", "vec_id", "v"), probed, "row long, query_id long, v array<double>, lists binary"))
+    parts = max(1, -(-searching.count() // 50_000))  # queries that one task holds
+    shelf = F.element_at(F.array(*(F.lit(int(i)) for i in shelf_of)), F.col("list") + 1)
+    of_shelf = lambda values: F.element_at(F.array(*(F.lit(int(i)) for i in values)), shelf + 1)
+    cell = of_shelf(first) + F.pmod(F.xxhash64("row"), of_shelf(cells).cast("long")).cast("int")
+    held = rows.select("row", "vec_id", "v", "list", "codes", "left_out", cell.alias("cell"), F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("part"))
 
     def scored(key: tuple, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         out: list[pd.DataFrame] = []
         if len(left) and len(right):
-            right = right.sort_values("vec_id", kind="stable")
-            ids, full = right["vec_id"].to_numpy(), np.stack(right["v"].to_numpy())
+            right = right.sort_values("list", kind="stable")
+            ids, its, full, spare = right["vec_id"].to_numpy(), right["row"].to_numpy(), np.stack(right["v"].to_numpy()), right["left_out"].to_numpy()
             codes = np.frombuffer(b"".join(right["codes"]), np.uint8).reshape(len(ids), -1)
+            found_lists, starts = np.unique(right["list"].to_numpy(), return_index=True)
             for at in range(0, len(left), block):
                 part = left.iloc[at : at + block]
-                q, asked_ids = np.stack(part["v"].to_numpy()), part["query_id"].to_numpy()
+                q, own = np.stack(part["v"].to_numpy()), part["row"].to_numpy()
+                wanted = unpacked(part["lists"])
                 tables = np.einsum("qmw,mcw->qmc", q.reshape(len(q), -1, model.width), model.books)
-                near = np.repeat((q @ model.centroids[key[0]])[:, None], len(ids), axis=1)
-                for m in range(codes.shape[1]):
-                    near += tables[:, m, :][:, codes[:, m]]
-                near[asked_ids[:, None] == ids[None, :]] = -np.inf
-                pick = np.argsort(-near, axis=1, kind="stable")[:, :rerank]  # copies stay in the order of their ids
-                exact = np.einsum("qrd,qd->qr", full[pick], q)
-                exact[np.take_along_axis(near, pick, 1) == -np.inf] = -np.inf
-                best = np.lexsort((ids[pick], -exact), axis=1)[:, :k]
-                ids_of, score = np.take_along_axis(ids[pick], best, 1), np.take_along_axis(exact, best, 1)
-                got = score > -np.inf
-                out.append(pd.DataFrame({"query_id": np.repeat(asked_ids, got.sum(1)), "vec_id": ids_of[got], "score": score[got]}))
-        return pd.concat(out) if out else pd.DataFrame({"query_id": np.empty(0, np.int64), "vec_id": np.empty(0, np.int64), "score": np.empty(0)})
-
-    found = asked.groupBy("list", "chunk").cogroup(held.groupBy("list", "chunk")).applyInPandas(scored, "query_id long, vec_id long, score double")
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-    return found.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+                by_code = np.full((len(q), len(ids)), -np.inf)
+                for i, lo, hi in zip(found_lists, starts, [*starts[1:], len(ids)], strict=True):
+                    who = np.flatnonzero(wanted[:, i])
+                    some = np.repeat((q[who] @ model.centroids[i])[:, None], hi - lo, axis=1)
+                    for m in range(codes.shape[1]):
+                        some += tables[who, m][:, codes[lo:hi, m]]
+                    by_code[who, lo:hi] = some
+                by_code[own[:, None] == its[None, :]] = -np.inf
+                least = part["least"].to_numpy().astype(float)
+                if by_code.shape[1] >= k:
+                    pick = np.argpartition(-by_code, min(max(rerank, k), by_code.shape[1]) - 1, axis=1)[:, : max(rerank, k)]
+                    exact = np.einsum("qrd,qd->qr", full[pick], q)
+                    exact[np.take_along_axis(by_code, pick, 1) == -np.inf] = -np.inf
+                    least = np.fmax(least, np.partition(exact, -k, axis=1)[:, -k])
+                least -= 1e-12 * np.abs(least)
+                bound = by_code + np.linalg.norm(q, axis=1)[:, None] * spare[None, :]
+                a, c = np.nonzero((by_code != -np.inf) & ~(bound < least[:, None]))
+                score = np.concatenate([np.einsum("pd,pd->p", q[a[i : i + 100_000]], full[c[i : i + 100_000]]) for i in range(0, max(len(a), 1), 100_000)])
+                order = np.lexsort((ids[c], -score, a))
+                a, c, score = a[order], c[order], score[order]
+                best = np.arange(len(a)) - np.searchsorted(a, a) < k
+                a, c = a[best], c[best]
+                out.append(pd.DataFrame({"row": own[a], "query_id": part["query_id"].to_numpy()[a], "vec_id": ids[c], "score": score[best]}))
+        return pd.concat(out) if out else pd.DataFrame({"row": np.empty(0, np.int64), "query_id": np.empty(0, np.int64), "vec_id": np.empty(0, np.int64), "score": np.empty(0)})
+
+    def best_of(asking: DataFrame) -> DataFrame:
+        grouped = asking.withColumn("part", F.pmod(F.xxhash64("row"), F.lit(parts)).cast("int")).groupBy("cell", "part")
+        return grouped.cogroup(held.groupBy("cell", "part")).applyInPandas(scored, "row long, query_id long, vec_id long, score double")
+
+    def ranked(found: DataFrame) -> DataFrame:
+        rank = F.row_number().over(Window.partitionBy("row").orderBy(F.desc("score"), "vec_id"))
+        return found.withColumn("rank", rank).filter(F.col("rank") <= k)
+
+    nearest = staged(ranked(best_of(map_arrow(searching, near, asked))).drop("rank"))
+    kth = nearest.groupBy("row").agg(F.when(F.count(F.lit(1)) == k, F.min("score")).alias("least"))
+    known = searching.join(kth, "row", "left").select("row", "query_id", "v", "lists", F.coalesce("least", F.lit(float("-inf"))).alias("least"))
+    return ranked(nearest.unionByName(best_of(map_arrow(known, others, asked)))).select("query_id", "rank", "vec_id", "score")
 
 
 def op3_ivf_pq_search(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -276,6 +276,29 @@ def test_search_odd_rows(spark):
     assert ann.search(vectors(spark, [[1, 2]]), "vec_id = 0").count() == 0
 
 
+def test_search_of_rows_that_codes_cannot_tell_apart(spark):
+    """A clump far denser than the codes, norms of all sizes, and parts whose squares leave the range of doubles."""
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(3000, 16))
+    x[:600] = x[0] + 1e-3 * rng.normal(size=(600, 16))
+    x[600:700] *= np.exp(rng.normal(0, 4, (100, 1)))
+    x[700:720] *= 1e-30
+    x[720] *= 0
+    x = x.astype(np.float32)
+    rows = ann.search(vectors(spark, x), "vec_id % 60 = 0", least_seen=300, chunk=700).toPandas()
+    full = x.astype(float)
+    for q in range(0, 3000, 60):
+        if q == 720:
+            continue
+        s = np.einsum("nd,d->n", full, full[q])
+        s[[q, 720]] = -np.inf
+        got = rows[rows.query_id == q].sort_values("rank")
+        assert list(got.vec_id) == list(np.lexsort((np.arange(3000), -s))[:20])
+    tiny = [[1e-300 * c for c in r] for r in ([1.0, 2.0], [2.0, 1.0], [-1.0, 0.0])]
+    wide = spark.createDataFrame(list(enumerate(tiny)), "vec_id long, embedding array<double>")
+    assert ann.search(wide, "vec_id = 0").count() == 2
+
+
 # ---- toxicity -------------------------------------------------------------------------------------------------------
 
 
