@@ -3,6 +3,9 @@
 * window: q, sibling mean and deviation by windows over step rows; everything after the task exchange stays in it;
 * join: node table, sibling window, join back to the steps;
 * salted: node table from partial sums without clustering by task (for tasks with millions of plans), then as join.
+
+Node tables grow with the plans, so their joins ask for a merge: sizes after a shuffle are of compressed bytes, and
+prefixes compress so well that a table taken for small fills the driver when it is broadcast.
 """
 
 from __future__ import annotations
@@ -45,7 +48,7 @@ def _window_form(steps: DataFrame, gamma: float, eps: float) -> DataFrame:
 
 def _join_form(steps: DataFrame, gamma: float, eps: float, delta: float) -> DataFrame:
     nodes = drop_flat(sibling_advantage(trie.node_values(steps, gamma), eps), delta).select("task", F.col("depth").alias("t"), "node_key", "q", "n", "k", "mu", "sigma", "advantage")
-    return steps.join(nodes, ["task", "t", "node_key"])
+    return steps.join(nodes.hint("merge"), ["task", "t", "node_key"])
 
 
 def _salted_form(steps: DataFrame, gamma: float, eps: float, delta: float, salts: int) -> DataFrame:
@@ -55,7 +58,7 @@ def _salted_form(steps: DataFrame, gamma: float, eps: float, delta: float, salts
     nodes = part.groupBy(*keys).agg((F.sum("total") / F.sum("n")).alias("q"), F.sum("n").alias("n")).withColumnRenamed("t", "depth")
     nodes = drop_flat(sibling_advantage(nodes, eps), delta).select("task", F.col("depth").alias("t"), "node_key", "q", "n", "k", "mu", "sigma", "advantage")
     spread = nodes.withColumn("_salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))))
-    return salted.drop("ret").join(spread, ["task", "t", "node_key", "_salt"]).drop("_salt")
+    return salted.drop("ret").join(spread.hint("merge"), ["task", "t", "node_key", "_salt"]).drop("_salt")
 
 
 def choose_form(plans: DataFrame, hot_plans: int = 100_000) -> str:

@@ -178,3 +178,12 @@ def test_hot_task_takes_the_salted_form(spark):
     assert credit.choose_form(df, hot_plans=1000) == "salted" and credit.choose_form(df) == "window"
     a, b = advantages(spark, plans, form="salted"), advantages(spark, plans)
     assert a.keys() == b.keys() and all(a[k] == pytest.approx(b[k], abs=1e-9) for k in a)
+
+
+@pytest.mark.parametrize("how", [{"form": "join", "keying": "path"}, {"form": "salted"}, {"form": "window", "keying": "level"}])
+def test_node_tables_are_not_broadcast(spark, how):
+    """They grow with the plans, and a shuffle's compressed bytes do not show what they take on the driver."""
+    rows = credit.credit_steps(packed(spark, FIVE), 0.9, EPS, 0.001, **how)
+    rows.collect()
+    plan = rows._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" not in plan and "SortMergeJoin" in plan
