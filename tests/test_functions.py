@@ -167,3 +167,21 @@ def test_joins(spark):
     v = spark.createDataFrame([(k, [float(k % 3 == j) + 0.01 * k for j in range(3)]) for k in range(9)], "id long, v array<double>")
     pairs = joins.similar(v, v, 3, tables=16, bits=4, tau=0.97).filter("left_id < right_id")
     assert not pairs.isEmpty() and pairs.filter("cosine < 0.97").isEmpty()
+
+
+def test_parallel_vectors_all_pairs_without_shuffled_pairs(spark):
+    """Every pair at the threshold, also across the borders of cells, and few candidates."""
+    import numpy as np
+
+    rng = np.random.default_rng(2)
+    x = rng.normal(size=(600, 16))
+    x[300:] = x[:300] * rng.uniform(0.2, 5, (300, 1)) + 0.001 * rng.normal(size=(300, 16))
+    v = spark.createDataFrame([(k, [float(c) for c in r]) for k, r in enumerate(x)], "id long, v array<float>")
+    full = x.astype(np.float32).astype(float)
+    full /= np.linalg.norm(full, axis=1, keepdims=True)
+    want = {(int(a), int(b)) for a, b in zip(*np.nonzero(full @ full.T >= 0.999999)) if a <= b}
+    rows = joins.parallel(v, 16, 0.999999)
+    got = [(r["left_id"], r["right_id"]) for r in rows.collect()]
+    assert len(want) > 800 and len(got) == len(set(got)) and set(got) == want
+    plan = rows._jdf.queryExecution().optimizedPlan().toString()
+    assert "Aggregate" not in plan and "Deduplicate" not in plan
