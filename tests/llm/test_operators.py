@@ -404,6 +404,18 @@ def test_toxicity_odd_rows(spark):
 # ---- language model -------------------------------------------------------------------------------------------------
 
 
+def test_mixing_is_learnt_from_all_tokens(spark):
+    """The model does not depend on the tokens that its weights start from."""
+    rng = np.random.default_rng(5)
+    words = sorted({bytes(rng.choice(list(b"abcde"), rng.integers(2, 7)).tolist()) for _ in range(400)})
+    rows = [(bytearray(t), int(c)) for t, c in zip(words, rng.integers(1, 50, len(words)))]
+    hot = sorted(((bytes(t), c) for t, c in rows), key=lambda x: (-x[1], x[0]))[:100]
+    vocabulary = spark.createDataFrame(rows, "token binary, c long").cache()
+    with np.errstate(over="ignore"):
+        few, many = (context_mixing.fit(vocabulary, len(rows), hot, sample=n).log10(words) for n in (4, 1000))
+    assert np.allclose(few, many, atol=0.02)
+
+
 def test_context_mixing_contract(spark):
     rnd = random.Random(1)
     texts = {k: " ".join(rnd.choice(("the", "of", "River", "stone", f"w{rnd.randint(0, 50)}")) for _ in range(60)) for k in range(200)}
