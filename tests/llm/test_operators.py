@@ -416,6 +416,37 @@ def test_mixing_is_learnt_from_all_tokens(spark):
     assert np.allclose(few, many, atol=0.02)
 
 
+def test_mixing_is_learnt_in_few_passes_and_a_small_driver(spark):
+    """Bits that tokens share are worked out once, counts stay in Spark, and no step is thrown away again and again."""
+    rng = np.random.default_rng(6)
+    words = sorted({bytes(rng.choice(list(b"abcdefg"), rng.integers(2, 9)).tolist()) for _ in range(3000)} | {b"x" * 70, b"\n", "é".encode()})
+    counts = rng.zipf(1.5, len(words)).clip(1, 1000)
+    with np.errstate(over="ignore"):
+        codes, lengths = context_mixing.encoded(words)
+        whole = shared = 0
+        for (rows, now, h), (again, node, once, few) in zip(context_mixing.contexts(codes, lengths), context_mixing.nodes(words), strict=True):
+            assert (rows == again).all() and (now == once[node]).all() and (h == few[:, node]).all()
+            whole, shared = whole + len(now), shared + len(once)
+        assert shared < 0.7 * whole
+        vocabulary = spark.createDataFrame([(bytearray(t), int(c)) for t, c in zip(words, counts, strict=True)], "token binary, c long").cache()
+        tables = context_mixing.slot_tables(vocabulary, frozenset(words), 2)
+        assert sum(x.nbytes for x in tables) < 20_000_000
+        one = context_mixing.slot_tables(vocabulary, frozenset(words), 1)
+        assert all((a == b).all() for a, b in zip(tables, one, strict=True))
+        model = context_mixing.Mixer(*tables, np.full((64, 6), 0.3), np.full((256, 33), 0.5))
+        costs = []
+
+        def sums(weights):
+            got = context_mixing.mixing_sums(context_mixing.Mixer(*tables, weights, None), words, counts.astype(float))
+            costs.append(got[:64].sum() / got[64:128].sum())
+            return got
+
+        context_mixing.descend(model, sums)
+        assert len(costs) <= 20 and costs[-1] == min(costs) < 0.97 * costs[0]
+        total = -sum(float(c) * x for c, x in zip(counts, model.log10(words), strict=True)) * math.log(10)
+    assert total <= 1.02 * costs[-1] * (lengths * 8) @ counts
+
+
 def test_context_mixing_contract(spark):
     rnd = random.Random(1)
     texts = {k: " ".join(rnd.choice(("the", "of", "River", "stone", f"w{rnd.randint(0, 50)}")) for _ in range(60)) for k in range(200)}
