@@ -1,18 +1,19 @@
-"""Approximate nearest neighbours by inner product: inverted lists, product-quantised residuals, exact reranking.
+"""Nearest neighbours by inner product: inverted lists, product-quantised residuals, exact reranking.
 
 * A bounded sample (the first `sample` vectors in the order of a hash of the id) gives coarse centroids (k-means on
   directions) and one codebook a subspace for the residuals; the model is a few hundred KB and travels with the tasks.
 * Every vector goes to the list of the centroid with the largest inner product and is coded.
-* Neighbouring lists share a cell of about `chunk` vectors (a longer list has several), and a task scores the queries of
-  one cell. Of the lists that a query asks for there, codes and distance tables give every vector's product but for
-  |query| * (length of what the code leaves out), which is kept beside the code. The `rerank` best by code are scored
-  exactly; then every vector that this bound lets reach the k-th of them is, so codes too coarse for the rows cost time
-  and lose nothing.
-* First, every query probes the lists with the largest inner products until it has seen a share of all vectors that held
-  `target` of the nearest in a brute-force trial on the sample, and `least_seen` at least (list sizes are known).
-* Then it asks for every other list whose members may still reach its k-th score: for members with a part from `low` to
-  `high` along the centroid and at most `wide` across it, a product is at most the better of low and high times the
-  query's part along it, and wide times its part across it. Clustered vectors leave few such lists, others most.
+* Neighbouring lists share a cell; there are about `cells` of them whatever the table's size (fewer if they would hold
+  less than `chunk` vectors; a longer list has several), so a query gets rows from a bounded number of them.
+* First, a query goes to the cells of its best lists until these hold `least_seen` vectors. Its k-th score there bounds
+  what it needs from elsewhere.
+* Then it goes to every other cell with a list whose members may still reach that score: for members with a part from
+  `low` to `high` along the centroid and at most `wide` across it, a product is at most the better of low and high
+  times the query's part along it, and wide times its part across it. Clustered vectors leave few such lists, others most.
+* In a cell, vectors come list by list, as they are streamed in; queries (`_QUERIES` at most in a task) skip lists that
+  cannot reach their k-th score so far. In the others, the product with a vector's decoded code and |query| * (length of
+  what the code leaves out), which is kept beside the code, bound the true product; vectors whose bound reaches the k-th
+  score are scored exactly and may raise it.
 
 So the result is that of brute force for any vectors, whatever the sample has seen of them.
 
@@ -23,17 +24,18 @@ gives an empty result.
 
 from __future__ import annotations
 
-from collections.abc import Iterable
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import map_arrow, staged, table
 
+_QUERIES = 50_000
+
 
 def _kmeans(x: np.ndarray, k: int, rounds: int, rng: np.random.Generator) -> np.ndarray:
     c = x[rng.choice(len(x), k, replace=len(x) < k)].copy()
@@ -71,9 +73,13 @@ class Model:
             codes[:, m] = (r @ book.T - 0.5 * (book * book).sum(1)).argmax(1)
         return at, codes
 
+    def decoded(self, at: np.ndarray, codes: np.ndarray) -> np.ndarray:
+        """The vectors that lists and codes stand for."""
+        return self.centroids[at] + self.books[np.arange(len(self.books)), codes].reshape(len(at), -1)
+
     def left_out(self, x: np.ndarray, at: np.ndarray, codes: np.ndarray) -> np.ndarray:
         """Length of what list and codes leave out of each vector, and a margin for the rounding of sums."""
-        near = self.centroids[at] + np.concatenate([book[codes[:, m]] for m, book in enumerate(self.books)], axis=1)
+        near = self.decoded(at, codes)
         return np.linalg.norm(x - near, axis=1) * (1 + 1e-9) + 1e-9 * (np.linalg.norm(x, axis=1) + np.linalg.norm(near, axis=1))
 
     def parts(self, x: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -97,23 +103,11 @@ def fit(sample: np.ndarray, lists: int, codes: int = 256, seed: int = 3) -> Mode
     dim = sample.shape[1]
     c = _kmeans(_unit(sample), lists, 12, rng)
     rest = sample - c[(sample @ c.T).argmax(1)]
-    width = next(w for w in (4, 3, 2, 1) if dim % w == 0)
+    width = next(w for w in (2, 1) if dim % w == 0)
     books = np.stack([_kmeans(rest[:, m : m + width], codes, 8, rng) for m in range(0, dim, width)])
     return Model(c, books)
 
 
-def probe_share(model: Model, x: np.ndarray, k: int, target: float, queries: int = 256) -> float:
-    """Least share of the sample, in probing order, that holds `target` of the k nearest, by brute force on the sample."""
-    q = x[:: max(1, len(x) // queries)]
-    near = q @ x.T
-    top = np.argsort(-near, axis=1, kind="stable")[:, : k + 1]
-    at = (x @ model.centroids.T).argmax(1)
-    sizes, order = np.bincount(at, minlength=len(model.centroids)), np.argsort(-(q @ model.centroids.T), axis=1, kind="stable")
-    before = np.empty(order.shape)
-    np.put_along_axis(before, order, np.cumsum(sizes[order], axis=1) - sizes[order], 1)
-    return min(1.0, float(np.quantile(np.take_along_axis(before, at[top], 1), target)) / len(x) + 1e-6)
-
-
 def _shelves(centroids: np.ndarray, sizes: np.ndarray, chunk: int) -> list[list[int]]:
     """Lists in a chain of near centroids, cut so that those together hold at most about `chunk` vectors."""
     c, free = _unit(centroids), np.ones(len(centroids), bool)
@@ -142,8 +136,43 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1)
 
 
-def search(vectors: DataFrame, queries: str, k: int = 20, id_col: str = "vec_id", vec_col: str = "embedding", sample: int = 8_000, target: float = 0.98, least_seen: int = 500, rerank: int = 80, chunk: int = 4_000, block: int = 512) -> DataFrame:
-    """(query_id, rank, vec_id, score): the k nearest found for every row that meets the SQL condition `queries` on vec_id."""
+class _Best:
+    """The k best (score, id) so far of each query of a block; equal scores go to the smaller id."""
+
+    def __init__(self, q: np.ndarray, own: np.ndarray, least: np.ndarray, k: int):
+        self.q, self.own, self.k, self.size = q, own, k, np.linalg.norm(q, axis=1)
+        self.least = least - 1e-12 * np.abs(least)
+        self.kept = [np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0)]
+        self.more: list[list[np.ndarray]] = []
+
+    def add(self, who: np.ndarray, near: np.ndarray, spare: np.ndarray, full: np.ndarray, its: np.ndarray, ids: np.ndarray) -> None:
+        """Vectors `full`, of decoded codes `near`, for the queries `who`."""
+        bound = self.q[who] @ near.T + self.size[who][:, None] * spare[None, :]
+        a, c = np.nonzero(~(bound < self.least[who][:, None]))
+        a = who[a]
+        other = self.own[a] != its[c]
+        a, c = a[other], c[other]
+        score = np.concatenate([np.einsum("pd,pd->p", self.q[a[i : i + 100_000]], full[c[i : i + 100_000]]) for i in range(0, max(len(a), 1), 100_000)])
+        reach = ~(score < self.least[a])
+        if reach.any():
+            self.more.append([a[reach], ids[c[reach]], score[reach]])
+            if sum(len(x[0]) for x in self.more) > 4 * self.k * len(self.q):
+                self.merge()
+
+    def merge(self) -> list[np.ndarray]:
+        """(place of the query, id, score) of the best, which raise what later ones must reach."""
+        a, ids, score = (np.concatenate(x) for x in zip(self.kept, *self.more, strict=True))
+        order = np.lexsort((ids, -score, a))
+        a, ids, score = a[order], ids[order], score[order]
+        place = np.arange(len(a)) - np.searchsorted(a, a)
+        last = place == self.k - 1
+        self.least[a[last]] = np.fmax(self.least[a[last]], score[last] - 1e-12 * np.abs(score[last]))
+        self.kept, self.more = [x[place < self.k] for x in (a, ids, score)], []
+        return self.kept
+
+
+def search(vectors: DataFrame, queries: str, k: int = 20, id_col: str = "vec_id", vec_col: str = "embedding", sample: int = 8_000, least_seen: int = 500, cells: int = 16, chunk: int = 250, block: int = 512) -> DataFrame:
+    """(query_id, rank, vec_id, score): the k nearest for every row that meets the SQL condition `queries` on vec_id."""
     spark = vectors.sparkSession
     schema = "query_id long, rank int, vec_id long, score double"
     base = usable(vectors, id_col, vec_col)
@@ -151,7 +180,7 @@ def search(vectors: DataFrame, queries: str, k: int = 20, id_col: str = "vec_id"
     if not head.num_rows:
         return spark.createDataFrame([], schema)
     x = _matrix(head.column("v").combine_chunks())
-    x = x[np.sort(np.unique(x, axis=0, return_index=True)[1])]  # copies of one vector would weigh the trial
+    x = x[np.sort(np.unique(x, axis=0, return_index=True)[1])]  # copies of one vector would weigh the fit
     lists = int(min(1024, max(1, len(x) // 64)))
     model = fit(x, lists)
 
@@ -165,91 +194,91 @@ def search(vectors: DataFrame, queries: str, k: int = 20, id_col: str = "vec_id"
     rows = staged(map_arrow(numbered, coded, "row long, vec_id long, v array<double>, list int, codes binary, left_out double, along double, across double"))
     counts = {r["list"]: r for r in rows.groupBy("list").agg(F.count(F.lit(1)).alias("n"), F.min("along").alias("low"), F.max("along").alias("high"), F.max("across").alias("wide")).collect()}
     sizes, low, high, wide = (np.array([counts[i][name] if i in counts else 0 for i in range(lists)], kind) for name, kind in (("n", int), ("low", float), ("high", float), ("wide", float)))
-    goal = max(least_seen, int(probe_share(model, x, k, target) * sizes.sum()))
+    chunk = max(chunk, -(-int(sizes.sum()) // cells))
     shelves = _shelves(model.centroids, sizes, chunk)
-    cells = np.array([max(1, -(-int(sizes[on].sum()) // chunk)) if len(on) == 1 else 1 for on in shelves])
-    first = np.cumsum(cells) - cells
-    shelf_of = np.empty(lists, int)
+    pieces = np.array([max(1, -(-int(sizes[on].sum()) // chunk)) if len(on) == 1 else 1 for on in shelves])
+    first, total = np.cumsum(pieces) - pieces, int(pieces.sum())
+    shelf_of, shelf_at = np.empty(lists, int), np.repeat(np.arange(len(shelves)), pieces)  # of lists, of cells
     for i, on in enumerate(shelves):
         shelf_of[on] = i
-
-    def probed(b: pa.RecordBatch) -> dict:
-        v = _matrix(b.column(2))
-        order = np.argsort(-(v @ model.centroids.T), axis=1, kind="stable")
-        seen = np.cumsum(sizes[order], axis=1) - sizes[order]
+    held = np.array([sizes[on].sum() for on in shelves])[shelf_at] / pieces[shelf_at]
+
+    def dealt(asks: np.ndarray, b: pa.RecordBatch, least: np.ndarray) -> dict:
+        """One row for each cell that the query asks."""
+        q, cell = np.nonzero(asks)
+        at = pa.array(q)
+        return {"row": b.column(0).take(at), "id": b.column(1).take(at), "v": b.column(2).take(at), "least": least[q], "cell": cell.astype(np.int32)}
+
+    def nearest_cells(b: pa.RecordBatch) -> np.ndarray:
+        """Cells of the best lists of each query, as many as hold `least_seen`; of a long list, first the cell that the row's number chooses."""
+        best = np.full((b.num_rows, len(shelves)), -np.inf)
+        product = np.where(sizes > 0, _matrix(b.column(2)) @ model.centroids.T, -np.inf)
+        for i, on in enumerate(shelves):
+            best[:, i] = product[:, on].max(axis=1)
+        turn = (np.arange(total) - first[shelf_at] - b.column(0).to_numpy()[:, None]) % pieces[shelf_at]
+        order = np.lexsort((turn, -best[:, shelf_at]), axis=1)
+        seen = np.cumsum(held[order], axis=1) - held[order]
         mask = np.zeros(order.shape, bool)
-        np.put_along_axis(mask, order, seen < goal, 1)
-        return {"row": b.column(0), "query_id": b.column(1), "v": b.column(2), "lists": [m.tobytes() for m in np.packbits(mask, axis=1)]}
-
-    def unpacked(column: Iterable[bytes]) -> np.ndarray:
-        packed = np.frombuffer(b"".join(column), np.uint8)
-        return np.unpackbits(packed.reshape(-1, -(-lists // 8)), axis=1, count=lists).astype(bool)
-
-    def dealt(mask: np.ndarray, b: pa.RecordBatch, least: np.ndarray) -> dict:
-        """One row for each cell that holds members of a list that the query asks for."""
-        mask = mask & (sizes > 0)
-        q, shelf = np.nonzero(np.stack([mask[:, on].any(axis=1) for on in shelves], axis=1))
-        times = cells[shelf]
-        q, cell = np.repeat(q, times), np.repeat(first[shelf], times) + np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times)
-        sent, at = np.packbits(mask, axis=1), pa.array(q)
-        return {"row": b.column(0).take(at), "query_id": b.column(1).take(at), "v": b.column(2).take(at), "lists": [sent[i].tobytes() for i in q], "least": least[q], "cell": cell.astype(np.int32)}
+        np.put_along_axis(mask, order, seen < least_seen, 1)
+        return mask
 
     def near(b: pa.RecordBatch) -> dict:
-        return dealt(unpacked(b.column(3).to_pylist()), b, np.full(b.num_rows, -np.inf))
+        return dealt(nearest_cells(b) & (held > 0), b, np.full(b.num_rows, -np.inf))
 
     def others(b: pa.RecordBatch) -> dict:
-        least = b.column(4).to_numpy(zero_copy_only=False).astype(float)
-        below = model.reach(_matrix(b.column(2)), low, high, wide) < least[:, None]
-        return dealt(~unpacked(b.column(3).to_pylist()) & ~below, b, least)
+        least = b.column(3).to_numpy(zero_copy_only=False).astype(float)
+        may = ~(model.reach(_matrix(b.column(2)), low, high, wide) < least[:, None]) & (sizes > 0)
+        return dealt(np.stack([may[:, on].any(axis=1) for on in shelves], axis=1)[:, shelf_at] & ~nearest_cells(b), b, least)
 
-    asked = "row long, query_id long, v array<double>, lists binary, least double, cell int"
-    searching = staged(map_arrow(rows.filter(queries).select("row", "vec_id", "v"), probed, "row long, query_id long, v array<double>, lists binary"))
-    parts = max(1, -(-searching.count() // 50_000))  # queries that one task holds
+    asked = "row long, id long, v array<double>, least double, cell int"
+    searching = rows.filter(queries).select("row", F.col("vec_id").alias("query_id"), "v")
+    parts = max(1, -(-searching.count() // _QUERIES))
     shelf = F.element_at(F.array(*(F.lit(int(i)) for i in shelf_of)), F.col("list") + 1)
     of_shelf = lambda values: F.element_at(F.array(*(F.lit(int(i)) for i in values)), shelf + 1)
-    cell = of_shelf(first) + F.pmod(F.xxhash64("row"), of_shelf(cells).cast("long")).cast("int")
-    held = rows.select("row", "vec_id", "v", "list", "codes", "left_out", cell.alias("cell"), F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("part"))
-
-    def scored(key: tuple, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-        out: list[pd.DataFrame] = []
-        if len(left) and len(right):
-            right = right.sort_values("list", kind="stable")
-            ids, its, full, spare = right["vec_id"].to_numpy(), right["row"].to_numpy(), np.stack(right["v"].to_numpy()), right["left_out"].to_numpy()
-            codes = np.frombuffer(b"".join(right["codes"]), np.uint8).reshape(len(ids), -1)
-            found_lists, starts = np.unique(right["list"].to_numpy(), return_index=True)
-            for at in range(0, len(left), block):
-                part = left.iloc[at : at + block]
-                q, own = np.stack(part["v"].to_numpy()), part["row"].to_numpy()
-                wanted = unpacked(part["lists"])
-                tables = np.einsum("qmw,mcw->qmc", q.reshape(len(q), -1, model.width), model.books)
-                by_code = np.full((len(q), len(ids)), -np.inf)
-                for i, lo, hi in zip(found_lists, starts, [*starts[1:], len(ids)], strict=True):
-                    who = np.flatnonzero(wanted[:, i])
-                    some = np.repeat((q[who] @ model.centroids[i])[:, None], hi - lo, axis=1)
-                    for m in range(codes.shape[1]):
-                        some += tables[who, m][:, codes[lo:hi, m]]
-                    by_code[who, lo:hi] = some
-                by_code[own[:, None] == its[None, :]] = -np.inf
-                least = part["least"].to_numpy().astype(float)
-                if by_code.shape[1] >= k:
-                    pick = np.argpartition(-by_code, min(max(rerank, k), by_code.shape[1]) - 1, axis=1)[:, : max(rerank, k)]
-                    exact = np.einsum("qrd,qd->qr", full[pick], q)
-                    exact[np.take_along_axis(by_code, pick, 1) == -np.inf] = -np.inf
-                    least = np.fmax(least, np.partition(exact, -k, axis=1)[:, -k])
-                least -= 1e-12 * np.abs(least)
-                bound = by_code + np.linalg.norm(q, axis=1)[:, None] * spare[None, :]
-                a, c = np.nonzero((by_code != -np.inf) & ~(bound < least[:, None]))
-                score = np.concatenate([np.einsum("pd,pd->p", q[a[i : i + 100_000]], full[c[i : i + 100_000]]) for i in range(0, max(len(a), 1), 100_000)])
-                order = np.lexsort((ids[c], -score, a))
-                a, c, score = a[order], c[order], score[order]
-                best = np.arange(len(a)) - np.searchsorted(a, a) < k
-                a, c = a[best], c[best]
-                out.append(pd.DataFrame({"row": own[a], "query_id": part["query_id"].to_numpy()[a], "vec_id": ids[c], "score": score[best]}))
-        return pd.concat(out) if out else pd.DataFrame({"row": np.empty(0, np.int64), "query_id": np.empty(0, np.int64), "vec_id": np.empty(0, np.int64), "score": np.empty(0)})
+    cell = of_shelf(first) + F.pmod(F.xxhash64("row"), of_shelf(pieces).cast("long")).cast("int")
+    members = rows.select(cell.alias("cell"), F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("part"), "list", "row", F.col("vec_id").alias("id"), "v", F.col("left_out").alias("least"), "codes")
+
+    def scored(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        asking: list[list[np.ndarray]] = []
+        ready: list[tuple[_Best, np.ndarray, np.ndarray]] | None = None
+        so_far = -1
+        for b in batches:
+            at, row, ids, spare = (b.column(i).to_numpy(zero_copy_only=False) for i in (2, 3, 4, 6))
+            if not len(at):
+                continue
+            if at[0] < so_far or (at[1:] < at[:-1]).any():
+                raise ValueError("rows of a cell must come sorted by list")
+            so_far = at[-1]
+            start = int(np.searchsorted(at, 0))  # queries have list -1 and come first
+            if start:
+                asking.append([row[:start], ids[:start], _matrix(b.column(5).slice(0, start)), spare[:start].astype(float)])
+            if start == b.num_rows:
+                continue
+            if not asking:
+                return
+            if ready is None:
+                row_q, id_q, q, least = (np.concatenate(c) for c in zip(*asking, strict=True))
+                ready = [(_Best(q[i : i + block], row_q[i : i + block], least[i : i + block], k), id_q[i : i + block], model.reach(q[i : i + block], low, high, wide)) for i in range(0, len(q), block)]
+            full = _matrix(b.column(5).slice(start))
+            at, row, ids, spare = at[start:], row[start:], ids[start:], spare[start:]
+            codes = np.frombuffer(b"".join(b.column(7).slice(start).to_pylist()), np.uint8).reshape(len(at), -1)
+            whole = model.decoded(at, codes)
+            for i in np.unique(at):
+                lo, hi = np.searchsorted(at, [i, i + 1])
+                for f in range(lo, hi, 2_048):
+                    s = slice(f, min(hi, f + 2_048))
+                    for best, _, may in ready:
+                        who = np.flatnonzero(~(may[:, i] < best.least))
+                        if len(who):
+                            best.add(who, whole[s], spare[s], full[s], row[s], ids[s])
+        for best, id_q, _ in ready or []:
+            a, ids, score = best.merge()
+            yield pa.RecordBatch.from_arrays([pa.array(best.own[a]), pa.array(id_q[a]), pa.array(ids), pa.array(score)], names=["row", "query_id", "vec_id", "score"])
 
     def best_of(asking: DataFrame) -> DataFrame:
-        grouped = asking.withColumn("part", F.pmod(F.xxhash64("row"), F.lit(parts)).cast("int")).groupBy("cell", "part")
-        return grouped.cogroup(held.groupBy("cell", "part")).applyInPandas(scored, "row long, query_id long, vec_id long, score double")
+        asks = asking.select("cell", F.pmod(F.xxhash64("row"), F.lit(parts)).cast("int").alias("part"), F.lit(-1).alias("list"), "row", "id", "v", "least", F.lit(None).cast("binary").alias("codes"))
+        together = asks.unionByName(members).repartition("cell", "part").sortWithinPartitions("cell", "part", "list")
+        return together.groupBy("cell", "part").applyInArrow(scored, "row long, query_id long, vec_id long, score double")
 
     def ranked(found: DataFrame) -> DataFrame:
         rank = F.row_number().over(Window.partitionBy("row").orderBy(F.desc("score"), "vec_id"))
@@ -257,7 +286,7 @@ def search(vectors: DataFrame, queries: str, k: int = 20, id_col: str = "vec_id"
 
     nearest = staged(ranked(best_of(map_arrow(searching, near, asked))).drop("rank"))
     kth = nearest.groupBy("row").agg(F.when(F.count(F.lit(1)) == k, F.min("score")).alias("least"))
-    known = searching.join(kth, "row", "left").select("row", "query_id", "v", "lists", F.coalesce("least", F.lit(float("-inf"))).alias("least"))
+    known = searching.join(kth, "row", "left").select("row", "query_id", "v", F.coalesce("least", F.lit(float("-inf"))).alias("least"))
     return ranked(nearest.unionByName(best_of(map_arrow(known, others, asked)))).select("query_id", "rank", "vec_id", "score")
 
 

@@ -299,6 +299,20 @@ def test_search_of_rows_that_codes_cannot_tell_apart(spark):
     assert ann.search(wide, "vec_id = 0").count() == 2
 
 
+def test_search_deals_a_query_to_a_bounded_number_of_cells(spark, monkeypatch):
+    """More rows make larger cells, not more of them, each with its k rows for a query; nothing is lost by it."""
+    x = np.random.default_rng(9).normal(size=(5000, 8)).astype(np.float32)
+    cut, made = ann._shelves, []
+    monkeypatch.setattr(ann, "_shelves", lambda c, sizes, chunk: made.append((cut(c, sizes, chunk), chunk)) or made[-1][0])
+    rows = ann.search(vectors(spark, x), "vec_id % 250 = 0", chunk=100).toPandas()
+    assert len(made[0][0]) <= 32 and made[0][1] * 16 >= 5000
+    full = x.astype(float)
+    for q in range(0, 5000, 250):
+        s = np.einsum("nd,d->n", full, full[q])
+        s[q] = -np.inf
+        assert list(rows[rows.query_id == q].sort_values("rank").vec_id) == list(np.lexsort((np.arange(5000), -s))[:20])
+
+
 # ---- toxicity -------------------------------------------------------------------------------------------------------
 
 
