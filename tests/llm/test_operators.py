@@ -461,6 +461,64 @@ def test_mixing_is_learnt_in_few_passes_and_a_small_driver(spark):
     assert total <= 1.02 * costs[-1] * (lengths * 8) @ counts
 
 
+def test_a_pass_leaves_out_gates_that_are_done(spark):
+    """Later passes work out the open gates only, and the weights and map are those of passes over all gates."""
+    rng = np.random.default_rng(8)
+    words = sorted({bytes(rng.choice(list(b"abcdefg"), rng.integers(2, 9)).tolist()) for _ in range(3000)} | {b"\n", "é".encode()})
+    counts = rng.zipf(1.5, len(words)).clip(1, 1000).astype(float)
+    vocabulary = spark.createDataFrame([(bytearray(t), int(c)) for t, c in zip(words, counts, strict=True)], "token binary, c long").cache()
+    with np.errstate(over="ignore"):
+        tables = context_mixing.slot_tables(vocabulary, frozenset(words), 1)
+        whole, apart = (context_mixing.Mixer(*tables, np.full((64, 6), 0.3), None) for _ in range(2))
+        context_mixing.descend(whole, lambda at: context_mixing.mixing_sums(context_mixing.Mixer(*tables, at, None), words, counts))
+        passes = []
+
+        def sums(at, undone):
+            passes.append(undone.copy())
+            got = context_mixing.mixing_sums(context_mixing.Mixer(*tables, at, None), words, counts, undone)
+            assert not got[:64][~undone].any() and (got[64:128][undone] > 0).any()
+            return got
+
+        context_mixing.descend(apart, sums, apart=True)
+        assert all((a >= b).all() for a, b in zip(passes, passes[1:])) and sum(x.sum() for x in passes) < 0.6 * 64 * len(passes)
+        assert np.allclose(whole.weights, apart.weights, atol=1e-6) and np.allclose(whole.refine, apart.refine, atol=1e-6)
+        again = context_mixing.mixing_sums(context_mixing.Mixer(*tables, apart.weights, None), words, counts)
+    bins = again[64 * (2 + 6 * 7) :].reshape(8 * 255, 33, 2)  # bit 0 has one row a level, which are the map's row 1
+    prior = again[64:128].sum() * 1e-6
+    row = (bins[:8, :, 1].sum(axis=0) + prior * context_mixing.squash(np.arange(33) / 2 - 8)) / (bins[:8].sum(axis=(0, 2)) + prior)
+    assert np.allclose(apart.refine[1], row, atol=1e-6)
+
+
+def test_sums_of_few_bits_are_sent_short():
+    """Tables of many small tasks don't fill the memory of the task that adds them."""
+    rng = np.random.default_rng(10)
+    for kind in (np.float32, np.float64):
+        total, want = np.zeros(1000), np.zeros(1000)
+        for share in (0.0, 0.01, 0.3, 0.6, 1.0):
+            x = (rng.integers(1, 9, 1000) * (rng.random(1000) < share)).astype(kind)
+            raw = context_mixing.packed(x)
+            assert len(raw) == min(x.nbytes, int((x != 0).sum()) * (x.itemsize + 4))
+            context_mixing.add_packed(total, raw, kind)
+            want += x
+        assert (total == want).all()
+
+
+def test_tokens_that_begin_alike_are_staged_together(spark, monkeypatch):
+    """No token of another task lies between two tokens of one task, so that passes share their first bits."""
+    kept, stage = [], context_mixing.staged
+    monkeypatch.setattr(context_mixing, "staged", lambda df: kept.append(df) or stage(df))
+    rng = np.random.default_rng(9)
+    texts = [" ".join(bytes(rng.choice(list(b"abcdefg"), 5).tolist()).decode() for _ in range(40)) for _ in range(60)]
+    merge = "spark.sql.adaptive.coalescePartitions.enabled"
+    spark.conf.set(merge, "false")  # else so few tokens are one task
+    try:
+        assert context_mixing.score(docs(spark, texts), F.lit(True), F.lit(False)).count() == 60
+        spans = kept[0].groupBy(F.spark_partition_id().alias("k")).agg(F.min("token").alias("a"), F.max("token").alias("z")).orderBy("a").collect()
+    finally:
+        spark.conf.unset(merge)
+    assert len(spans) > 1 and all(bytes(x["z"]) < bytes(y["a"]) for x, y in zip(spans, spans[1:]))
+
+
 def test_context_mixing_contract(spark):
     rnd = random.Random(1)
     texts = {k: " ".join(rnd.choice(("the", "of", "River", "stone", f"w{rnd.randint(0, 50)}")) for _ in range(60)) for k in range(200)}
