@@ -519,6 +519,46 @@ def test_tokens_that_begin_alike_are_staged_together(spark, monkeypatch):
     assert len(spans) > 1 and all(bytes(x["z"]) < bytes(y["a"]) for x, y in zip(spans, spans[1:]))
 
 
+def test_whole_words_of_all_tokens_are_learnt(spark):
+    """Tables and scores hold the whole-word context of every token, not of the most frequent ones."""
+    rng = np.random.default_rng(11)
+    words = sorted({bytes(rng.choice(list(b"abcdefg"), rng.integers(2, 9)).tolist()) for _ in range(300)})
+    counts = rng.integers(1, 20, len(words))
+    vocabulary = spark.createDataFrame([(bytearray(t), int(c)) for t, c in zip(words, counts, strict=True)], "token binary, c long")
+    n = np.zeros((2, int(context_mixing.OFFSETS[-1])))
+    with np.errstate(over="ignore"):
+        domain, level = context_mixing.slot_tables(vocabulary, frozenset(words[:3]), 2)
+        codes, lengths = context_mixing.encoded(words)
+        for rows, now, h in context_mixing.contexts(codes, lengths):
+            for _, partial, bit in context_mixing.bit_steps(now):
+                for s in context_mixing.slots(h, partial):
+                    np.add.at(n, (bit, s), counts[rows])
+    assert np.allclose(domain, np.log((n[1] + 0.4) / (n[0] + 0.4)), rtol=1e-3)
+    seen = n.sum(axis=0)[int(context_mixing.OFFSETS[4]) :]
+    assert (level % 8 == np.minimum(7, np.ceil(np.log2(seen + 1) / 3))).all() and (level // 8 == np.minimum(seen, 31)).all()
+    texts = [b" ".join(rng.choice(words, 30).tolist()).decode() for _ in range(80)]
+    few, many = ({r["doc_id"]: r["score"] for r in context_mixing.score(docs(spark, texts), F.col("doc_id") < 60, F.col("doc_id") >= 60, hot=h).collect()} for h in (5, 100_000))
+    assert all(few[k] == pytest.approx(many[k], rel=2e-3) for k in range(80))
+
+
+def test_weights_are_learnt_without_own_whole_word_counts():
+    """One occurrence is taken off exactly where counts are small, in the prediction and in its gate."""
+    n0, n1 = (x.ravel().astype(np.float32) for x in np.meshgrid(np.arange(40), np.arange(40)))
+    x, code = np.log((n1 + 0.4) / (n0 + 0.4)).astype(np.float16).astype(float), context_mixing.level_codes(n0 + n1)
+    for bit, own in ((0, n0), (1, n1)):
+        some = own > 0
+        got = context_mixing.without_own(x[some], code[some], np.full(some.sum(), bit))
+        m0, m1 = n0[some] - (bit == 0), n1[some] - (bit == 1)
+        small = m0 + m1 < 30
+        assert np.allclose(got[small], np.log((m1 + 0.4) / (m0 + 0.4))[small], atol=1e-5) and (got[~small] == x[some][~small]).all()
+        assert (context_mixing._LESS[code[some]][small] == (context_mixing.level_codes(m0 + m1) % 8)[small]).all()
+    # a word seen once says nothing of itself: its bits are at gates of words not seen
+    tables = np.zeros(int(context_mixing.OFFSETS[-1]), np.float16), np.full(1 << context_mixing.BITS[4], context_mixing.level_codes(np.ones(1))[0])
+    with np.errstate(over="ignore"):
+        got = context_mixing.mixing_sums(context_mixing.Mixer(*tables, np.full((64, 6), 0.3), None), [b"once"], np.ones(1))
+    assert got[64:128].reshape(8, 8)[:, 0].sum() == got[64:128].sum() == 5 * 8
+
+
 def test_context_mixing_contract(spark):
     rnd = random.Random(1)
     texts = {k: " ".join(rnd.choice(("the", "of", "River", "stone", f"w{rnd.randint(0, 50)}")) for _ in range(60)) for k in range(200)}
